@@ -2,12 +2,13 @@
 
 from __future__ import annotations
 
-from floorwalk.llm import mixing, quality_rules, simhash_dedup, suffix_dedup
+from floorwalk.llm import mixing, packing, quality_rules, simhash_dedup, suffix_dedup
 
 
 def queries() -> dict:
     return {
         "op2_suffix_dedup": suffix_dedup.query,
+        "op4_online_packing": packing.query,
         "op6_quality_rules": quality_rules.query,
         "op7_source_mixing": mixing.query,
         "op8_simhash_dedup": simhash_dedup.query,
