@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from floorwalk.llm import mixing, packing, quality_rules, simhash_dedup, suffix_dedup
+from floorwalk.llm import cap_filters, mixing, packing, quality_rules, simhash_dedup, suffix_dedup
 
 
 def queries() -> dict:
@@ -12,6 +12,7 @@ def queries() -> dict:
         "op6_quality_rules": quality_rules.query,
         "op7_source_mixing": mixing.query,
         "op8_simhash_dedup": simhash_dedup.query,
+        "op10_cap_filters": cap_filters.query,
     }
 
 

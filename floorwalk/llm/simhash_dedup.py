@@ -18,7 +18,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from floorwalk.llm.runtime import connected_components, materialize
-from floorwalk.llm.textkit import IS_SPACE, TO_LOWER, chunks
+from floorwalk.llm.textkit import IS_SPACE, TO_LOWER, chunks, local_roots
 
 SHINGLE, RADIUS, SEED = 3, 3, 42
 BLOCKS = ((0, 13), (13, 13), (26, 13), (39, 13), (52, 12))
@@ -111,24 +111,11 @@ class GrayHammingIndex:
             yield low + q, self.order[node]
 
 
-def local_roots(n: int, left: np.ndarray, right: np.ndarray, root: np.ndarray) -> np.ndarray:
-    """Least reachable number under links, continuing from root."""
-    while True:
-        low = np.minimum(root[left], root[right])
-        new = root.copy()
-        np.minimum.at(new, root[left], low)
-        np.minimum.at(new, root[right], low)
-        new = new[new]
-        if np.array_equal(new, root):
-            return root
-        root = new
-
-
 def group_links(codes: np.ndarray, radius: int) -> np.ndarray:
     """For each distinct code of a group, the number of the least code it reaches inside the group."""
     root = np.arange(len(codes))
     for a, b in GrayHammingIndex(codes).links(codes, radius):
-        root = local_roots(len(codes), a, b, root)
+        root = local_roots(a, b, root)
     return root
 
 

@@ -146,3 +146,16 @@ def repeats(keys: np.ndarray) -> np.ndarray:
         return np.zeros(len(keys), dtype=bool)
     at = np.minimum(np.searchsorted(twice, keys), len(twice) - 1)
     return twice[at] == keys
+
+
+def local_roots(left: np.ndarray, right: np.ndarray, root: np.ndarray) -> np.ndarray:
+    """Least reachable number under links, continuing from root."""
+    while True:
+        low = np.minimum(root[left], root[right])
+        new = root.copy()
+        np.minimum.at(new, root[left], low)
+        np.minimum.at(new, root[right], low)
+        new = new[new]
+        if np.array_equal(new, root):
+            return root
+        root = new
