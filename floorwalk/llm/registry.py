@@ -2,13 +2,15 @@
 
 from __future__ import annotations
 
-from floorwalk.llm import cap_filters, mixing, packing, quality_rules, simhash_dedup, suffix_dedup
+from floorwalk.llm import byte_cnn, cap_filters, chat_format, mixing, packing, quality_rules, simhash_dedup, suffix_dedup
 
 
 def queries() -> dict:
     return {
         "op2_suffix_dedup": suffix_dedup.query,
+        "op3_chat_trees": chat_format.query,
         "op4_online_packing": packing.query,
+        "op5_byte_cnn": byte_cnn.query,
         "op6_quality_rules": quality_rules.query,
         "op7_source_mixing": mixing.query,
         "op8_simhash_dedup": simhash_dedup.query,
@@ -17,4 +19,4 @@ def queries() -> dict:
 
 
 def oracle_sql() -> dict[str, str]:
-    return {"op6_quality_rules": quality_rules.ORACLE, "op7_source_mixing": mixing.ORACLE}
+    return {"op3_chat_trees": chat_format.ORACLE, "op6_quality_rules": quality_rules.ORACLE, "op7_source_mixing": mixing.ORACLE}
