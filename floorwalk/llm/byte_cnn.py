@@ -17,7 +17,7 @@ from pyspark.sql import functions as F
 from floorwalk.llm.textkit import TO_LOWER, as_bytes
 
 WINDOW, EMBED, FILTERS, WIDTHS = 256, 8, 16, (2, 3, 4)
-SAMPLE_DOCS, WINDOWS_PER_DOC, EPOCHS, BATCH, RATE, SEED = 4000, 3, 4, 64, 0.01, 7
+SAMPLE_DOCS, WINDOWS_PER_DOC, STEPS, BATCH, RATE, SEED = 4000, 3, 800, 64, 0.01, 7
 CHUNK_WINDOWS = 256
 SPACE = 32
 _is_letter = np.zeros(256, dtype=bool)
@@ -73,24 +73,23 @@ class ByteNetwork:
                 np.add.at(grad["embed"], byte.ravel(), (g[:, :, None] * p[f"conv{w}"][j].T[None]).reshape(-1, EMBED))
         return grad
 
-    def train(self, windows: np.ndarray, labels: np.ndarray, epochs: int = EPOCHS, seed: int = SEED) -> None:
+    def train(self, windows: np.ndarray, labels: np.ndarray, steps: int = STEPS, seed: int = SEED) -> None:
         """Adam over shuffled batches; each batch is seen at a random length, so that short texts are learned, too."""
         rng = np.random.default_rng(seed)
         balance = len(labels) / np.maximum(1, np.bincount(labels, minlength=len(self.labels))) / len(self.labels)
         first = {k: np.zeros_like(v) for k, v in self.weights.items()}
         second = {k: np.zeros_like(v) for k, v in self.weights.items()}
-        step = 0
-        for epoch in range(epochs):
-            order = rng.permutation(len(windows))
-            for low in range(0, len(order), BATCH):
-                rows = order[low : low + BATCH]
-                length = int(rng.choice((WINDOW // 8, WINDOW // 4, WINDOW // 2, WINDOW)))
-                step += 1
-                for k, g in self._gradients(windows[rows][:, :length], labels[rows], balance[labels[rows]]).items():
-                    first[k] = 0.9 * first[k] + 0.1 * g
-                    second[k] = 0.999 * second[k] + 0.001 * g * g
-                    rate = RATE / (1 + epoch) * np.sqrt(1 - 0.999**step) / (1 - 0.9**step)
-                    self.weights[k] -= rate * first[k] / (np.sqrt(second[k]) + 1e-8)
+        order = np.zeros(0, dtype=np.int64)
+        for step in range(1, steps + 1):
+            if len(order) < min(BATCH, len(windows)):
+                order = rng.permutation(len(windows))
+            rows, order = order[:BATCH], order[BATCH:]
+            length = int(rng.choice((WINDOW // 8, WINDOW // 4, WINDOW // 2, WINDOW)))
+            rate = RATE * (1 - step / (steps + 1)) * np.sqrt(1 - 0.999**step) / (1 - 0.9**step)
+            for k, g in self._gradients(windows[rows][:, :length], labels[rows], balance[labels[rows]]).items():
+                first[k] = 0.9 * first[k] + 0.1 * g
+                second[k] = 0.999 * second[k] + 0.001 * g * g
+                self.weights[k] -= rate * first[k] / (np.sqrt(second[k]) + 1e-8)
 
     def _prepare(self) -> dict:
         """Responses of byte pairs and of single bytes, per width and place."""
