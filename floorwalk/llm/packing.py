@@ -7,7 +7,6 @@ end of the partitions is merged: the leftover pieces are dealt into groups of bo
 
 from __future__ import annotations
 
-import re
 import zlib
 from bisect import bisect_left, insort
 from collections.abc import Iterator
@@ -20,14 +19,14 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from floorwalk.llm.runtime import materialize
+from floorwalk.llm.textkit import HASH_A, HASH_B, TO_LOWER, Chunk, chunks
 
 WINDOW, OPEN, END_ID = 4096, 64, 2
 LEFTOVER_GROUP = 8192
-CACHE_WORDS = 400_000
-DOCS_AT_ONCE = 256
-_GAP = re.compile(r"[ \n\t\r]+")
-# Lower-case Latin letters that are composed already and that the tokenizer keeps in one pre-token.
-_STEM = re.compile(r"[a-z\u00df-\u00f6\u00f8-\u00ff]+")
+CACHE_UNITS, LINE_WORDS = 3_000_000, 256
+MARKS = (".", ",")
+IS_LETTER = np.zeros(256, dtype=bool)
+IS_LETTER[65:91] = IS_LETTER[97:123] = True
 _workers: dict[str, "WordCache"] = {}
 
 
@@ -39,63 +38,90 @@ def vocabulary() -> str:
 
 
 class WordCache:
-    """Token ids of texts by way of their white-space-separated words.
+    """Token ids of texts by way of their white-space-separated words, all look-ups vectorised.
 
-    The tokenizer drops white space and never looks across it, so a text's ids are its words' ids in order. A word of
-    Latin letters with one mark at its end is made of two pre-tokens, and upper case folds; such words share the ids of
-    their stem. Both generations of the cache hold a bounded number of words.
+    The tokenizer drops white space and never looks across it, so a text's ids are its words' ids in order. A word of Latin
+    letters, perhaps with one mark at its end, folds to a lower-case stem (and a mark) of one pre-token each, so such words
+    share their stem's ids; any other word is a unit as it stands. Units are known by a 64-bit hash in sorted order; their
+    ids stand end to end in one array. The cache starts anew when it holds CACHE_UNITS units.
     """
 
     def __init__(self, path: str) -> None:
         from tokenizers import Tokenizer
 
         self.tokenizer = Tokenizer.from_file(path)
-        self.young: dict[str, bytes] = {"": b""}
-        self.old: dict[str, bytes] = {}
         vocab = self.tokenizer.get_vocab()
         self.ends = np.zeros(max(vocab.values()) + 1, dtype=bool)
         self.ends[[i for t, i in vocab.items() if t.endswith("</w>")]] = True
-
-    def _encode(self, words: list[str]) -> None:
-        stems = [w for w in words if _STEM.fullmatch(w)]
-        if stems:
-            ids = np.array(self.tokenizer.encode(" ".join(stems), add_special_tokens=False).ids, dtype="<u4")
+        self.marks = [np.array(self.tokenizer.encode(m, add_special_tokens=False).ids, dtype="<u4") for m in MARKS]
+        self._clear()
+
+    def _clear(self) -> None:
+        self.key = np.zeros(0, dtype=np.uint64)
+        self.at, self.length = np.zeros(0, dtype=np.int64), np.zeros(0, dtype=np.int64)
+        self.ids = np.concatenate([np.zeros(0, dtype="<u4"), *self.marks])
+
+    def _add(self, key: np.ndarray, ids: np.ndarray, length: np.ndarray) -> None:
+        order = np.argsort(key)
+        at = len(self.ids) + np.cumsum(length) - length
+        place = np.searchsorted(self.key, key[order])
+        self.key, self.at, self.length = (np.insert(old, place, new[order]) for old, new in ((self.key, key), (self.at, at), (self.length, length)))
+        self.ids = np.concatenate([self.ids, ids])
+
+    def _learn(self, raw: bytes, folded: bytes, key: np.ndarray, start: np.ndarray, end: np.ndarray, stem: np.ndarray) -> None:
+        pick = np.flatnonzero(stem)
+        if len(pick):
+            stems = [folded[a:b] for a, b in zip(start[pick].tolist(), end[pick].tolist(), strict=True)]
+            lines = [b" ".join(stems[i : i + LINE_WORDS]).decode() for i in range(0, len(stems), LINE_WORDS)]
+            ids = np.array([i for e in self.tokenizer.encode_batch_fast(lines, add_special_tokens=False) for i in e.ids], dtype="<u4")
             cut = np.flatnonzero(self.ends[ids]) + 1
-            assert len(cut) == len(stems), "a stem is one pre-token"
-            self.young.update(zip(stems, (x.tobytes() for x in np.split(ids, cut[:-1])), strict=True))
-        other = [w for w in words if not _STEM.fullmatch(w)]
-        for word, found in zip(other, self.tokenizer.encode_batch_fast(other, add_special_tokens=False), strict=True):
-            self.young[word] = np.array(found.ids, dtype="<u4").tobytes()
-
-    def _learn(self, words: set[str]) -> None:
-        new = [w for w in words if w not in self.young]
-        if len(self.young) + len(new) > CACHE_WORDS:
-            self.old, self.young = self.young, {"": b""}
-            new = list(words)
-        parts, ask = {}, set()
-        for word in new:
-            found = self.old.get(word)
-            if found is not None:
-                self.young[word] = found
-                continue
-            low = word.lower()
-            if low[-1:] in (",", ".") and _STEM.fullmatch(low, 0, len(low) - 1):
-                parts[word] = (low[:-1], low[-1])
-            elif low != word and _STEM.fullmatch(low):
-                parts[word] = (low, "")
-            else:
-                ask.add(word)
-        ask.update(p for pair in parts.values() for p in pair if p)
-        self._encode([w for w in ask if w not in self.young])
-        for word, (stem, mark) in parts.items():
-            self.young[word] = self.young[stem] + self.young[mark]
-
-    def encode(self, texts: list[str]) -> list[bytes]:
-        """Little-endian unsigned 32-bit ids of each text."""
-        words = [_GAP.split(t) if "\t" in t or "\r" in t else t.replace("\n", " ").split(" ") for t in texts]
-        self._learn(set().union(*words))
-        look = self.young.__getitem__
-        return [b"".join(map(look, w)) for w in words]
+            if len(cut) != len(stems):
+                raise ValueError("a stem is not one pre-token of this vocabulary")
+            self._add(key[pick], ids, np.diff(cut, prepend=0))
+        pick = np.flatnonzero(~stem)
+        if len(pick):
+            words = [raw[a:b].decode("utf-8", "replace") for a, b in zip(start[pick].tolist(), end[pick].tolist(), strict=True)]
+            found = [e.ids for e in self.tokenizer.encode_batch_fast(words, add_special_tokens=False)]
+            self._add(key[pick], np.array([i for f in found for i in f], dtype="<u4"), np.array([len(f) for f in found], dtype=np.int64))
+
+    def encode(self, chunk: Chunk) -> tuple[np.ndarray, np.ndarray]:
+        """The ids of the chunk's texts end to end, and how many each text has."""
+        data = chunk.data
+        start, end, doc = chunk.words()
+        if not len(start):
+            return np.zeros(0, dtype="<u4"), np.zeros(chunk.n_docs, dtype=np.int64)
+        folded, letter = fold_letters(data)
+        other = np.concatenate([[0], np.cumsum(~letter)])
+        last = data[end - 1]
+        mark = np.where(last == ord(MARKS[0]), 1, np.where(last == ord(MARKS[1]), 2, 0))
+        mark[(other[end - 1] != other[start]) | (end - start < 2)] = 0
+        stem = (mark > 0) | (other[end] == other[start])
+        stop = end - (mark > 0)
+        key = np.where(stem, HASH_A.spans(HASH_A.prefix(folded), start, stop), HASH_B.spans(HASH_B.prefix(data), start, stop))
+        units, first, unit = np.unique(key, return_index=True, return_inverse=True)
+        if len(self.key) + len(units) > CACHE_UNITS:
+            self._clear()
+        place = np.minimum(np.searchsorted(self.key, units), max(len(self.key) - 1, 0))
+        new = np.flatnonzero(self.key[place] != units) if len(self.key) else np.arange(len(units))
+        if len(new):
+            one = first[new]
+            self._learn(data.tobytes(), folded.tobytes(), units[new], start[one], stop[one], stem[one])
+            place = np.searchsorted(self.key, units)
+        at = np.stack([self.at[place][unit], np.array([0, 0, len(self.marks[0])])[mark]], axis=1).ravel()
+        length = np.stack([self.length[place][unit], np.array([0, *map(len, self.marks)])[mark]], axis=1).ravel()
+        before = np.cumsum(length) - length
+        ids = self.ids[np.repeat(at - before, length) + np.arange(int(length.sum()))]
+        return ids, chunk.per_doc(doc, length[0::2] + length[1::2])
+
+
+def fold_letters(data: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Lower-cased bytes, and which bytes belong to ASCII letters or to composed Latin-1 letters in UTF-8."""
+    folded, letter = TO_LOWER[data], IS_LETTER[data]
+    if len(data) > 1:
+        second = np.flatnonzero((data[:-1] == 0xC3) & (data[1:] >= 0x80) & (data[1:] <= 0xBF) & (data[1:] != 0x97) & (data[1:] != 0xB7)) + 1
+        letter[second] = letter[second - 1] = True
+        folded[second] += ((data[second] <= 0x9E) * 32).astype(np.uint8)
+    return folded, letter
 
 
 def word_cache(path: str) -> WordCache:
@@ -155,13 +181,15 @@ def _pack(path: str, window: int, limit: int, keep_ids: bool):
             return pa.RecordBatch.from_arrays(columns, names=names)
 
         for batch in batches:
-            ids, texts = batch.column("doc_id").to_pylist(), batch.column("text")
-            for low in range(0, len(ids), DOCS_AT_ONCE):
+            docs = batch.column("doc_id").to_pylist()
+            for chunk in chunks(batch.column("text")):
                 ready: list[list] = []
-                part = [t or "" for t in texts.slice(low, DOCS_AT_ONCE).to_pylist()]
-                for doc, data in zip(ids[low : low + DOCS_AT_ONCE], cache.encode(part), strict=True):
-                    data += end
-                    total = len(data) // 4
+                ids, count = cache.encode(chunk)
+                raw, at = ids.tobytes(), 0
+                for doc, n in zip(docs[chunk.first : chunk.first + chunk.n_docs], count.tolist(), strict=True):
+                    data = raw[at : at + 4 * n] + end
+                    at += 4 * n
+                    total = n + 1
                     for start in range(0, total, window):
                         piece = data[4 * start : 4 * (start + window)]
                         length = len(piece) // 4
