@@ -28,7 +28,7 @@ from floorwalk.llm.runtime import materialize
 from floorwalk.llm.textkit import HASH_A, HASH_B, as_bytes, mix64
 
 LENGTH, GRAM = 100, 32
-PIECE_BYTES, BLOCK_BYTES = 2 << 20, 2 << 20
+PIECE_BYTES, BLOCK_BYTES = 1 << 20, 1 << 20
 HOT_CONTENTS = 4096
 DUP, FIRST = 0, 1
 
@@ -351,15 +351,16 @@ def removed_runs(docs: DataFrame, length: int = LENGTH, gram: int = GRAM) -> Dat
     texts = docs.where("doc_id is not null and text is not null").select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
     first = materialize(settle(texts.mapInArrow(_anchor(length, gram), ANCHORED)))
     open_rows = first.where(F.col("kind") == FIRST)
-    hot = open_rows.groupBy("anchor").agg(F.count("*").alias("contents")).where(F.col("contents") > HOT_CONTENTS).select("anchor", F.lit(True).alias("hot"))
-    asked = open_rows.join(hot, "anchor", "left").groupBy("doc_id").agg(
-        F.collect_list(F.when(F.col("hot").isNull(), F.struct("anchor", "start", "windows"))).alias("parts"),
-        F.collect_list(F.when(F.col("hot"), F.struct("anchor", "start", "windows"))).alias("hot_parts"),
-    )
-    found = materialize(texts.join(asked.hint("shuffle_hash"), "doc_id"))
-    cut = found.where(F.size("parts") > 0).mapInArrow(_cut_segments(length), "anchor long, doc_id long, start long, segment binary")
+    hot = open_rows.groupBy("anchor").agg(F.count("*").alias("contents")).where(F.col("contents") > HOT_CONTENTS)
+    hot = materialize(hot.select("anchor"))
+
+    def with_texts(rows: DataFrame) -> DataFrame:
+        asked = rows.groupBy("doc_id").agg(F.collect_list(F.struct("anchor", "start", "windows")).alias("parts"))
+        return texts.join(asked.hint("shuffle_hash"), "doc_id")
+
+    cut = with_texts(open_rows.join(hot, "anchor", "left_anti")).mapInArrow(_cut_segments(length), "anchor long, doc_id long, start long, segment binary")
     matched = cut.repartition("anchor").sortWithinPartitions("anchor", "doc_id", "start").mapInArrow(_match(length), "doc_id long, start long, windows long")
-    windows = found.where(F.size("hot_parts") > 0).withColumn("parts", F.col("hot_parts")).mapInArrow(_cut_windows(length), ANCHORED)
+    windows = with_texts(open_rows.join(hot, "anchor", "left_semi")).mapInArrow(_cut_windows(length), ANCHORED)
     spread = settle(windows).where(F.col("kind") == DUP)
     runs = [x.select("doc_id", "start", "windows") for x in (first.where(F.col("kind") == DUP), matched, spread)]
     return runs[0].union(runs[1]).union(runs[2])

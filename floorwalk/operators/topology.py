@@ -177,10 +177,30 @@ def entry_legs(venue: Venue, placed: DataFrame) -> DataFrame:
 
 
 def _point_legs(venue: Venue, placed: DataFrame, sides: DataFrame, leaving: bool) -> DataFrame:
+    if venue.override is not None:
+        return _concave_legs(venue, placed, sides, leaving)
     spot = sides.join(venue.doors.select("door_id", F.col("x_mm").alias("dx"), F.col("y_mm").alias("dy")), "door_id")
     rows = placed.select("qid", "part_id", "x_mm", "y_mm").join(F.broadcast(spot), "part_id")
     return rows.groupBy("qid", F.col("door_id").alias("door")).agg(F.min(leg_mm("x_mm", "y_mm", "dx", "dy")).alias("dist"))
 
 
+def _concave_legs(venue: Venue, placed: DataFrame, sides: DataFrame, leaving: bool) -> DataFrame:
+    """Legs of points in merged cells: shortest inside the floor's former cells, from or to the doors that remain."""
+    from floorwalk.plans.relax import labels, reverse
+
+    original = venue.cache["original"]
+    hall = original.partitions.where("kind in ('hall', 'lobby')").select("part_id")
+    spot = original.doors.select("door_id", F.col("x_mm").alias("dx"), F.col("y_mm").alias("dy"))
+    own = (part_exits if leaving else part_entries)(original.moves).join(spot, "door_id")
+    first = placed.select("qid", "part_id", "x_mm", "y_mm").join(F.broadcast(own), "part_id")
+    first = first.groupBy("qid", F.col("door_id").alias("door"), "part_id").agg(F.min(leg_mm("x_mm", "y_mm", "dx", "dy")).alias("dist"))
+    rooms = first.join(hall, "part_id", "left_anti").select("qid", "door", "dist")
+    inside = door_legs(original).join(hall, "part_id", "left_semi").groupBy("a_door", "b_door").agg(F.min("leg_mm").alias("leg_mm"))
+    seeds = first.join(hall, "part_id", "left_semi").select("qid", "door", "dist")
+    walked = labels(seeds, inside if leaving else reverse(inside))
+    kept = sides.join(venue.override.select("part_id").distinct(), "part_id", "left_semi").select(F.col("door_id").alias("door")).distinct()
+    return rooms.union(walked.join(kept, "door", "left_semi").select("qid", "door", "dist")).groupBy("qid", "door").agg(F.min("dist").alias("dist"))
+
+
 def local_rank(frame: DataFrame, key: str, order: list) -> DataFrame:
     return frame.withColumn("rank", F.row_number().over(Window.partitionBy(key).orderBy(*order)))
