@@ -17,7 +17,7 @@ def _areas(partitions: DataFrame) -> DataFrame:
 def locate_scan(points: DataFrame, partitions: DataFrame) -> DataFrame:
     """points (qid, floor, x_mm, y_mm) -> + part_id, by comparing with every partition; no host, no row."""
     hit = (F.col("floor") == F.col("p_floor")) & contains("x_mm", "y_mm")
-    found = points.join(F.broadcast(_areas(partitions)), hit)
+    found = points.join(_areas(partitions), hit)
     return found.groupBy(*points.columns).agg(F.min("part_id").alias("part_id"))
 
 

@@ -22,10 +22,10 @@ def upper_bounds(venue: Venue, found: DataFrame, placed: DataFrame, objects: Dat
     """
     reach = door_reach(venue)
     bucket = objects.groupBy("part_id").agg(F.count("*").alias("n"))
-    via = found.join(F.broadcast(reach), found["door"] == reach["door_id"]).select("qid", "part_id", (F.col("dist") + F.col("reach_mm")).alias("u"))
+    via = found.join(reach, found["door"] == reach["door_id"]).select("qid", "part_id", (F.col("dist") + F.col("reach_mm")).alias("u"))
     box = venue.partitions.where("xmin is not null").select("part_id", "xmin", "ymin", "xmax", "ymax")
-    host = placed.join(F.broadcast(box), "part_id").select("qid", "part_id", rect_far_mm("x_mm", "y_mm", "xmin", "ymin", "xmax", "ymax").alias("u"))
-    cells = via.union(host).groupBy("qid", "part_id").agg(F.min("u").alias("u")).join(F.broadcast(bucket), "part_id")
+    host = placed.join(box, "part_id").select("qid", "part_id", rect_far_mm("x_mm", "y_mm", "xmin", "ymin", "xmax", "ymax").alias("u"))
+    cells = via.union(host).groupBy("qid", "part_id").agg(F.min("u").alias("u")).join(bucket, "part_id")
     running = Window.partitionBy("qid").orderBy("u", "part_id").rowsBetween(Window.unboundedPreceding, Window.currentRow)
     return cells.withColumn("seen", F.sum("n").over(running)).where(F.col("seen") >= k).groupBy("qid").agg(F.min("u").alias("bound"))
 

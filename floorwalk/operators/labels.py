@@ -26,7 +26,7 @@ def _within(frame: DataFrame, bound) -> DataFrame:
         return frame
     if isinstance(bound, int):
         return frame.where(F.col("dist") <= bound)
-    return frame.join(F.broadcast(bound), "qid").where(F.col("dist") <= F.col("bound")).drop("bound")
+    return frame.join(bound, "qid").where(F.col("dist") <= F.col("bound")).drop("bound")
 
 
 def _least(frame: DataFrame) -> DataFrame:
@@ -60,7 +60,7 @@ def layered_labels(venue: Venue, placed: DataFrame, bound=None, backward: bool =
     legs = graph_legs(venue)
     if bound is not None and not backward:
         tree = build_rtree(venue)
-        asked = placed if isinstance(bound, int) else placed.join(F.broadcast(bound), "qid")
+        asked = placed if isinstance(bound, int) else placed.join(bound, "qid")
         cells = candidate_cells(venue, tree, asked, bound).select("part_id").distinct()
         stairs = venue.partitions.where("xmin is null and part_id <> 0").select("part_id")
         from floorwalk.operators.topology import door_legs
@@ -73,7 +73,7 @@ def layered_labels(venue: Venue, placed: DataFrame, bound=None, backward: bool =
 def _tree_start(venue: Venue, tree: BorderTree, placed: DataFrame, backward: bool) -> DataFrame:
     """(qid, leaf, door, dist): seeds with the leaf of the host partition."""
     seeds = entry_legs(venue, placed) if backward else exit_legs(venue, placed)
-    leaf = placed.select("qid", "part_id").join(F.broadcast(tree.members), "part_id").select("qid", "leaf")
+    leaf = placed.select("qid", "part_id").join(tree.members, "part_id").select("qid", "leaf")
     return seeds.join(leaf, "qid")
 
 
@@ -95,7 +95,7 @@ def climb(venue: Venue, tree: BorderTree, placed: DataFrame, backward: bool = Fa
     near, far = ("b_door", "a_door") if backward else ("a_door", "b_door")
     parents = tree.nodes.select("node_id", "parent_id")
     for _ in range(tree.height):
-        up = level.join(F.broadcast(parents), "node_id").where("parent_id is not null").select("qid", F.col("parent_id").alias("node_id"), "door", "dist")
+        up = level.join(parents, "node_id").where("parent_id is not null").select("qid", F.col("parent_id").alias("node_id"), "door", "dist")
         inner = tree.inner.select("node_id", F.col(near).alias("door"), F.col(far).alias("other"), "dist_mm")
         grown = up.join(inner, ["node_id", "door"]).join(tree.access.select("node_id", F.col("door_id").alias("other")), ["node_id", "other"])
         level = materialize(grown.groupBy("qid", "node_id", F.col("other").alias("door")).agg(F.min(F.col("dist") + F.col("dist_mm")).alias("dist")))
@@ -109,20 +109,20 @@ def tree_labels(venue: Venue, placed: DataFrame, bound=None, backward: bool = Fa
     near, far = ("b_door", "a_door") if backward else ("a_door", "b_door")
     inner = tree.inner.select("node_id", F.col(near).alias("door"), F.col(far).alias("other"), "dist_mm")
     up = materialize(_within(climb(venue, tree, placed, backward, deep), bound))
-    home = placed.select("qid", "part_id").join(F.broadcast(tree.members), "part_id").select("qid", F.col("leaf").alias("leaf"))
-    line = home.join(F.broadcast(tree.nodes.where("level = 0").select(F.col("node_id").alias("leaf"), "ancestors")), "leaf").select("qid", F.explode("ancestors").alias("node_id"))
+    home = placed.select("qid", "part_id").join(tree.members, "part_id").select("qid", F.col("leaf").alias("leaf"))
+    line = home.join(tree.nodes.where("level = 0").select(F.col("node_id").alias("leaf"), "ancestors"), "leaf").select("qid", F.explode("ancestors").alias("node_id"))
     line = materialize(line)
     parents = tree.nodes.select("node_id", "parent_id", "level").where("parent_id is not null")
     kids = parents.select(F.col("node_id").alias("child"), F.col("parent_id").alias("node_id"))
     kid_access = kids.join(tree.access.select(F.col("node_id").alias("child"), F.col("door_id").alias("other")), "child")
     # From an ancestor's child on the home branch over to its siblings.
-    branch = up.join(F.broadcast(kids), up["node_id"] == kids["child"]).select("qid", F.col("child").alias("from_child"), kids["node_id"], "door", "dist")
-    crossed = branch.join(inner, ["node_id", "door"]).join(F.broadcast(kid_access), ["node_id", "other"]).where("child <> from_child")
+    branch = up.join(kids, up["node_id"] == kids["child"]).select("qid", F.col("child").alias("from_child"), kids["node_id"], "door", "dist")
+    crossed = branch.join(inner, ["node_id", "door"]).join(kid_access, ["node_id", "other"]).where("child <> from_child")
     nodes = _within(crossed.groupBy("qid", F.col("child").alias("node_id"), F.col("other").alias("door")).agg(F.min(F.col("dist") + F.col("dist_mm")).alias("dist")), bound)
     nodes = materialize(nodes.join(line, ["qid", "node_id"], "left_anti"))
     reached = nodes
     for _ in range(tree.height):
-        down = nodes.join(inner, ["node_id", "door"]).join(F.broadcast(kid_access), ["node_id", "other"])
+        down = nodes.join(inner, ["node_id", "door"]).join(kid_access, ["node_id", "other"])
         nodes = materialize(_within(down.groupBy("qid", F.col("child").alias("node_id"), F.col("other").alias("door")).agg(F.min(F.col("dist") + F.col("dist_mm")).alias("dist")), bound))
         if nodes.isEmpty():
             break
@@ -147,8 +147,8 @@ def point_labels(method: str, venue: Venue, placed: DataFrame, bound=None, backw
 
 def cells_entered(venue: Venue, found: DataFrame) -> DataFrame:
     """(qid, door, dist) -> + part_id: partitions that each labelled door enters."""
-    return found.join(F.broadcast(door_enters(venue.moves).where("part_id <> 0")), found["door"] == F.col("door_id")).select("qid", "door", "dist", "part_id")
+    return found.join(door_enters(venue.moves).where("part_id <> 0"), found["door"] == F.col("door_id")).select("qid", "door", "dist", "part_id")
 
 
 def cells_left(venue: Venue, found: DataFrame) -> DataFrame:
-    return found.join(F.broadcast(door_leaves(venue.moves).where("part_id <> 0")), found["door"] == F.col("door_id")).select("qid", "door", "dist", "part_id")
+    return found.join(door_leaves(venue.moves).where("part_id <> 0"), found["door"] == F.col("door_id")).select("qid", "door", "dist", "part_id")

@@ -20,14 +20,14 @@ def score_objects(venue: Venue, found: DataFrame, placed: DataFrame, objects: Da
     """Least distance per (qid, object) through labelled doors or straight inside the host partition."""
     spot = venue.doors.select("door_id", F.col("x_mm").alias("dx"), F.col("y_mm").alias("dy"))
     things = objects.select("object_id", "part_id", F.col("x_mm").alias("ox"), F.col("y_mm").alias("oy"))
-    via = cells_entered(venue, found).join(F.broadcast(spot), F.col("door") == F.col("door_id")).join(things, "part_id")
+    via = cells_entered(venue, found).join(spot, F.col("door") == F.col("door_id")).join(things, "part_id")
     via = via.select("qid", "object_id", (F.col("dist") + leg_mm("dx", "dy", "ox", "oy")).alias("dist_mm"))
     here = placed.join(things, "part_id").select("qid", "object_id", leg_mm("x_mm", "y_mm", "ox", "oy").alias("dist_mm"))
     both = via.union(here)
     if isinstance(bound, int):
         both = both.where(F.col("dist_mm") <= bound)
     elif bound is not None:
-        both = both.join(F.broadcast(bound), "qid").where(F.col("dist_mm") <= F.col("bound")).select("qid", "object_id", "dist_mm")
+        both = both.join(bound, "qid").where(F.col("dist_mm") <= F.col("bound")).select("qid", "object_id", "dist_mm")
     return both.groupBy("qid", "object_id").agg(F.min("dist_mm").alias("dist_mm"))
 
 
@@ -41,7 +41,7 @@ def range_query(method: str, venue: Venue, points: DataFrame, objects: DataFrame
 def classify_cells(venue: Venue, found: DataFrame, radius_mm: int) -> DataFrame:
     """(qid, part_id, is_full): reached cells; full if some door's farthest reach stays within the radius."""
     reach = door_reach(venue)
-    rows = found.join(F.broadcast(reach), found["door"] == reach["door_id"])
+    rows = found.join(reach, found["door"] == reach["door_id"])
     return rows.groupBy("qid", "part_id").agg(F.max(F.col("dist") + F.col("reach_mm") <= radius_mm).alias("is_full"))
 
 
@@ -68,5 +68,5 @@ def euclid_range(points: DataFrame, objects: DataFrame, radius_mm: int) -> DataF
     """Straight lines on one floor, walls ignored: the contrast that shows why topology matters."""
     things = objects.select("object_id", F.col("floor").alias("o_floor"), F.col("x_mm").alias("ox"), F.col("y_mm").alias("oy"))
     near = (F.col("floor") == F.col("o_floor")) & F.col("ox").between(F.col("x_mm") - radius_mm, F.col("x_mm") + radius_mm)
-    rows = F.broadcast(points).join(things, near).select("qid", "object_id", leg_mm("x_mm", "y_mm", "ox", "oy").alias("dist_mm"))
+    rows = points.join(things, near).select("qid", "object_id", leg_mm("x_mm", "y_mm", "ox", "oy").alias("dist_mm"))
     return rows.where(F.col("dist_mm") <= radius_mm)

@@ -63,7 +63,7 @@ def _through_tree(venue: Venue, source: DataFrame, target: DataFrame, deep: bool
     """Up to the children of the lowest common ancestor, across its inner cells, down again; leaf pairs in one leaf."""
     tree = build_border_tree(venue)
     lines = tree.nodes.where("level = 0").select(F.col("node_id").alias("leaf"), "ancestors")
-    home = lambda frame, name: frame.join(F.broadcast(tree.members), "part_id").join(F.broadcast(lines), "leaf").select("qid", F.col("ancestors").alias(name))
+    home = lambda frame, name: frame.join(tree.members, "part_id").join(lines, "leaf").select("qid", F.col("ancestors").alias(name))
     pair = home(source, "up").join(home(target, "down"), "qid").withColumn("lca", F.element_at(F.array_intersect("up", "down"), 1))
     child = lambda name: F.when(F.array_position(name, F.col("lca")) > 1, F.element_at(F.col(name), (F.array_position(name, F.col("lca")) - 1).cast("int")))
     pair = materialize(pair.select("qid", "lca", child("up").alias("from_node"), child("down").alias("to_node")))
@@ -101,7 +101,7 @@ def expand_hops(matrix: DataFrame, legs: DataFrame, ends: DataFrame, max_rounds:
     for _ in range(max_rounds):
         arrived = moving.where("at = b_door").select(*ends.columns, "path")
         done = arrived if done is None else done.union(arrived)
-        rest = moving.where("at <> b_door").join(F.broadcast(still), ["was", "at"], "left")
+        rest = moving.where("at <> b_door").join(still, ["was", "at"], "left")
         step = rest.join(hops, ["at", "b_door"]).withColumn("next", F.when(F.col("still"), F.col("stride_hop")).otherwise(F.col("first_hop"))).where("next is not null")
         moving = materialize(step.select(*ends.columns, F.col("next").alias("at"), F.col("at").alias("was"), F.array_append("path", F.col("next")).alias("path")))
         if moving.isEmpty():
@@ -160,7 +160,7 @@ def visited_doors(method: str, venue: Venue, source: DataFrame, target: DataFram
     up, down = climb(venue, tree, source, False, deep), climb(venue, tree, target, True, deep)
     if deep:  # only the two children of the common ancestor are read
         lines = tree.nodes.where("level = 0").select(F.col("node_id").alias("leaf"), "ancestors")
-        home = lambda frame, name: frame.join(F.broadcast(tree.members), "part_id").join(F.broadcast(lines), "leaf").select("qid", F.col("ancestors").alias(name))
+        home = lambda frame, name: frame.join(tree.members, "part_id").join(lines, "leaf").select("qid", F.col("ancestors").alias(name))
         pair = home(source, "up").join(home(target, "down"), "qid").withColumn("lca", F.element_at(F.array_intersect("up", "down"), 1))
         child = lambda name: F.when(F.array_position(name, F.col("lca")) > 1, F.element_at(F.col(name), (F.array_position(name, F.col("lca")) - 1).cast("int")))
         nodes = pair.select("qid", F.explode(F.array(child("up"), child("down"))).alias("node_id")).where("node_id is not null")

@@ -127,7 +127,7 @@ def decompose(partitions: DataFrame, doors: DataFrame, moves: DataFrame, cut_mm:
     held = lambda c: (F.col(c) == F.col("old")) & (F.col("dx") >= F.col("left")) & ((F.col("dx") < F.col("right")) | (F.col("is_last") & (F.col("dx") <= F.col("right"))))
     turned = moves.join(where, "door_id")
     for side in ("from_part", "to_part"):
-        turned = turned.join(F.broadcast(span), held(side), "left").withColumn(side, F.coalesce("piece", side)).drop("old", "piece", "left", "right", "is_last")
+        turned = turned.join(span, held(side), "left").withColumn(side, F.coalesce("piece", side)).drop("old", "piece", "left", "right", "is_last")
     here, there = F.col("old") + F.col("s"), F.col("old") + F.col("s") + 1
     ways = inner.withColumn("m", F.explode(F.array(F.struct(here.alias("f"), there.alias("t")), F.struct(there.alias("f"), here.alias("t")))))
     new_moves = turned.select(*moves.columns).unionByName(ways.select("venue_id", here.alias("door_id"), F.col("m.f").alias("from_part"), F.col("m.t").alias("to_part")))
@@ -145,10 +145,10 @@ def merge_hallways(venue: Venue) -> Venue:
     inner = venue.partitions.where(F.col("kind").isin("hall", "lobby"))
     big = FLOOR_STEP * F.col("floor") + 9 * HALL
     owner = inner.select("part_id", big.alias("big"))
-    legs = door_legs(venue).join(F.broadcast(owner), "part_id").select("a_door", "b_door", "leg_mm")
+    legs = door_legs(venue).join(owner, "part_id").select("a_door", "b_door", "leg_mm")
     inside = all_pairs(legs, venue.doors.select("door_id"))
     names = owner.select(F.col("part_id").alias("from_part"), F.col("big").alias("from_big"))
-    moves = venue.moves.join(F.broadcast(names), "from_part", "left").join(F.broadcast(names.toDF("to_part", "to_big")), "to_part", "left")
+    moves = venue.moves.join(names, "from_part", "left").join(names.toDF("to_part", "to_big"), "to_part", "left")
     moves = moves.select("venue_id", "door_id", F.coalesce("from_big", "from_part").alias("from_part"), F.coalesce("to_big", "to_part").alias("to_part"))
     moves = materialize(moves.where("from_part <> to_part").distinct())
     kept = moves.select("door_id").distinct()
@@ -156,7 +156,7 @@ def merge_hallways(venue: Venue) -> Venue:
     enter = part_entries(moves).select("part_id", F.col("door_id").alias("a_door"))
     leave = part_exits(moves).select("part_id", F.col("door_id").alias("b_door"))
     bigs = owner.select(F.col("big").alias("part_id")).distinct()
-    override = materialize(enter.join(leave, "part_id").join(F.broadcast(bigs), "part_id").join(inside, ["a_door", "b_door"]).where("a_door <> b_door").select("part_id", "a_door", "b_door", F.col("dist_mm").alias("inside_mm")))
+    override = materialize(enter.join(leave, "part_id").join(bigs, "part_id").join(inside, ["a_door", "b_door"]).where("a_door <> b_door").select("part_id", "a_door", "b_door", F.col("dist_mm").alias("inside_mm")))
     whole = inner.groupBy("venue_id", "floor").agg(F.min("xmin").alias("xmin"), F.min("ymin").alias("ymin"), F.max("xmax").alias("xmax"), F.max("ymax").alias("ymax"))
     none = F.lit(None).cast("long")
     cells = whole.select("venue_id", big.alias("part_id"), F.lit("concave").alias("kind"), "floor", *[none.alias(c) for c in ("xmin", "ymin", "xmax", "ymax")], none.alias("stair_mm"), none.alias("parent_part"))
@@ -180,7 +180,7 @@ def _point_legs(venue: Venue, placed: DataFrame, sides: DataFrame, leaving: bool
     if venue.override is not None:
         return _concave_legs(venue, placed, sides, leaving)
     spot = sides.join(venue.doors.select("door_id", F.col("x_mm").alias("dx"), F.col("y_mm").alias("dy")), "door_id")
-    rows = placed.select("qid", "part_id", "x_mm", "y_mm").join(F.broadcast(spot), "part_id")
+    rows = placed.select("qid", "part_id", "x_mm", "y_mm").join(spot, "part_id")
     return rows.groupBy("qid", F.col("door_id").alias("door")).agg(F.min(leg_mm("x_mm", "y_mm", "dx", "dy")).alias("dist"))
 
 
@@ -192,7 +192,7 @@ def _concave_legs(venue: Venue, placed: DataFrame, sides: DataFrame, leaving: bo
     hall = original.partitions.where("kind in ('hall', 'lobby')").select("part_id")
     spot = original.doors.select("door_id", F.col("x_mm").alias("dx"), F.col("y_mm").alias("dy"))
     own = (part_exits if leaving else part_entries)(original.moves).join(spot, "door_id")
-    first = placed.select("qid", "part_id", "x_mm", "y_mm").join(F.broadcast(own), "part_id")
+    first = placed.select("qid", "part_id", "x_mm", "y_mm").join(own, "part_id")
     first = first.groupBy("qid", F.col("door_id").alias("door"), "part_id").agg(F.min(leg_mm("x_mm", "y_mm", "dx", "dy")).alias("dist"))
     rooms = first.join(hall, "part_id", "left_anti").select("qid", "door", "dist")
     inside = door_legs(original).join(hall, "part_id", "left_semi").groupBy("a_door", "b_door").agg(F.min("leg_mm").alias("leg_mm"))

@@ -58,7 +58,7 @@ def descend(tree: RTree, probes: DataFrame, predicate) -> DataFrame:
     """probes (qid, floor, ...) -> (probe columns, part_id) of the partitions whose boxes satisfy predicate, top down."""
     columns = probes.columns
     box = lambda frame: frame.select(F.col("floor").alias("b_floor"), "node_id", *BOX, *(["parent_id"] if "parent_id" in frame.columns else []))
-    hits = probes.join(F.broadcast(box(tree.levels[-1])), predicate()).select(*columns, "node_id")
+    hits = probes.join(box(tree.levels[-1]), predicate()).select(*columns, "node_id")
     for level in reversed(tree.levels[:-1]):
         below = box(level).withColumnRenamed("node_id", "child_id")
         joined = hits.join(below, hits["node_id"] == below["parent_id"]).where(predicate())
@@ -104,9 +104,9 @@ def candidate_cells(venue: Venue, tree: RTree, placed: DataFrame, bound) -> Data
     probes = placed.select("qid", "floor", "x_mm", "y_mm", limit.alias("room_mm"))
     gap = rect_gap_mm("sx", "sy", "x_mm", "y_mm", "x_mm", "y_mm")
     # Climbing a staircase changes floors between its two doors, so the arrival side is any stair door of another floor.
-    up = probes.join(F.broadcast(stairs), probes["floor"] == stairs["s_floor"]).withColumn("first", gap).where("first <= room_mm")
+    up = probes.join(stairs, probes["floor"] == stairs["s_floor"]).withColumn("first", gap).where("first <= room_mm")
     tier = skeleton(venue).join(stairs.select(F.col("door_id").alias("b_stair"), F.col("s_floor").alias("to_floor"), F.col("sx").alias("tx"), F.col("sy").alias("ty")), "b_stair")
-    other = up.join(F.broadcast(tier), up["door_id"] == tier["a_stair"]).where("to_floor <> floor")
+    other = up.join(tier, up["door_id"] == tier["a_stair"]).where("to_floor <> floor")
     arrivals = other.groupBy("qid", "to_floor", "tx", "ty").agg(F.max(F.col("room_mm") - F.col("first") - F.col("dist_mm")).alias("room_mm")).where("room_mm >= 0")
     every = probes.union(arrivals.select("qid", F.col("to_floor").alias("floor"), F.col("tx").alias("x_mm"), F.col("ty").alias("y_mm"), "room_mm"))
     near = lambda: (F.col("floor") == F.col("b_floor")) & (rect_gap_mm("x_mm", "y_mm", "xmin", "ymin", "xmax", "ymax") <= F.col("room_mm"))

@@ -48,7 +48,7 @@ def halls(spark: SparkSession, sf_dir: str, floors: int) -> DataFrame:
     nation = nation.withColumn("g", (F.row_number().over(Window.partitionBy("template").orderBy("nation")) - 1).cast("long"))
     rooms = table(spark, sf_dir, "supplier").groupBy(F.col("s_nationkey").cast("long").alias("nation")).agg(F.count("*").alias("rooms"))
     levels = spark.range(floors).select(F.col("id").alias("floor"), (F.col("id") % 5).alias("template"), (F.col("id") * FLOOR_STEP).alias("base"))
-    out = levels.join(F.broadcast(nation), "template").join(rooms, "nation", "left").withColumn("rooms", F.coalesce("rooms", F.lit(0).cast("long")))
+    out = levels.join(nation, "template").join(rooms, "nation", "left").withColumn("rooms", F.coalesce("rooms", F.lit(0).cast("long")))
     cols = F.greatest(F.lit(1).cast("long"), F.floor((F.col("rooms") + 1) / 2))
     return out.withColumn("cols", cols).withColumn("length", cols * 10_000).withColumn("y", F.col("g") * 20_000).drop("template")
 
@@ -164,10 +164,10 @@ def place(keys: DataFrame, hall: DataFrame, room: DataFrame, floors: int) -> Dat
     """keys (key, nation, ...) -> + floor, x_mm, y_mm: a point in a room of the nation's hallway, or in the hallway."""
     copies = hall.select("nation", "floor", "g", "rooms", "length", "y", "base")
     if floors == 5:
-        spots = keys.join(F.broadcast(copies), "nation")
+        spots = keys.join(copies, "nation")
     else:
         nation_g = copies.groupBy("nation").agg(F.first("g").alias("g0"), F.sort_array(F.collect_set("floor")).alias("levels"))
-        everywhere = keys.join(F.broadcast(nation_g), "nation", "left")
+        everywhere = keys.join(nation_g, "nation", "left")
         spots = _spread(everywhere, hall, floors)
     o = F.col("key") % (F.col("rooms") + 1)
     spots = spots.withColumn("o", o).withColumn("c", F.floor(o / 2)).withColumn("in_room", o < F.col("rooms"))
@@ -183,12 +183,12 @@ def _spread(keys: DataFrame, hall: DataFrame, floors: int) -> DataFrame:
     sf_dir = next(k[1] for k in _venues if k[0] == spark.sparkContext.applicationId)
     nation = table(spark, sf_dir, "nation").select(F.col("n_nationkey").cast("long").alias("nation"), F.col("n_regionkey").cast("long").alias("region"))
     nation = nation.withColumn("own_g", (F.row_number().over(Window.partitionBy("region").orderBy("nation")) - 1).cast("long"))
-    placed = keys.drop("g0", "levels").join(F.broadcast(nation), "nation")
+    placed = keys.drop("g0", "levels").join(nation, "nation")
     copies = F.floor((F.lit(floors - 1) - F.col("region")) / 5) + 1
     copies = F.when(F.col("region") < floors, copies).otherwise(0)
     floor = F.when(copies > 0, F.col("region") + 5 * (F.col("key") % F.greatest(copies, F.lit(1)))).otherwise(F.col("key") % floors).cast("long")
     there = hall.select("floor", F.col("g").alias("own_g"), "rooms", "length", "y", "base", F.col("nation").alias("hall_nation"))
-    return placed.withColumn("floor", floor).join(F.broadcast(there), ["floor", "own_g"]).withColumnRenamed("own_g", "g")
+    return placed.withColumn("floor", floor).join(there, ["floor", "own_g"]).withColumnRenamed("own_g", "g")
 
 
 def objects(venue: Venue, limit: int | None = None) -> DataFrame:
