@@ -23,7 +23,7 @@ from floorwalk.llm.textkit import HASH_A, HASH_B, TO_LOWER, Chunk, chunks
 
 WINDOW, OPEN, END_ID = 4096, 64, 2
 LEFTOVER_GROUP = 8192
-CACHE_UNITS, LINE_WORDS = 1_000_000, 256
+CACHE_UNITS, LINE_WORDS, CHUNK = 1_200_000, 256, 2 << 20
 MARKS = (".", ",")
 IS_LETTER = np.zeros(256, dtype=bool)
 IS_LETTER[65:91] = IS_LETTER[97:123] = True
@@ -43,7 +43,7 @@ class WordCache:
     The tokenizer drops white space and never looks across it, so a text's ids are its words' ids in order. A word of Latin
     letters, perhaps with one mark at its end, folds to a lower-case stem (and a mark) of one pre-token each, so such words
     share their stem's ids; any other word is a unit as it stands. Units are known by a 64-bit hash in sorted order; their
-    ids stand end to end in one array. The cache starts anew when it holds CACHE_UNITS units.
+    ids stand end to end in one array. At CACHE_UNITS units the cache keeps those that at least two chunks asked for.
     """
 
     def __init__(self, path: str) -> None:
@@ -58,16 +58,26 @@ class WordCache:
 
     def _clear(self) -> None:
         self.key = np.zeros(0, dtype=np.uint64)
-        self.at, self.length = np.zeros(0, dtype=np.int64), np.zeros(0, dtype=np.int64)
+        self.at, self.length, self.used = (np.zeros(0, dtype=np.int64) for _ in range(3))
         self.ids = np.concatenate([np.zeros(0, dtype="<u4"), *self.marks])
 
     def _add(self, key: np.ndarray, ids: np.ndarray, length: np.ndarray) -> None:
         order = np.argsort(key)
         at = len(self.ids) + np.cumsum(length) - length
         place = np.searchsorted(self.key, key[order])
-        self.key, self.at, self.length = (np.insert(old, place, new[order]) for old, new in ((self.key, key), (self.at, at), (self.length, length)))
+        new = ((self.key, key), (self.at, at), (self.length, length), (self.used, np.zeros(len(key), dtype=np.int64)))
+        self.key, self.at, self.length, self.used = (np.insert(old, place, values[order]) for old, values in new)
         self.ids = np.concatenate([self.ids, ids])
 
+    def _evict(self) -> None:
+        keep = np.flatnonzero(self.used > 1)
+        if len(keep) > CACHE_UNITS // 2:
+            keep = np.sort(keep[np.argsort(-self.used[keep], kind="stable")[: CACHE_UNITS // 2]])
+        key, at, length, ids = self.key[keep], self.at[keep], self.length[keep], self.ids
+        self._clear()
+        before = np.cumsum(length) - length
+        self._add(key, ids[np.repeat(at - before, length) + np.arange(int(length.sum()))], length)
+
     def _learn(self, raw: bytes, folded: bytes, key: np.ndarray, start: np.ndarray, end: np.ndarray, stem: np.ndarray) -> None:
         pick = np.flatnonzero(stem)
         if len(pick):
@@ -100,13 +110,14 @@ class WordCache:
         key = np.where(stem, HASH_A.spans(HASH_A.prefix(folded), start, stop), HASH_B.spans(HASH_B.prefix(data), start, stop))
         units, first, unit = np.unique(key, return_index=True, return_inverse=True)
         if len(self.key) + len(units) > CACHE_UNITS:
-            self._clear()
+            self._evict()
         place = np.minimum(np.searchsorted(self.key, units), max(len(self.key) - 1, 0))
         new = np.flatnonzero(self.key[place] != units) if len(self.key) else np.arange(len(units))
         if len(new):
             one = first[new]
             self._learn(data.tobytes(), folded.tobytes(), units[new], start[one], stop[one], stem[one])
             place = np.searchsorted(self.key, units)
+        self.used[place] += 1
         at = np.stack([self.at[place][unit], np.array([0, 0, len(self.marks[0])])[mark]], axis=1).ravel()
         length = np.stack([self.length[place][unit], np.array([0, *map(len, self.marks)])[mark]], axis=1).ravel()
         before = np.cumsum(length) - length
@@ -182,7 +193,7 @@ def _pack(path: str, window: int, limit: int, keep_ids: bool):
 
         for batch in batches:
             docs = batch.column("doc_id").to_pylist()
-            for chunk in chunks(batch.column("text")):
+            for chunk in chunks(batch.column("text"), CHUNK):
                 ready: list[list] = []
                 ids, count = cache.encode(chunk)
                 raw, at = ids.tobytes(), 0
