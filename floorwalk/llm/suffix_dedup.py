@@ -28,7 +28,7 @@ from floorwalk.llm.runtime import materialize
 from floorwalk.llm.textkit import HASH_A, HASH_B, as_bytes, mix64
 
 LENGTH, GRAM = 100, 32
-PIECE_BYTES, BLOCK_BYTES = 1 << 20, 1 << 20
+PIECE_BYTES, BLOCK_BYTES = 1 << 20, 3 << 19
 HOT_CONTENTS = 4096
 DUP, FIRST = 0, 1
 

@@ -16,11 +16,12 @@ import pyarrow as pa
 CHUNK_BYTES = 1 << 20
 NEWLINE = 10
 
-# Workers live through many stages. With a fixed threshold the C library gives arrays above a megabyte back at once,
-# instead of keeping the largest sizes seen so far (-3: M_MMAP_THRESHOLD, -8: M_ARENA_MAX).
+# Workers live through many stages. With fixed thresholds the C library gives large arrays back at once, instead of
+# keeping the largest sizes seen so far (-3: M_MMAP_THRESHOLD, -1: M_TRIM_THRESHOLD, -8: M_ARENA_MAX).
 with contextlib.suppress(OSError, AttributeError):
     _libc = ctypes.CDLL(None)
-    _libc.mallopt(-3, 1 << 20)
+    _libc.mallopt(-3, 16 << 20)
+    _libc.mallopt(-1, 64 << 20)
     _libc.mallopt(-8, 2)
 
 # The white space of the word pattern [^\x20\x09-\x0D]+ as a byte table.
