@@ -1,53 +1,13 @@
-"""Shared storage and small distributed helpers."""
+"""Small distributed helpers of the training-data operators; storage is the library's."""
 
 from __future__ import annotations
 
-import atexit
-import tempfile
-import uuid
-import weakref
-
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-_scratch: list[tuple[weakref.ref, str]] = []
-
-
-def shared_folder(spark: SparkSession) -> str:
-    """The folder that driver and executors share: spark.checkpoint.dir, or in a local session a temporary one."""
-    folder = spark.conf.get("spark.checkpoint.dir", None)
-    if folder:
-        return folder.rstrip("/")
-    if not spark.sparkContext.master.startswith("local[") and spark.sparkContext.master != "local":
-        raise RuntimeError("set spark.checkpoint.dir to a folder that driver and executors share")
-    if not getattr(spark, "_floorwalk_scratch", None):
-        spark._floorwalk_scratch = tempfile.mkdtemp(prefix="floorwalk-")
-        spark.sparkContext.setCheckpointDir(spark._floorwalk_scratch)
-    return "file://" + spark._floorwalk_scratch
-
-
-def materialize(frame: DataFrame) -> DataFrame:
-    """Write a frame as Parquet in the shared folder and read it back: cuts lineage and survives lost executors."""
-    spark = frame.sparkSession
-    path = f"{shared_folder(spark)}/floorwalk-{uuid.uuid4().hex}"
-    frame.write.parquet(path)
-    out = spark.read.schema(frame.schema).parquet(path)
-    _scratch.append((weakref.ref(spark), path))
-    return out
-
-
-def _remove_scratch() -> None:
-    for ref, path in _scratch:
-        spark = ref()
-        try:
-            jvm = spark.sparkContext._jvm
-            target = jvm.org.apache.hadoop.fs.Path(path)
-            target.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(target, True)
-        except Exception:  # noqa: BLE001  the session has ended: its folder is not ours to reach any more
-            return
-
+from floorwalk.sources.scratch import materialize, shared_folder
 
-atexit.register(_remove_scratch)
+__all__ = ["connected_components", "materialize", "shared_folder"]
 
 
 def connected_components(edges: DataFrame, max_rounds: int = 60) -> DataFrame:
