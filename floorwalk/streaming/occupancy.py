@@ -2,7 +2,6 @@
 
 from __future__ import annotations
 
-import tempfile
 import uuid
 from collections.abc import Iterator
 
@@ -13,6 +12,7 @@ from pyspark.sql import types as T
 
 from floorwalk.operators.labels import cells_entered, point_labels
 from floorwalk.operators.range import placed_points
+from floorwalk.sources.scratch import shared_folder
 from floorwalk.sources.venue import Venue
 
 LATE = "10 days"
@@ -72,7 +72,7 @@ def visits(positions: DataFrame, gap: str = "30 minutes") -> DataFrame:
 def run_once(stream: DataFrame, mode: str = "append") -> DataFrame:
     """Drives a stream over all there is to a memory table and returns that as a frame."""
     name = f"floorwalk_{uuid.uuid4().hex}"
-    query = stream.writeStream.format("memory").queryName(name).outputMode(mode).trigger(availableNow=True).option("checkpointLocation", tempfile.mkdtemp(prefix="floorwalk-stream-")).start()
+    query = stream.writeStream.format("memory").queryName(name).outputMode(mode).trigger(availableNow=True).option("checkpointLocation", f"{shared_folder(stream.sparkSession)}/{name}").start()
     query.awaitTermination()
     return stream.sparkSession.table(name)
 
