@@ -318,6 +318,52 @@ def _s2t(v: V.Venue) -> DataFrame:
 query("s2t_pairs", O.sql("select s2t_mm, qid, dist_mm from sdq, (select unnest([30000, 60000, 90000, 120000, 150000])::bigint as s2t_mm) qualify row_number() over (partition by s2t_mm order by abs(dist_mm - s2t_mm), qid) <= 10", _POINTS, O.PAIR_SIDES, O.pair_distances(), pairs=True))(_s2t)
 
 
+# ---- SQL surface and twins ----------------------------------------------------------------------------------------
+
+
+def _sql(text: str):
+    def make(v: V.Venue) -> DataFrame:
+        from floorwalk.functions import sqlapi
+
+        sqlapi.register(v.spark, v)
+        return v.spark.sql(text)
+
+    return make
+
+
+query("sql_nearest_doors", O.sql("select qid, door as door_id, leg_mm from (select qid, d.door, min(" + O.leg("pt.", "d.") + ") as leg_mm from pt join move m on m.f = pt.part_id join door d on d.door = m.door group by 1, 2) qualify row_number() over (partition by qid order by leg_mm, door) <= 2", _POINTS))(
+    lambda v: _sql("""select p.qid, n.door_id, n.leg_mm from (select q.qid, q.x_mm, q.y_mm, a.part_id from indoor_points q join indoor_partitions a on a.floor = q.floor and q.x_mm >= a.xmin and q.x_mm < a.xmax and q.y_mm >= a.ymin and q.y_mm < a.ymax) p,
+    lateral (select d.door_id, indoor_leg(p.x_mm, p.y_mm, d.x_mm, d.y_mm) as leg_mm from indoor_doors d join indoor_moves m on m.door_id = d.door_id where m.from_part = p.part_id group by 1, 2 order by leg_mm, door_id limit 2) n""")(v)
+)
+
+
+def _unrolled(v: V.Venue) -> DataFrame:
+    from floorwalk.functions import sqlapi
+
+    sqlapi.register(v.spark, v)
+    route.route_query("dm", v, V.query_pairs(v), False).select("qid", _text("door_path").alias("path")).createOrReplaceTempView("indoor_paths")
+    return v.spark.sql("select qid, step, door from indoor_paths, lateral indoor_unroll(path)")
+
+
+query("path_unroll", O.sql("select qid, (i - 1)::int as step, c.p[i] as door from best, range(1, 100) r(i) where i <= len(c.p)", _POINTS, O.PAIR_SIDES, O.pair_paths()))(_unrolled)
+
+
+def _legs_py(v: V.Venue) -> DataFrame:
+    from floorwalk.functions.udfs import leg_mm_py
+
+    points = V.query_points(v).select("qid", "floor", "x_mm", "y_mm")
+    doors = v.doors.select("floor", "door_id", F.col("x_mm").alias("dx"), F.col("y_mm").alias("dy"))
+    return points.join(doors, "floor").select("qid", "door_id", leg_mm_py("x_mm", "y_mm", "dx", "dy").alias("leg_mm"))
+
+
+query("leg_twin", O.sql("select qid, door as door_id, " + O.leg("pt.", "d.") + " as leg_mm from pt join door d using (floor)", _POINTS))(_legs_py)
+query("cumulative_objects", O.sql("""select d.b as b_door, row_number() over (order by d.d, d.b) as rank, (sum(coalesce(n, 0)) over (order by d.d, d.b))::bigint as seen from dist d
+    left join (select m.door, sum(k) as n from (select distinct door, t from move) m join (select part_id, count(*) as k from obj group by 1) o on o.part_id = m.t group by 1) c on c.door = d.b where d.a = 10000000""", O.OBJECTS, pairs=True))(lambda v: surrounding.cumulative_objects(matrix.door_matrix(v), v, V.objects(v), 10_000_000))
+query("generated_pairs")(lambda v: __import__("floorwalk.workload", fromlist=["generated_pairs"]).generated_pairs(v, 90_000))
+query("bench_task_a")(lambda v: __import__("floorwalk.workload", fromlist=["run_task"]).run_task(v.spark, v.sf_dir, "A", ("ag", "dm")))
+query("border_report")(lambda v: __import__("floorwalk.workload", fromlist=["border_report"]).border_report(v.spark, v.sf_dir))
+
+
 def queries() -> dict[str, Query]:
     return dict(_queries)
 

@@ -22,8 +22,7 @@ class UnrollPath:
 def register(spark: SparkSession, venue: Venue, prefix: str = "indoor") -> None:
     """Views <prefix>_partitions, _doors, _moves, _legs, _graph, _reach, _matrix, _objects, _points and SQL functions.
 
-    indoor_leg(ax, ay, bx, by) is the leg in millimetres; indoor_unroll(path) a table function over 'a>b>c' paths;
-    indoor_distance(a, b) the door distance as a scalar subquery function.
+    indoor_leg(ax, ay, bx, by) is the leg in millimetres; indoor_unroll(path) a table function over 'a>b>c' paths.
     """
     views = {"partitions": venue.partitions, "doors": venue.doors, "moves": venue.moves, "legs": door_legs(venue), "graph": graph_legs(venue), "reach": door_reach(venue), "matrix": door_matrix(venue), "objects": objects(venue), "points": query_points(venue)}
     for name, frame in views.items():

@@ -41,7 +41,7 @@ def kind_pivot(venue: Venue) -> DataFrame:
 
 
 def top_objects_per_room(venue: Venue, objects: DataFrame, k: int = 3) -> DataFrame:
-    """(part_id, rank, object_id, leg_mm): objects nearest to their room's main door, by a lateral join."""
+    """(part_id, rank, object_id, leg_mm): objects nearest to their room's main door."""
     main = venue.doors.where("kind = 'room_main'").select(F.col("door_id").alias("part_id"), F.col("x_mm").alias("dx"), F.col("y_mm").alias("dy"))
     near = objects.join(main, "part_id").withColumn("leg_mm", leg_mm("x_mm", "y_mm", "dx", "dy"))
     order = Window.partitionBy("part_id").orderBy("leg_mm", "object_id")
