@@ -361,7 +361,7 @@ query("cumulative_objects", O.sql("""select d.b as b_door, row_number() over (or
     left join (select m.door, sum(k) as n from (select distinct door, t from move) m join (select part_id, count(*) as k from obj group by 1) o on o.part_id = m.t group by 1) c on c.door = d.b where d.a = 10000000""", O.OBJECTS, pairs=True))(lambda v: surrounding.cumulative_objects(matrix.door_matrix(v), v, V.objects(v), 10_000_000))
 query("generated_pairs")(lambda v: __import__("floorwalk.workload", fromlist=["generated_pairs"]).generated_pairs(v, 90_000))
 query("bench_task_a")(lambda v: __import__("floorwalk.workload", fromlist=["run_task"]).run_task(v.spark, v.sf_dir, "A", ("ag", "dm")))
-query("border_report")(lambda v: __import__("floorwalk.workload", fromlist=["border_report"]).border_report(v.spark, v.sf_dir))
+query("border_report")(lambda v: __import__("floorwalk.workload", fromlist=["border_report"]).border_report(v.spark, v.sf_dir, (4, GAMMA)))
 
 
 def queries() -> dict[str, Query]:
