@@ -1,4 +1,4 @@
-"""The corpus pipeline: quality rules, SimHash near-dedup, repeated passages, mixing to target weights, packing.
+"""The corpus pipeline: quality rules, near-dedup, repeated passages, mixing to target weights, packing.
 
 Every stage reads all that the one before it kept, and all but the last return the columns of documents.
 """
@@ -7,7 +7,7 @@ from __future__ import annotations
 
 from pyspark.sql import DataFrame, SparkSession
 
-from floorwalk.llm import mixing, packing, quality_rules, simhash_dedup, suffix_dedup
+from floorwalk.llm import mixing, near_copies, packing, quality_rules, suffix_dedup
 from floorwalk.llm.runtime import materialize
 
 
@@ -17,8 +17,8 @@ def quality_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFram
 
 
 def near_duplicate_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """One document, the least id, of each group of near copies."""
-    return simhash_dedup.keep_one(docs)
+    """One document, the least id, of each group of near copies: five-word shingles, Jaccard similarity 0.8 and more."""
+    return near_copies.keep_one(docs)
 
 
 def repeated_passage_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

@@ -1,0 +1,195 @@
+"""Near copies by the Jaccard similarity of five-word shingles: min-hash bands propose pairs, exact set counts decide.
+
+A similarity of 0.8 leaves some ten of 64 SimHash bits different, too many for any split into block keys, so proposals come
+from BANDS keys of ROWS minima each: a pair at 0.8 shares none of them three times in 100,000. Every bucket is
+first linked to its least member; buckets that still hold several components are then compared member by member, so
+that no pair within a bucket is left out unless its texts are in one component already.
+"""
+
+from __future__ import annotations
+
+from collections.abc import Iterator
+
+import numpy as np
+import pyarrow as pa
+from pyspark.sql import DataFrame
+from pyspark.sql import functions as F
+
+from floorwalk.llm.runtime import connected_components, materialize, numbered
+from floorwalk.llm.textkit import HASH_A, HASH_B, TO_LOWER, chunks, mix64
+
+SHINGLE, BANDS, ROWS = 5, 20, 4
+FACTORS = mix64(np.arange(1, BANDS * ROWS + 1, dtype=np.uint64) * np.uint64(0x9E3779B97F4A7C15)) | np.uint64(1)
+
+
+def similar(common: np.ndarray, a: np.ndarray, b: np.ndarray) -> np.ndarray:
+    """Whether sets of a and b members with so many in common have a Jaccard similarity of 0.8 at least, in integers."""
+    return (9 * common >= 4 * (a + b)) & (a > 0) & (b > 0)
+
+
+def shingle_sets(column: pa.Array) -> Iterator[tuple[np.ndarray, np.ndarray]]:
+    """Per chunk: the sorted distinct shingle hashes of its texts end to end, and the bounds of each text.
+
+    Words are separated by any white space and A-Z is lower-cased; a text of fewer words is one shingle.
+    """
+    for chunk in chunks(column, 1 << 18):
+        start, end, doc = chunk.words()
+        words = HASH_B.prefix(HASH_A.spans(HASH_A.prefix(TO_LOWER[chunk.data]), start, end))
+        n = chunk.per_doc(doc)
+        first = np.cumsum(n) - n
+        head = np.arange(max(len(start) - SHINGLE + 1, 0))
+        head = head[doc[head] == doc[head + SHINGLE - 1]]
+        short = np.flatnonzero((n > 0) & (n < SHINGLE))
+        value = HASH_B.spans(words, np.concatenate([head, first[short]]), np.concatenate([head + SHINGLE, first[short] + n[short]]))
+        owner = np.concatenate([doc[head], short])
+        order = np.lexsort((value, owner))
+        value, owner = value[order], owner[order]
+        new = np.ones(len(value), dtype=bool)
+        new[1:] = (value[1:] != value[:-1]) | (owner[1:] != owner[:-1])
+        yield value[new], np.searchsorted(owner[new], np.arange(chunk.n_docs + 1))
+
+
+def band_keys(value: np.ndarray, cuts: np.ndarray) -> np.ndarray:
+    """The BANDS keys of each set; only for sets that are not empty."""
+    out = np.zeros((len(cuts) - 1, BANDS), dtype=np.uint64)
+    for band in range(BANDS):
+        for row in range(ROWS):
+            number = band * ROWS + row
+            out[:, band] += mix64(np.minimum.reduceat(value * FACTORS[number], cuts[:-1]) + np.uint64(number))
+    return mix64(out)
+
+
+def _sketch(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    for batch in batches:
+        first = 0
+        for value, cuts in shingle_sets(batch.column("text")):
+            total = np.concatenate([np.zeros(1, dtype=np.uint64), np.cumsum(mix64(value), dtype=np.uint64)])
+            content = mix64(total[cuts[1:]] - total[cuts[:-1]] + np.diff(cuts).astype(np.uint64))
+            full = np.flatnonzero(np.diff(cuts))
+            keys = band_keys(value, np.append(cuts[full], len(value))).view(np.int64).ravel() if len(full) else np.zeros(0, dtype=np.int64)
+            sizes = np.concatenate([[0], np.cumsum(np.where(np.diff(cuts) > 0, BANDS, 0))]).astype(np.int32)
+            part = batch.slice(first, len(cuts) - 1)
+            first += len(cuts) - 1
+            yield pa.RecordBatch.from_pydict({"rid": part.column("rid"), "doc_id": part.column("doc_id"), "content": pa.array(content.view(np.int64)), "keys": pa.ListArray.from_arrays(pa.array(sizes), pa.array(keys))})
+
+
+def _runs(batches: Iterator[pa.RecordBatch], key: str) -> Iterator[pa.Table]:
+    """The runs of two rows and more with equal keys, from batches sorted by key; a run may span batches."""
+    held = None
+    for batch in batches:
+        if not batch.num_rows:
+            continue
+        table = pa.Table.from_batches([batch])
+        table = table if held is None else pa.concat_tables([held, table])
+        keys = table.column(key).to_numpy()
+        cut = int(np.searchsorted(keys, keys[-1], side="left"))
+        yield from _split(table.slice(0, cut), keys[:cut])
+        held = table.slice(cut)
+    if held is not None:
+        yield from _split(held, held.column(key).to_numpy())
+
+
+def _split(table: pa.Table, keys: np.ndarray) -> Iterator[pa.Table]:
+    begin = np.flatnonzero(np.diff(keys, prepend=keys[0] - 1)) if len(keys) else np.zeros(0, dtype=np.int64)
+    size = np.diff(np.append(begin, len(keys)))
+    for i, n in zip(begin[size > 1].tolist(), size[size > 1].tolist(), strict=True):
+        yield table.slice(i, n)
+
+
+def _buckets(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """(bucket, rid, least) of keys with several members; equal memberships get one bucket number."""
+    out, rows = [], 0
+    for run in _runs(batches, "key"):
+        rid = np.unique(run.column("rid").to_numpy())
+        if len(rid) > 1:
+            out.append((np.full(len(rid), mix64(rid).sum(dtype=np.uint64)), rid, np.full(len(rid), rid[0])))
+            rows += len(rid)
+        if rows > 1 << 16:
+            yield _bucket_batch(out)
+            out, rows = [], 0
+    if out:
+        yield _bucket_batch(out)
+
+
+def _bucket_batch(parts: list[tuple]) -> pa.RecordBatch:
+    bucket, rid, least = (np.concatenate(x) for x in zip(*parts, strict=True))
+    return pa.RecordBatch.from_pydict({"bucket": pa.array(bucket.view(np.int64)), "rid": pa.array(rid), "least": pa.array(least)})
+
+
+def _sets(column: pa.Array) -> list[np.ndarray]:
+    return [value[i:j] for value, cuts in shingle_sets(column) for i, j in zip(cuts[:-1], cuts[1:], strict=True)]
+
+
+def _check_pairs(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    for batch in batches:
+        left, right = _sets(batch.column("text_a")), _sets(batch.column("text_b"))
+        common = np.array([len(np.intersect1d(x, y, assume_unique=True)) for x, y in zip(left, right, strict=True)], dtype=np.int64)
+        near = similar(common, np.array([len(x) for x in left], dtype=np.int64), np.array([len(x) for x in right], dtype=np.int64))
+        yield pa.RecordBatch.from_pydict({"a": batch.column("a").filter(pa.array(near)), "b": batch.column("b").filter(pa.array(near))})
+
+
+def group_links(sets: list[np.ndarray], label: np.ndarray) -> list[tuple[int, int]]:
+    """Pairs that join all members of one component; members with equal labels are joined already."""
+    size = np.array([len(s) for s in sets])
+    _, ids = np.unique(np.concatenate(sets), return_inverse=True)
+    cuts = np.cumsum(size) - size
+    holds, left, out = np.zeros(ids.max() + 1, dtype=bool), np.ones(len(sets), dtype=bool), []
+    while left.any():
+        queue = [int(np.argmax(left))]
+        left[queue[0]] = False
+        while queue and left.any():
+            i = queue.pop()
+            mates = np.flatnonzero(left & (label == label[i]))
+            left[mates] = False
+            queue += mates.tolist()
+            mine = ids[cuts[i] : cuts[i] + size[i]]
+            holds[mine] = True
+            near = np.flatnonzero(left & similar(np.add.reduceat(holds[ids], cuts, dtype=np.int64), size[i], size))
+            holds[mine] = False
+            left[near] = False
+            queue += near.tolist()
+            out += [(i, j) for j in near.tolist()]
+    return out
+
+
+def _check_buckets(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    for run in _runs(batches, "bucket"):
+        rid = run.column("rid").to_numpy()
+        links = group_links(_sets(run.column("text").combine_chunks()), run.column("label").to_numpy())
+        if links:
+            a, b = np.array(links).T
+            yield pa.RecordBatch.from_pydict({"a": pa.array(rid[a]), "b": pa.array(rid[b])})
+
+
+def components(rows: DataFrame) -> DataFrame:
+    """(rid, root) for each row of a numbered table: rows with one root are linked through pairs of similarity >= 0.8."""
+    texts = rows.select(F.col("_rid").alias("rid"), F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
+    marked = materialize(texts.mapInArrow(_sketch, "rid long, doc_id long, content long, keys array<long>"))
+    alike = materialize(marked.groupBy("content").agg(F.min("rid").alias("first")))
+    dealt = marked.join(alike.select(F.col("first").alias("rid")), "rid", "left_semi").select("rid", F.explode("keys").alias("key"))
+    parts = 4 * int(rows.sparkSession.conf.get("spark.sql.shuffle.partitions"))  # small sorts
+    dealt = dealt.repartition(parts, "key").sortWithinPartitions("key")
+    buckets = materialize(dealt.mapInArrow(_buckets, "bucket long, rid long, least long").distinct())
+    body = texts.select("rid", "text")
+    pairs = buckets.where("rid > least").select(F.col("least").alias("a"), F.col("rid").alias("b")).distinct()
+    pairs = pairs.join(body.select(F.col("rid").alias("b"), F.col("text").alias("text_b")), "b")
+    pairs = pairs.join(body.select(F.col("rid").alias("a"), F.col("text").alias("text_a")), "a")
+    links = materialize(pairs.mapInArrow(_check_pairs, "a long, b long"))
+    held = buckets.join(connected_components(links).withColumnRenamed("node", "rid"), "rid", "left").select("bucket", "rid", F.coalesce("root", "rid").alias("label"))
+    mixed = held.groupBy("bucket").agg(F.count("*").alias("n"), F.min("label").alias("low"), F.max("label").alias("high")).where("n > 2 and low < high").select("bucket")
+    open_rows = held.join(mixed, "bucket").join(body, "rid").select("bucket", "rid", "label", "text")
+    more = open_rows.repartition("bucket").sortWithinPartitions("bucket").mapInArrow(_check_buckets, "a long, b long")
+    roots = connected_components(links.union(materialize(more))).withColumnRenamed("node", "first")
+    rooted = alike.join(roots, "first", "left").select("content", F.coalesce("root", "first").alias("root"))
+    return marked.join(rooted, "content").select("rid", "doc_id", "root")
+
+
+def keep_one(docs: DataFrame) -> DataFrame:
+    """One row of each component, the one with the least id (rows without an id last), with its own columns.
+
+    Texts with equal shingle sets, wordless and null ones among them, are copies; ids decide nothing but which row stays,
+    so rows without an id and different texts under one id are kept like any other.
+    """
+    rows = numbered(docs)
+    best = components(rows).groupBy("root").agg(F.min(F.struct(F.col("doc_id").isNull().alias("none"), "doc_id", "rid")).alias("best"))
+    return rows.join(best.select(F.col("best.rid").alias("_rid")), "_rid", "left_semi").select(*docs.columns)

@@ -7,7 +7,12 @@ from pyspark.sql import functions as F
 
 from floorwalk.sources.scratch import materialize, shared_folder
 
-__all__ = ["connected_components", "materialize", "shared_folder"]
+__all__ = ["connected_components", "materialize", "numbered", "shared_folder"]
+
+
+def numbered(docs: DataFrame) -> DataFrame:
+    """The rows with a number of their own (_rid), written once so that every later read sees the same numbers."""
+    return materialize(docs.withColumn("_rid", F.monotonically_increasing_id()))
 
 
 def connected_components(edges: DataFrame, max_rounds: int = 60) -> DataFrame:

@@ -189,11 +189,5 @@ def components(docs: DataFrame, radius: int = RADIUS) -> DataFrame:
     return marked.join(labels, "code").select("doc_id", F.lower(F.lpad(F.hex("code"), 16, "0")).alias("fingerprint"), "component_id")
 
 
-def keep_one(docs: DataFrame, radius: int = RADIUS) -> DataFrame:
-    """The documents with the least id of each component, with their own columns; rows without an id go."""
-    kept = components(docs, radius).where("doc_id = component_id").select("doc_id").distinct()
-    return docs.join(kept, "doc_id", "left_semi").select(*docs.columns)
-
-
 def query(spark, sf_dir: str) -> DataFrame:
     return components(spark.read.parquet(f"{sf_dir}/documents.parquet"))
