@@ -14,7 +14,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from floorwalk.llm.runtime import materialize
+from floorwalk.llm.runtime import materialize, numbered
 from floorwalk.llm.textkit import HASH_A, HASH_B, IS_LEAD, IS_SPACE, NEWLINE, TO_LOWER, chunks, mix64, repeats
 
 MIN_DOCS, SHARE, MAX_LOSS, MIN_WORDS = 20, 0.1, 0.5, 10
@@ -116,7 +116,8 @@ def judge(docs: DataFrame, host: str = "source", min_docs: int = MIN_DOCS, share
     document count, so a group of copies never turns its own lines into boilerplate; repeated rows are judged each; an
     empty table gives no row. Columns beyond doc_id, text and the host column are not read.
     """
-    rows = docs.select(F.monotonically_increasing_id().alias("rid"), F.col("doc_id").cast("long").alias("doc_id"), F.col(host).cast("string").alias("host"), F.col("text").cast("string").alias("text"))
+    number = F.col("_rid") if "_rid" in docs.columns else F.monotonically_increasing_id()
+    rows = docs.select(number.alias("rid"), F.col("doc_id").cast("long").alias("doc_id"), F.col(host).cast("string").alias("host"), F.col("text").cast("string").alias("text"))
     measured = materialize(rows.mapInArrow(_measure, MEASURED))
     named = measured.withColumn("host", F.coalesce(F.concat(F.lit("h"), "host"), F.lit("null")))
     lines = named.select("rid", "host", "text_hash", F.explode(F.arrays_zip("line_hash", "line_words")).alias("line"))
@@ -156,10 +157,13 @@ def _strip(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
 
 
 def clean(docs: DataFrame, **options) -> DataFrame:
-    """The kept documents with their own columns, boilerplate lines cut out of their texts (n_chars follows)."""
-    verdict = judge(docs, **options).where("kept").groupBy("doc_id").agg(F.flatten(F.collect_set("removed_lines")).alias("removed_lines"))
-    columns = docs.columns
-    kept = docs.alias("d").join(verdict.alias("v"), F.col("d.doc_id").eqNullSafe(F.col("v.doc_id"))).select(*[F.col(f"d.{c}").alias(c) for c in columns], "v.removed_lines")
+    """The kept rows with their own columns, boilerplate lines cut out of their texts (n_chars follows).
+
+    Verdicts are joined by row number, so rows without an id and rows that repeat one get their own.
+    """
+    columns, rows = docs.columns, numbered(docs)
+    verdict = judge(rows, **options).where("kept").select(F.col("rid").alias("_rid"), "removed_lines")
+    kept = rows.join(verdict, "_rid").select(*columns, "removed_lines")
     out = kept.mapInArrow(_strip, docs.schema)
     if "n_chars" in columns:
         out = out.withColumn("n_chars", F.length("text").cast(docs.schema["n_chars"].dataType))
