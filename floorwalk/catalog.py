@@ -100,6 +100,7 @@ _BACK = """tight as (select g.b as a, r.a as b, g.a as x, g.leg from dist d join
 hop as (select a, b, min(x) as x from tight t where leg > 0 or x = b or exists (select 1 from tight o where o.a = t.x and o.b = t.b and o.leg > 0) group by a, b)"""
 query("last_hops", O.sql("select d.a as a_door, d.b as b_door, hop.x as last_hop from dist d left join hop on hop.a = d.b and hop.b = d.a", _BACK, pairs=True))(lambda v: matrix.last_hops(matrix.matrix_dist(v), topology.graph_legs(v)))
 query("kernel_relax", O.sql("select a as a_door, b as b_door, d as dist_mm from dist where a % 7 = 0", pairs=True))(lambda v: relax.all_pairs(topology.graph_legs(v), v.doors.select("door_id").where("door_id % 7 = 0"), engine="relax"))
+query("kernel_relax_all")(lambda v: relax.all_pairs(topology.graph_legs(v), v.doors.select("door_id"), engine="relax"))
 query("kernel_square", O.sql("select a as a_door, b as b_door, d as dist_mm from dist", pairs=True))(lambda v: relax.all_pairs(topology.graph_legs(v), v.doors.select("door_id"), engine="square"))
 query("skeleton", O.sql("select a as a_stair, b as b_stair, d as dist_mm from dist where a in (select door from door where kind in ('stair_low', 'stair_high')) and b in (select door from door where kind in ('stair_low', 'stair_high'))", pairs=True))(rtree.skeleton)
 query("rt_links", O.sql("select f as part_id, count(*) as n_links, string_agg(door || ':' || t, ',' order by door, t) as links from move group by f"))(
@@ -168,7 +169,7 @@ _EUCLID = f"select qid, object_id, {O.leg('pt.', 'obj.')} as dist_mm from pt joi
 query("euclid_range", O.sql(f"select * from ({_EUCLID}) where dist_mm <= {R_MM}", _POINTS, O.OBJECTS))(lambda v: ranges.euclid_range(V.query_points(v), V.objects(v), R_MM))
 query("euclid_knn", O.sql(f"select qid, row_number() over (partition by qid order by dist_mm, object_id) as rank, object_id, dist_mm from ({_EUCLID}) qualify rank <= {K}", _POINTS, O.OBJECTS))(lambda v: knn.euclid_knn(V.query_points(v), V.objects(v), K))
 query("rq_disagreement", "select 0::bigint as rows_different")(
-    lambda v: v.spark.range(1).select(F.lit(sum(metrics.disagreement(ranges.range_query(m, v, V.query_points(v), V.objects(v), R_MM), ranges.brute_range(v, V.query_points(v), V.objects(v), R_MM)) for m in ("ag", "btd"))).cast("long").alias("rows_different"))
+    lambda v: v.spark.range(1).select(F.lit(sum(metrics.disagreement(ranges.range_query(m, v, V.query_points(v), V.objects(v), R_MM), ranges.brute_range(v, V.query_points(v), V.objects(v), R_MM)) for m in METHODS)).cast("long").alias("rows_different"))
 )
 
 # ---- measures -----------------------------------------------------------------------------------------------------
@@ -297,7 +298,7 @@ def _word_sql(select: str, need: int) -> str:
 query("keyword_range", _word_sql(f"select qid, object_id, dist_mm from od where dist_mm <= {R_MM} and object_id in (select object_id from chosen)", 1))(lambda v: extend.keyword_range("ag", v, V.query_points(v), V.objects(v), extend.object_words(v), list(WORDS), R_MM, False))
 query("keyword_knn", _word_sql(f"select qid, row_number() over (partition by qid order by dist_mm, object_id) as rank, object_id, dist_mm from od where object_id in (select object_id from chosen) qualify rank <= {K}", 2))(lambda v: extend.keyword_knn("btd", v, V.query_points(v), V.objects(v), extend.object_words(v), list(WORDS), K))
 query("keyword_route")(lambda v: extend.keyword_route(v, V.query_pairs(v), V.objects(v), extend.object_words(v), list(WORDS), 2))
-query("node_words")(lambda v: extend.node_words(v, V.objects(v), extend.object_words(v).where(F.col("word").isin(list(WORDS)))))
+query("node_words")(lambda v: extend.node_words(v, V.objects(v), extend.object_words(v)))
 
 # ---- surrounding operators ----------------------------------------------------------------------------------------
 
@@ -360,8 +361,8 @@ query("leg_twin", O.sql("select qid, door as door_id, " + O.leg("pt.", "d.") + "
 query("cumulative_objects", O.sql("""select d.b as b_door, row_number() over (order by d.d, d.b) as rank, (sum(coalesce(n, 0)) over (order by d.d, d.b))::bigint as seen from dist d
     left join (select m.door, sum(k) as n from (select distinct door, t from move) m join (select part_id, count(*) as k from obj group by 1) o on o.part_id = m.t group by 1) c on c.door = d.b where d.a = 10000000""", O.OBJECTS, pairs=True))(lambda v: surrounding.cumulative_objects(matrix.door_matrix(v), v, V.objects(v), 10_000_000))
 query("generated_pairs")(lambda v: __import__("floorwalk.workload", fromlist=["generated_pairs"]).generated_pairs(v, 90_000))
-query("bench_task_a")(lambda v: __import__("floorwalk.workload", fromlist=["run_task"]).run_task(v.spark, v.sf_dir, "A", ("ag", "dm")))
-query("border_report")(lambda v: __import__("floorwalk.workload", fromlist=["border_report"]).border_report(v.spark, v.sf_dir, (4, GAMMA)))
+query("bench_task_a")(lambda v: __import__("floorwalk.workload", fromlist=["run_task"]).run_task(v.spark, v.sf_dir, "A"))
+query("border_report")(lambda v: __import__("floorwalk.workload", fromlist=["border_report"]).border_report(v.spark, v.sf_dir))
 
 
 def queries() -> dict[str, Query]:
