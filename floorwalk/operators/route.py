@@ -47,8 +47,11 @@ def _bounded(method: str, venue: Venue, source: DataFrame, target: DataFrame) ->
         done = settled if done is None else done.union(settled)
         open_points = materialize(open_points.join(settled, "qid", "left_anti"))
         state = (found.count(), open_points.count())
-        if not state[1] or state == before:
-            return done if not state[1] else done.union(best.join(settled, "qid", "left_anti"))
+        if not state[1]:
+            return done
+        if state == before:  # nothing new within twice the radius; a longer leg may still lead on
+            found = point_labels(method, venue, open_points)
+            return done.union(found.join(ends, ["qid", "door"]).groupBy("qid").agg(F.min(F.col("dist") + F.col("rest")).alias("dist")))
         before, radius = state, radius * 2
 
 
