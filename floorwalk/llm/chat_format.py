@@ -41,21 +41,23 @@ def ancestors(messages: DataFrame) -> DataFrame:
     """(node, ancestor, distance) of every leaf and each message on its path to the root, itself at distance 0.
 
     Round k joins all pairs found so far with the table of ancestors 2**k up, and that table with itself, so a tree of
-    depth d takes about log2(d) rounds. A parent that is missing or null makes a root; a cycle has no root and is left out.
+    depth d takes about log2(d) rounds. A parent that is missing, null or the message itself makes a root; messages on a
+    cycle, and those whose path up runs into one, have no root and are left out.
     """
     present = messages.select(F.col("node").alias("up"))
     jump = materialize(messages.where("parent is not null and parent <> node").join(present, messages["parent"] == present["up"], "left_semi").select("node", F.col("parent").alias("up")))
     leaves = messages.select("node").join(messages.where("parent is not null and parent <> node").select(F.col("parent").alias("node")), "node", "left_anti")
     paths = leaves.select("node", F.col("node").alias("ancestor"), F.lit(0).cast("long").alias("distance"))
-    reach = 1
-    while not jump.isEmpty():
+    reach, before = 1, None
+    while (count := jump.count()):
+        if count == before:  # in a forest fewer messages are 2 * reach deep than reach deep: all that is left runs in circles
+            return paths.join(jump.select("node").distinct(), "node", "left_anti")
+        before = count
         far = paths.join(jump, paths["ancestor"] == jump["node"]).select(paths["node"], jump["up"].alias("ancestor"), (paths["distance"] + reach).alias("distance"))
         paths = materialize(paths.union(far))
         upper = jump.select(F.col("node").alias("up"), F.col("up").alias("upper"))
         jump = materialize(jump.join(upper, "up").select("node", F.col("upper").alias("up")))
         reach *= 2
-        if reach > 1 << 40:
-            raise ValueError("the reply table holds a cycle")
     return paths
 
 
@@ -133,9 +135,22 @@ def reply_chains(rows: DataFrame) -> DataFrame:
     return placed.select(name(F.col("place")).alias("node"), F.when(F.col("place") > 1, name(F.col("place") - 1)).alias("parent"), "conv_id", "role", "text", score.alias("score"))
 
 
-def format_trees(messages: DataFrame, per_tree: int | None = None) -> DataFrame:
+def one_per_node(messages: DataFrame) -> DataFrame:
+    """Of messages that share a node id the one least by parent, role and text; those without an id are left out."""
+    rest = ["parent", "role", "text", "score"]
+    least = messages.where("node is not null").groupBy("node").agg(F.min(F.struct(*rest)).alias("least"))
+    return least.select("node", *[F.col(f"least.{c}").alias(c) for c in rest])
+
+
+def format_trees(messages: DataFrame, per_tree: int | None = None, distinct_nodes: bool = False) -> DataFrame:
     """messages (node, parent, role, text, score) -> a row per chosen branch: conversation (its leaf), root, rank, n_turns,
-    formatted, loss_spans. An empty table gives no row; null texts and roles are empty; columns beyond these are not read."""
+    formatted, loss_spans.
+
+    An empty table gives no row; null texts and roles are empty; a repeated node id stands once (see one_per_node), unless
+    the caller says that there are none; columns beyond these are not read.
+    """
+    if not distinct_nodes:
+        messages = materialize(one_per_node(messages))
     chosen = branches(messages.select("node", "parent", "score"), per_tree)
     turns = chosen.join(messages.select("node", "role", "text"), "node").select(F.col("leaf").alias("conversation"), "depth", "role", "text")
     labels = chosen.where("depth = 0").select(F.col("leaf").alias("conversation"), "root", "rank")
@@ -145,7 +160,7 @@ def format_trees(messages: DataFrame, per_tree: int | None = None) -> DataFrame:
 def format_table(rows: DataFrame, per_tree: int | None = 1) -> DataFrame:
     """(conv_id, formatted, loss_spans) of a turn table through its reply trees."""
     messages = materialize(reply_chains(rows))
-    trees = format_trees(messages, per_tree)
+    trees = format_trees(messages, per_tree, distinct_nodes=True)
     owner = messages.select(F.col("node").alias("root"), "conv_id")
     return trees.join(owner, "root").select(F.col("conv_id").alias("conversation"), "n_turns", "formatted", "loss_spans")
 

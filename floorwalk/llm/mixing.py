@@ -10,6 +10,8 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
+from floorwalk.llm.runtime import guarded, materialize
+
 WORD = r"[^\x20\x09-\x0D]+"
 WEIGHTS = (5, 2, 1)
 MAX_EPOCHS = 3
@@ -44,14 +46,17 @@ def mix(docs: DataFrame, weights: tuple[int, ...] = WEIGHTS, max_epochs: int = M
 
     Every source is read floor(target) words long: whole epochs first, then documents in order of their random key, the
     last one cut. Null texts and texts without words have size 0 and nothing is taken of them; a null source is a source
-    of its own, the last; a null id has the key of the text "null"; repeated rows count each; an empty table gives none.
+    of its own, the last; a row without an id has the key of its text, so such rows spread over the slices; repeated rows
+    count each; an empty table gives none.
     """
-    key = F.md5(F.coalesce(F.col("doc_id").cast("string"), F.lit("null")))
+    key = F.md5(F.coalesce(F.col("doc_id").cast("string"), F.concat(F.lit("null/"), F.md5(F.coalesce(F.col("text").cast("string"), F.lit(""))))))
     width = len(f"{slices - 1:x}")
     rows = docs.select(
         "doc_id", "source", *[F.col(c).alias(f"keep_{c}") for c in keep],
         F.when(F.col("text").isNull(), 0).otherwise(F.regexp_count("text", F.lit(WORD))).cast("long").alias("size"), key.alias("key"),
     ).withColumns({"slice": F.substring("key", 1, width), "named": F.coalesce("source", F.lit("")), "unnamed": F.col("source").isNull()})
+    if not keep:  # no texts to carry: words are counted once, for both passes
+        rows = materialize(rows)
     parts = rows.groupBy("source", "named", "unnamed", "slice").agg(F.sum("size").alias("slice_size"))
     in_order = Window.partitionBy("named", "unnamed").orderBy("slice")
     parts = parts.withColumn("slice_start", F.sum("slice_size").over(in_order) - F.col("slice_size"))
@@ -70,21 +75,28 @@ def mix(docs: DataFrame, weights: tuple[int, ...] = WEIGHTS, max_epochs: int = M
 
 
 def mixed_corpus(docs: DataFrame, **options) -> DataFrame:
-    """The mix itself: each document's row as often as it is taken, the last time cut to the words that still fit."""
-    columns = docs.columns
-    rows = mix(docs, keep=tuple(c for c in columns if c not in ("doc_id", "source")), **options)
-    whole = rows.withColumn("copies", (F.col("epochs") + F.when((F.col("cut") > 0) & (F.col("cut") == F.col("size")), 1).otherwise(0)).cast("int"))
-    whole = whole.where("copies > 0").withColumn("copy", F.explode(F.sequence(F.lit(1), F.col("copies"))))
-    cut = rows.where("cut > 0 and cut < size")
-    pieces = cut.withColumn("text", F.expr(r"array_join(slice(regexp_extract_all(text, '[^\\x20\\x09-\\x0D]+', 0), 1, cast(cut as int)), ' ')"))
-    out = whole.select(*columns).unionByName(pieces.select(*columns))
-    if "n_chars" in columns:
-        out = out.withColumn("n_chars", F.length("text").cast(docs.schema["n_chars"].dataType))
-    return out
+    """The mix itself: each document's row as often as it is taken, the last time cut to the words that still fit.
+
+    Columns beyond doc_id, text, source and n_chars may have any name.
+    """
+
+    def work(named: DataFrame) -> DataFrame:
+        columns = named.columns
+        rows = mix(named, keep=tuple(c for c in columns if c not in ("doc_id", "source")), **options)
+        whole = rows.withColumn("copies", (F.col("epochs") + F.when((F.col("cut") > 0) & (F.col("cut") == F.col("size")), 1).otherwise(0)).cast("int"))
+        whole = whole.where("copies > 0").withColumn("copy", F.explode(F.sequence(F.lit(1), F.col("copies"))))
+        cut = rows.where("cut > 0 and cut < size")
+        pieces = cut.withColumn("text", F.expr(r"array_join(slice(regexp_extract_all(text, '[^\\x20\\x09-\\x0D]+', 0), 1, cast(cut as int)), ' ')"))
+        out = whole.select(*columns).unionByName(pieces.select(*columns))
+        if "n_chars" in columns:
+            out = out.withColumn("n_chars", F.length("text").cast(named.schema["n_chars"].dataType))
+        return out
+
+    return guarded(docs, work)
 
 
 ORACLE = r"""
-with d as (select doc_id, source, md5(coalesce(cast(doc_id as varchar), 'null')) as k,
+with d as (select doc_id, source, md5(coalesce(cast(doc_id as varchar), 'null/' || md5(coalesce(text, '')))) as k,
         coalesce(len(regexp_extract_all(text, '[^\x20\x09-\x0D]+')), 0)::bigint as size from documents),
   s as (select source, sum(size)::bigint as source_size, [5, 2, 1][(row_number() over (order by source nulls last) - 1) % 3 + 1] as w from d group by source),
   f as (select *, source_size * 3 as cap, sum(source_size) over () as total,

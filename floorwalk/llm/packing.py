@@ -23,7 +23,7 @@ from floorwalk.llm.textkit import HASH_A, HASH_B, TO_LOWER, Chunk, chunks
 
 WINDOW, OPEN, END_ID = 4096, 64, 2
 LEFTOVER_GROUP = 8192
-CACHE_UNITS, LINE_WORDS, CHUNK = 1_200_000, 256, 2 << 20
+CACHE_UNITS, LINE_WORDS, CHUNK = 400_000, 256, 1 << 20
 MARKS = (".", ",")
 IS_LETTER = np.zeros(256, dtype=bool)
 IS_LETTER[65:91] = IS_LETTER[97:123] = True

@@ -14,7 +14,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from floorwalk.llm.runtime import materialize, numbered
+from floorwalk.llm.runtime import DOCUMENT, guarded, materialize, numbered
 from floorwalk.llm.textkit import HASH_A, HASH_B, IS_LEAD, IS_SPACE, NEWLINE, TO_LOWER, chunks, mix64, repeats
 
 MIN_DOCS, SHARE, MAX_LOSS, MIN_WORDS = 20, 0.1, 0.5, 10
@@ -156,18 +156,23 @@ def _strip(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         yield batch.set_column(at, "text", fixed).drop_columns(["removed_lines"])
 
 
-def clean(docs: DataFrame, **options) -> DataFrame:
+def clean(docs: DataFrame, host: str = "source", **options) -> DataFrame:
     """The kept rows with their own columns, boilerplate lines cut out of their texts (n_chars follows).
 
-    Verdicts are joined by row number, so rows without an id and rows that repeat one get their own.
+    Verdicts are joined by row number, so rows without an id and rows that repeat one get their own. Columns beyond those
+    that are read may have any name.
     """
-    columns, rows = docs.columns, numbered(docs)
-    verdict = judge(rows, **options).where("kept").select(F.col("rid").alias("_rid"), "removed_lines")
-    kept = rows.join(verdict, "_rid").select(*columns, "removed_lines")
-    out = kept.mapInArrow(_strip, docs.schema)
-    if "n_chars" in columns:
-        out = out.withColumn("n_chars", F.length("text").cast(docs.schema["n_chars"].dataType))
-    return out
+
+    def work(named: DataFrame) -> DataFrame:
+        columns, rows = named.columns, numbered(named)
+        verdict = judge(rows, host, **options).where("kept").select(F.col("rid").alias("_rid"), "removed_lines")
+        whole = rows.join(verdict.where("removed_lines is null"), "_rid", "left_semi").select(*columns)
+        cut = rows.join(verdict.where("removed_lines is not null"), "_rid").select(*columns, "removed_lines").mapInArrow(_strip, named.schema)
+        if "n_chars" in columns:
+            cut = cut.withColumn("n_chars", F.length("text").cast(named.schema["n_chars"].dataType))
+        return whole.unionByName(cut)
+
+    return guarded(docs, work, (*DOCUMENT, host))
 
 
 RESULT = ("doc_id", "n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "base_failed", "kept")

@@ -2,12 +2,16 @@
 
 from __future__ import annotations
 
+from collections.abc import Callable
+
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from floorwalk.sources.scratch import materialize, shared_folder
 
-__all__ = ["connected_components", "materialize", "numbered", "shared_folder"]
+__all__ = ["connected_components", "guarded", "materialize", "numbered", "shared_folder"]
+
+DOCUMENT = ("doc_id", "text", "lang", "source", "n_chars")
 
 
 def numbered(docs: DataFrame) -> DataFrame:
@@ -15,6 +19,13 @@ def numbered(docs: DataFrame) -> DataFrame:
     return materialize(docs.withColumn("_rid", F.monotonically_increasing_id()))
 
 
+def guarded(docs: DataFrame, work: Callable[[DataFrame], DataFrame], own: tuple[str, ...] = DOCUMENT) -> DataFrame:
+    """work(docs) with its columns in order, under names that no operator uses while it runs: extra columns of any name pass."""
+    names = docs.columns
+    inner = [c if c in own else f"extra_{i}" for i, c in enumerate(names)]
+    return work(docs.toDF(*inner)).select(*inner).toDF(*names)
+
+
 def connected_components(edges: DataFrame, max_rounds: int = 60) -> DataFrame:
     """Components of an undirected graph given as (a, b): one row (node, root) per node of an edge, root the least id.
 

@@ -24,8 +24,8 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from floorwalk.llm.runtime import materialize
-from floorwalk.llm.textkit import HASH_A, HASH_B, as_bytes, mix64
+from floorwalk.llm.runtime import guarded, materialize
+from floorwalk.llm.textkit import ANCHOR, HASH_A, HASH_B, as_bytes, mix64
 
 LENGTH, GRAM = 100, 32
 PIECE_BYTES, BLOCK_BYTES = 1 << 20, 3 << 19
@@ -48,10 +48,8 @@ def segments(data: np.ndarray, offsets: np.ndarray, length: int, gram: int) -> t
     none = (np.zeros(0, np.uint64), np.zeros(0, np.uint64), *(np.zeros(0, np.int64) for _ in range(3)))
     if len(data) < length:
         return none
-    prefix = HASH_A.prefix(data)
-    _, down = HASH_A._powers(len(prefix))
-    n_grams, width = len(data) - gram + 1, length - gram + 1
-    x = mix64((prefix[gram:] - prefix[:-gram]) * down[:n_grams])
+    width = length - gram + 1
+    x = ANCHOR.grams(data, gram)
     low = sliding_min(x, width)
     # A window that would cross the end of its text does not count.
     step = np.zeros(len(data) + 1, dtype=np.int64)
@@ -411,11 +409,15 @@ def deduplicate(docs: DataFrame, length: int = LENGTH, gram: int = GRAM, keep_te
 
 
 def clean(docs: DataFrame, **options) -> DataFrame:
-    """The documents with repeated passages cut out of their texts (n_chars follows); their own columns."""
-    out = deduplicate(docs, keep_text=True, **options).withColumn("text", F.col("kept_text"))
-    if "n_chars" in docs.columns:
-        out = out.withColumn("n_chars", F.length("text").cast(docs.schema["n_chars"].dataType))
-    return out.select(*docs.columns)
+    """The documents with repeated passages cut out of their texts (n_chars follows); their own columns, of any name."""
+
+    def work(named: DataFrame) -> DataFrame:
+        out = deduplicate(named, keep_text=True, **options).withColumn("text", F.col("kept_text"))
+        if "n_chars" in named.columns:
+            out = out.withColumn("n_chars", F.length("text").cast(named.schema["n_chars"].dataType))
+        return out
+
+    return guarded(docs, work)
 
 
 def query(spark, sf_dir: str) -> DataFrame:

@@ -13,16 +13,25 @@ from collections.abc import Iterator
 import numpy as np
 import pyarrow as pa
 
-CHUNK_BYTES = 1 << 20
+CHUNK_BYTES = 1 << 19
 NEWLINE = 10
 
-# Workers live through many stages. With fixed thresholds the C library gives large arrays back at once, instead of
-# keeping the largest sizes seen so far (-3: M_MMAP_THRESHOLD, -1: M_TRIM_THRESHOLD, -8: M_ARENA_MAX).
+# Workers live through many stages. Arrow shares the C library's allocator here, and that gives large arrays back at once
+# instead of keeping the largest sizes seen so far (-3: M_MMAP_THRESHOLD, -1: M_TRIM_THRESHOLD, -8: M_ARENA_MAX).
+pa.set_memory_pool(pa.system_memory_pool())
+_libc = None
 with contextlib.suppress(OSError, AttributeError):
     _libc = ctypes.CDLL(None)
     _libc.mallopt(-3, 16 << 20)
     _libc.mallopt(-1, 64 << 20)
-    _libc.mallopt(-8, 2)
+    _libc.mallopt(-8, 1)
+
+
+def release() -> None:
+    """Gives free memory back to the system; called where a task has dropped what it held."""
+    if _libc is not None and hasattr(_libc, "malloc_trim"):
+        _libc.malloc_trim(0)
+
 
 # The white space of the word pattern [^\x20\x09-\x0D]+ as a byte table.
 IS_SPACE = np.zeros(256, dtype=bool)
@@ -45,43 +54,124 @@ def mix64(x: np.ndarray) -> np.ndarray:
     return x
 
 
-class RollingHash:
-    """Polynomial hash modulo 2**64 over a randomised byte table; any substring's hash costs two look-ups."""
+class AnchorHash:
+    """Polynomial hash modulo 2**64: cheap, and only for choosing places (equal strings get equal values).
+
+    Different strings may share a value, so nothing is decided by it; identity is decided by RollingHash.
+    """
+
+    STEP = 1 << 16
 
     def __init__(self, seed: int) -> None:
         ids = np.arange(1, 257, dtype=np.uint64)
         self.table = mix64(ids * np.uint64(0x9E3779B97F4A7C15) + np.uint64(seed))
         self.base = (0x9E3779B97F4A7C15 ^ (seed * 0x2545F4914F6CDD1D)) & 0xFFFFFFFFFFFFFFFF | 5
-        self.inverse = pow(self.base, -1, 1 << 64)
-        self._up = np.ones(1, dtype=np.uint64)
-        self._down = np.ones(1, dtype=np.uint64)
-
-    def _powers(self, n: int) -> tuple[np.ndarray, np.ndarray]:
-        if len(self._up) < n:
-            size = max(n, 1 << 16)
-            for name, base in (("_up", self.base), ("_down", self.inverse)):
-                steps = np.full(size, base, dtype=np.uint64)
-                steps[0] = 1
-                setattr(self, name, np.multiply.accumulate(steps))
-        return self._up, self._down
-
-    def prefix(self, symbols: np.ndarray) -> np.ndarray:
-        """Prefix sums of byte symbols (uint8) or of ready 64-bit values (uint64)."""
-        up, _ = self._powers(len(symbols) + 1)
-        values = self.table[symbols] if symbols.dtype == np.uint8 else symbols
-        out = np.zeros(len(symbols) + 1, dtype=np.uint64)
-        np.cumsum(values * up[: len(symbols)], out=out[1:])
+
+    def grams(self, data: np.ndarray, gram: int) -> np.ndarray:
+        """The hash of every window of `gram` bytes, by doubling the width that is summed up."""
+        x = self.table[data]
+        out, width, at = None, 1, 0
+        while True:
+            if gram & width:
+                part = x[at : at + len(data) - gram + 1]
+                out = part.copy() if out is None else out + part * np.uint64(pow(self.base, at, 1 << 64))
+                at += width
+            if width * 2 > gram:
+                return mix64(out)
+            x = x[:-width] + x[width:] * np.uint64(pow(self.base, width, 1 << 64))
+            width *= 2
+
+
+MERSENNE = np.uint64((1 << 31) - 1)
+_BITS = np.uint64(31)
+
+
+def fold(x: np.ndarray) -> np.ndarray:
+    """One step towards x modulo 2**31 - 1: below 2**33 for x below 2**64, below 2**31 + 4 for x below 2**33."""
+    return (x & MERSENNE) + (x >> _BITS)
+
+
+def reduced(x: np.ndarray) -> np.ndarray:
+    """x modulo 2**31 - 1."""
+    x = fold(fold(x))
+    return np.where(x >= MERSENNE, x - MERSENNE, x)
+
+
+class RollingHash:
+    """Polynomial hash of byte strings modulo the prime 2**31 - 1, twice: two random bases, two random byte tables.
+
+    Both residues make up the 62 bits of a hash: two different strings of n bytes share it for at most (n / 2**31) ** 2 of
+    the bases, whatever the strings are. Sums run inside blocks, unreduced: 19 bits of a byte's value, 31 of a power and
+    12 of the block fit into 64. Powers come from short tables, so nothing that is kept grows with the texts.
+    """
+
+    LOW = 12
+    MASK = (1 << LOW) - 1
+
+    def __init__(self, seed: int) -> None:
+        prime, self.parts = int(MERSENNE), []
+        for number in range(2):
+            rng = np.random.default_rng(seed * 2 + number)
+            table = (rng.permutation((1 << 19) - 1)[:256] + 1).astype(np.uint64)
+            base = int(rng.integers(1 << 20, prime - 1))
+            self.parts.append((table, self._powers(base), self._powers(pow(base, -1, prime))))
+
+    def _powers(self, base: int) -> tuple[np.ndarray, int]:
+        return self._grown(base, 1 << self.LOW), pow(base, 1 << self.LOW, int(MERSENNE))
+
+    @staticmethod
+    def _grown(base: int, n: int) -> np.ndarray:
+        """The first n powers of a base."""
+        out, size = np.ones(n, dtype=np.uint64), 1
+        while size < n:
+            more = out[size : 2 * size]
+            more[:] = reduced(out[: len(more)] * np.uint64(pow(base, size, int(MERSENNE))))
+            size *= 2
         return out
 
-    def spans(self, prefix: np.ndarray, start: np.ndarray, end: np.ndarray) -> np.ndarray:
+    def prefix(self, symbols: np.ndarray) -> list[tuple[np.ndarray, np.ndarray]]:
+        """Per base: running sums inside blocks and the sum before each block, of byte symbols (uint8) or 64-bit values."""
+        n, step, out = len(symbols), 1 << self.LOW, []
+        blocks = (n >> self.LOW) + 1
+        for table, (low, stride), _ in self.parts:
+            inside = np.zeros(blocks * step, dtype=np.uint64)
+            for i in range(0, n, step * 4):
+                part = symbols[i : i + step * 4]
+                values = inside[i : i + len(part)]
+                values[:] = table[part] if part.dtype == np.uint8 else reduced(mix64(part ^ table[0]))
+                whole = inside[i : min(i + step * 4, len(inside))].reshape(-1, step)
+                whole *= low
+                if part.dtype != np.uint8:
+                    whole[:] = fold(whole)
+                np.cumsum(whole, axis=1, out=whole)
+            far = self._grown(stride, blocks)
+            before = np.zeros(blocks, dtype=np.uint64)
+            before[1:] = reduced(np.cumsum(reduced(reduced(inside[step - 1 :: step]) * far))[:-1])
+            out.append((inside, before))
+        return out
+
+    def _at(self, sums: tuple[np.ndarray, np.ndarray], far: np.ndarray, place: np.ndarray) -> np.ndarray:
+        """The prefix sum before each place, below 2**33."""
+        inside, before = sums
+        block = place >> self.LOW
+        local = fold(fold(inside[place - 1]))
+        local[(place & self.MASK) == 0] = 0
+        return before[block] + fold(local * far[block])
+
+    def spans(self, prefix: list[tuple[np.ndarray, np.ndarray]], start: np.ndarray, end: np.ndarray) -> np.ndarray:
         """Hash of [start, end): equal for equal content and length wherever it stands."""
-        _, down = self._powers(len(prefix))
-        length = (end - start).astype(np.uint64)
-        return mix64((prefix[end] - prefix[start]) * down[start] + length * np.uint64(0xD6E8FEB86659FD93))
+        out, lift = [], np.uint64(int(MERSENNE) << 3)
+        for sums, (_, (_, stride), (low, down)) in zip(prefix, self.parts, strict=True):
+            far = self._grown(stride, len(sums[1]))
+            value = fold(self._at(sums, far, end) + lift - self._at(sums, far, start))
+            value = fold(value * low[start & self.MASK])
+            out.append(reduced(fold(value) * self._grown(down, len(sums[1]))[start >> self.LOW]))
+        return mix64((out[0] << np.uint64(32) | out[1]) ^ mix64((end - start).astype(np.uint64)))
 
 
 HASH_A = RollingHash(17)
 HASH_B = RollingHash(91)
+ANCHOR = AnchorHash(17)
 
 
 class Chunk:

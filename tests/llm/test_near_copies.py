@@ -2,10 +2,8 @@
 
 import random
 
-import numpy as np
-
 import corpus_pipeline
-from floorwalk.llm import near_copies
+from floorwalk.llm import simhash_dedup
 from floorwalk.llm.runtime import materialize
 from tests.llm.test_operators import SCHEMA, brute_suffix, lower, words
 
@@ -67,13 +65,17 @@ def test_near_copies_from_080(spark):
     assert sorted(r.doc_id for r in found) == sorted(min(g) for g in groups)
 
 
-def test_mixed_buckets_are_compared_member_by_member():
-    rng = np.random.default_rng(1)
-    base = rng.integers(0, 1 << 40, 100)
-    sets = [np.unique(np.concatenate([base[:k], rng.integers(0, 1 << 40, 100 - k)])) for k in (100, 60, 97, 50, 95)]
-    sets[3] = np.unique(np.append(sets[1], 7))
-    links = near_copies.group_links(sets, np.array([0, 1, 2, 3, 4]))
-    assert sorted(tuple(sorted(x)) for x in links) in ([(0, 2), (0, 4), (1, 3)], [(0, 2), (1, 3), (2, 4)])
+def test_near_copies_in_many_slices_and_full_ones(spark, monkeypatch):
+    """Slices of eight codes and parts of four: links are found across tables and across the cuts of full slices."""
+    monkeypatch.setattr(simhash_dedup, "SLICE", 8)
+    monkeypatch.setattr(simhash_dedup, "MEMBERS", 4)
+    monkeypatch.setattr(simhash_dedup, "sampled_tables", lambda n: real(n, miss=1e-4, slice_size=8))
+    texts = variants(9)
+    groups = brute_groups(texts)
+    assert sorted(r.doc_id for r in stage(spark, [row(i, t) for i, t in enumerate(texts)])) == sorted(min(g) for g in groups)
+
+
+real = simhash_dedup.sampled_tables
 
 
 def test_stages_with_the_similarity_rule(spark, small):

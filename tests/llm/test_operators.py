@@ -120,9 +120,58 @@ def test_gray_index_finds_all_within_radius():
     base = rng.integers(0, 2**63, 200, dtype=np.uint64)
     near = base ^ (np.uint64(1) << rng.integers(0, 64, 200, dtype=np.uint64))
     codes = np.unique(np.concatenate([base, near, near ^ np.uint64(7)]))
-    want = {(i, j) for i in range(len(codes)) for j in range(len(codes)) if int(codes[i] ^ codes[j]).bit_count() <= 3}
-    got = {(int(a), int(b)) for x, y in simhash_dedup.GrayHammingIndex(codes).links(codes, 3) for a, b in zip(x, y)}
-    assert got == want
+    want = {(j, i) for i in range(len(codes)) for j in range(i) if int(codes[i] ^ codes[j]).bit_count() <= 3}
+    pairs = lambda found: [(int(a), int(b)) for x, y in found for a, b in zip(x, y)]
+    index = simhash_dedup.GrayHammingIndex(codes[:, None], fanout=4)
+    got = pairs(index.links(3))
+    assert {tuple(sorted(p)) for p in got} == want and len(got) == len(want)
+    asked = pairs(index.links(3, codes[:50, None]))
+    assert set(asked) == {(i, j) for i in range(50) for j in range(len(codes)) if int(codes[i] ^ codes[j]).bit_count() <= 3}
+
+
+def test_gray_rank_of_wide_codes():
+    rank = lambda x: simhash_dedup.gray_rank(np.array([[x >> 64, x & (1 << 64) - 1]], dtype=np.uint64))[0]
+    for n in (0, 1, 5, (1 << 64) - 1, 1 << 64, (1 << 64) + 12345, (1 << 128) - 1):
+        high, low = rank(n ^ n >> 1).tolist()
+        assert high << 64 | low == n
+
+
+def test_exact_tables_lose_no_pair():
+    rng = np.random.default_rng(4)
+    for n_codes, n_tables in ((100, 1), (1 << 20, 4), (1 << 33, 10), (1 << 40, 20)):
+        tables = simhash_dedup.exact_tables(n_codes)
+        assert len(tables.orders) == n_tables
+        for _ in range(200):
+            a = rng.integers(0, 2**63, (1, 1), dtype=np.uint64)
+            b = a ^ np.bitwise_or.reduce(np.uint64(1) << rng.choice(64, 3, replace=False).astype(np.uint64))
+            lead = lambda t, x: int(tables.turned(t, x)[0, 0]) >> 64 - tables.lead if tables.lead else 0  # noqa: B023, E731
+            assert any(lead(t, a) == lead(t, b) for t in range(n_tables))
+
+
+def test_full_slices_are_cut_along_the_gray_order(spark, monkeypatch):
+    monkeypatch.setattr(simhash_dedup, "MEMBERS", 40)
+    rng = random.Random(2)
+    codes = {rng.getrandbits(12) << 40 | rng.getrandbits(40) & 0x3F for _ in range(1500)}
+    rows = spark.createDataFrame([(c,) for c in codes], "code long")
+    want = {frozenset(x) for x in groups_of(codes)}
+    found: dict = {}
+    for r in simhash_dedup.link_fingerprints(rows).collect():
+        found.setdefault(r.root, set()).add(r.node)
+    assert {frozenset(x) for x in found.values()} == {x for x in want if len(x) > 1}
+
+
+def groups_of(codes, radius=3):
+    left, out = set(codes), []
+    while left:
+        group, queue = set(), [left.pop()]
+        while queue:
+            a = queue.pop()
+            group.add(a)
+            near = {b for b in left if (a ^ b).bit_count() <= radius}
+            left -= near
+            queue += near
+        out.append(group)
+    return out
 
 
 def test_components(spark):
@@ -292,6 +341,38 @@ def test_cap_filters(spark):
     assert all(got[i].n_links == 0 and got[i].component_id == i and got[i].kept for i in range(900, 907))
 
 
+@pytest.mark.parametrize(("dimension", "scale", "kind"), [(2, 1e200, "double"), (1, 1.0, "float"), (3, 1e-200, "double"), (5, 1.0, "float"), (9, 1e300, "double")])
+def test_cap_filters_in_few_dimensions_and_at_any_scale(spark, dimension, scale, kind):
+    rng = np.random.default_rng(dimension)
+    values = rng.standard_normal((400, dimension)) * scale
+    rows = [(i, v.tolist(), i % 2) for i, v in enumerate(values)]
+    frame = spark.createDataFrame(rows, f"vec_id long, embedding array<{kind}>, label int")
+    unit = cap_filters.unit(np.array(frame.toPandas().sort_values("vec_id")["embedding"].tolist(), dtype=np.float64))
+    same = np.arange(400)[:, None] % 2 == np.arange(400)[None, :] % 2
+    want = ((unit @ unit.T >= 0.93) & same).sum(axis=1) - 1
+    got = {r.vec_id: r.n_links for r in cap_filters.link_vectors(frame).collect()}
+    assert 0.97 * want.sum() <= sum(got.values()) <= want.sum() and all(got[i] <= want[i] for i in got)
+
+
+def test_full_caps_are_cut_into_tiles(spark, monkeypatch):
+    monkeypatch.setattr(cap_filters, "SPLIT_ROWS", 30)
+    rng = np.random.default_rng(8)
+    values = rng.standard_normal(16) + 0.08 * rng.standard_normal((250, 16))
+    unit = cap_filters.unit(values)
+    want = (unit @ unit.T >= 0.93).sum(axis=1) - 1
+    frame = spark.createDataFrame([(i, v.tolist(), 1) for i, v in enumerate(values)], "vec_id long, embedding array<double>, label int")
+    got = {r.vec_id: (r.n_links, r.component_id) for r in cap_filters.link_vectors(frame).collect()}
+    assert want.min() > 100 and [got[i][0] for i in range(250)] == want.tolist() and {c for _, c in got.values()} == {0}
+
+
+def test_filter_designs_keep_list_and_cap_sizes():
+    for dimension in (1, 2, 3, 6, 16, 64, 300):
+        for n in (1000, 10**6):
+            design = cap_filters.suited(dimension, n)
+            assert cap_filters.mean_list(design) < 60, design
+    assert cap_filters.suited(64, 10**6).words ** 2 >= cap_filters.LIST * 10**6 / cap_filters.PER_CAP
+
+
 def test_weak_labels(spark, middle):
     docs, labels = spark.read.parquet(f"{middle}/documents.parquet"), spark.read.parquet(f"{middle}/labels.parquet")
     rates = {r.quality: r.k for r in weak_labels.classify(docs).join(labels, "doc_id").groupBy("quality").agg(F.avg(F.col("kept").cast("double")).alias("k")).collect()}

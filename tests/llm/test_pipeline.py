@@ -3,7 +3,8 @@
 import corpus_pipeline
 from floorwalk.llm import packing, quality_rules
 from floorwalk.llm.runtime import materialize
-from tests.llm.test_operators import brute_suffix, simhash, words
+from tests.llm.test_near_copies import brute_groups
+from tests.llm.test_operators import brute_suffix, words
 
 
 def test_stages(spark, small):
@@ -15,16 +16,8 @@ def test_stages(spark, small):
     good = {r.doc_id for r in quality_rules.judge(docs).where("kept").collect()}
     assert kept.columns == columns and {r.doc_id for r in kept.collect()} == good
     one = materialize(stages["simhash_dedup"](spark, kept, small))
-    rows = sorted((r.doc_id, simhash(r.text)) for r in kept.collect())
-    least: dict = {d: d for d, _ in rows}
-    changed = True
-    while changed:
-        changed = False
-        for a, x in rows:
-            for b, y in rows:
-                if b < a and (x ^ y).bit_count() <= 3 and least[a] > least[b]:
-                    least[a], changed = least[b], True
-    assert {r.doc_id for r in one.collect()} == {d for d, root in least.items() if d == root}
+    rows = sorted((r.doc_id, r.text) for r in kept.collect())
+    assert {r.doc_id for r in one.collect()} == {rows[min(g)][0] for g in brute_groups([t for _, t in rows])}
     cut = materialize(stages["suffix_dedup"](spark, one, small))
     want = brute_suffix([(r.doc_id, r.text) for r in one.collect()])
     assert cut.columns == columns
