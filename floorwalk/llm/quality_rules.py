@@ -11,6 +11,7 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -150,10 +151,13 @@ def strip_lines(text: str, hashes: set[int]) -> str:
 
 def _strip(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     for batch in batches:
-        text, removed = batch.column("text").to_pylist(), batch.column("removed_lines").to_pylist()
-        fixed = pa.array([t if t is None or not r else strip_lines(t, set(r)) for t, r in zip(text, removed, strict=True)], type=pa.string())
+        cut = batch.column("removed_lines").is_valid()
         at = batch.schema.get_field_index("text")
-        yield batch.set_column(at, "text", fixed).drop_columns(["removed_lines"])
+        if cut.true_count:
+            texts, removed = batch.column("text").filter(cut), batch.column("removed_lines").filter(cut)
+            fixed = pa.array((strip_lines(t.as_py(), set(r.as_py())) for t, r in zip(texts, removed, strict=True)), type=batch.schema.field(at).type)
+            batch = batch.set_column(at, "text", pc.replace_with_mask(batch.column("text"), cut, fixed))
+        yield batch.drop_columns(["removed_lines"])
 
 
 def clean(docs: DataFrame, host: str = "source", **options) -> DataFrame:
@@ -166,11 +170,10 @@ def clean(docs: DataFrame, host: str = "source", **options) -> DataFrame:
     def work(named: DataFrame) -> DataFrame:
         columns, rows = named.columns, numbered(named)
         verdict = judge(rows, host, **options).where("kept").select(F.col("rid").alias("_rid"), "removed_lines")
-        whole = rows.join(verdict.where("removed_lines is null"), "_rid", "left_semi").select(*columns)
-        cut = rows.join(verdict.where("removed_lines is not null"), "_rid").select(*columns, "removed_lines").mapInArrow(_strip, named.schema)
+        kept = rows.join(verdict, "_rid").select(*columns, "removed_lines").mapInArrow(_strip, named.schema)
         if "n_chars" in columns:
-            cut = cut.withColumn("n_chars", F.length("text").cast(named.schema["n_chars"].dataType))
-        return whole.unionByName(cut)
+            kept = kept.withColumn("n_chars", F.length("text").cast(named.schema["n_chars"].dataType))
+        return kept
 
     return guarded(docs, work, (*DOCUMENT, host))
 

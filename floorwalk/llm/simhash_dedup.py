@@ -411,11 +411,11 @@ def near_copies(rows: DataFrame) -> DataFrame:
     alike = materialize(marked.groupBy(*same).agg(F.min("rid").alias("first")))
     codes = alike.where("shingles > 0").select(F.col("first").alias("id"), F.col("first").alias("label"), *words)
     tables = sampled_tables(codes.count())
-    body = texts.select("rid", "text")
     pairs = materialize(code_links(codes, tables, NEAR_WORDS, NEAR_RADIUS, FIRST).distinct())
+    met = materialize(pairs.select(F.col("a").alias("id")).union(pairs.select("b")).distinct())
+    body = materialize(texts.select("rid", "text").join(met.withColumnRenamed("id", "rid"), "rid", "left_semi"))
     links = verified(pairs, body)
     roots = materialize(connected_components(links))
-    met = pairs.select(F.col("a").alias("id")).union(pairs.select("b")).distinct()
     again = codes.join(met, "id", "left_semi").drop("label").join(roots.withColumnRenamed("node", "id"), "id", "left").withColumn("label", F.coalesce("root", "id"))
     open_pairs = code_links(again, tables, NEAR_WORDS, NEAR_RADIUS, EVERY).distinct().join(pairs, ["a", "b"], "left_anti")
     roots = connected_components(links.union(verified(materialize(open_pairs), body))).withColumnRenamed("node", "first")
