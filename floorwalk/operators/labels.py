@@ -41,13 +41,24 @@ def graph_labels(venue: Venue, placed: DataFrame, bound=None, backward: bool = F
 
 
 def matrix_labels(venue: Venue, placed: DataFrame, bound=None, backward: bool = False) -> DataFrame:
-    """door_matrix: a range-filtered scan of the ranked row of each door of the host partition."""
+    """door_matrix: a scan of the row of each door of the host partition up to what the bound leaves behind its leg.
+
+    A common bound also cuts the scan itself: rows lie by distance, so pages behind it are not read.
+    """
     matrix = door_matrix(venue).select("a_door", "b_door", "dist_mm")
-    if backward:
-        rows = _within(entry_legs(venue, placed), bound).join(matrix, F.col("door") == F.col("b_door")).select("qid", F.col("a_door").alias("door"), (F.col("dist") + F.col("dist_mm")).alias("dist"))
+    if isinstance(bound, int):
+        matrix = matrix.where(F.col("dist_mm") <= bound)
+    near, far = ("b_door", "a_door") if backward else ("a_door", "b_door")
+    seeds = _within(entry_legs(venue, placed) if backward else exit_legs(venue, placed), bound)
+    if bound is None:
+        left = F.lit(True)
+    elif isinstance(bound, int):
+        left = F.col("dist_mm") <= F.lit(bound) - F.col("dist")
     else:
-        rows = _within(exit_legs(venue, placed), bound).join(matrix, F.col("door") == F.col("a_door")).select("qid", F.col("b_door").alias("door"), (F.col("dist") + F.col("dist_mm")).alias("dist"))
-    return _least(_within(rows, bound))
+        seeds = seeds.join(bound, "qid")
+        left = F.col("dist_mm") <= F.col("bound") - F.col("dist")
+    rows = seeds.join(matrix, (F.col("door") == F.col(near)) & left)
+    return _least(rows.select("qid", F.col(far).alias("door"), (F.col("dist") + F.col("dist_mm")).alias("dist")))
 
 
 def layered_labels(venue: Venue, placed: DataFrame, bound=None, backward: bool = False, engine: str = "auto") -> DataFrame:
@@ -103,8 +114,12 @@ def climb(venue: Venue, tree: BorderTree, placed: DataFrame, backward: bool = Fa
     return out
 
 
-def tree_labels(venue: Venue, placed: DataFrame, bound=None, backward: bool = False, deep: bool = False) -> DataFrame:
-    """border_tree(_deep): climb from the host leaf, then descend into every node whose access-door bound allows it."""
+def tree_labels(venue: Venue, placed: DataFrame, bound=None, backward: bool = False, deep: bool = False, narrow=None) -> DataFrame:
+    """border_tree(_deep): climb from the host leaf, then descend into every node whose access-door bound allows it.
+
+    narrow(labels of open nodes) may give a bound (qid, bound) anew at each level. Without it the labels of all doors within
+    the bound come back; with it the last bound instead, of which the answer is made (see knn.tree_bounds).
+    """
     tree = build_border_tree(venue)
     near, far = ("b_door", "a_door") if backward else ("a_door", "b_door")
     inner = tree.inner.select("node_id", F.col(near).alias("door"), F.col(far).alias("other"), "dist_mm")
@@ -120,7 +135,20 @@ def tree_labels(venue: Venue, placed: DataFrame, bound=None, backward: bool = Fa
     crossed = branch.join(inner, ["node_id", "door"]).join(kid_access, ["node_id", "other"]).where("child <> from_child")
     nodes = _within(crossed.groupBy("qid", F.col("child").alias("node_id"), F.col("other").alias("door")).agg(F.min(F.col("dist") + F.col("dist_mm")).alias("dist")), bound)
     nodes = materialize(nodes.join(line, ["qid", "node_id"], "left_anti"))
-    reached = nodes
+    reached, leaves = nodes, tree.members.select(F.col("leaf").alias("node_id")).distinct()
+    if narrow is not None:
+        # Siblings of the home branch at all levels cover the venue but for the home leaf; a node gives way to its children.
+        cover = materialize(nodes)
+        while True:
+            limit = materialize(narrow(cover))
+            live = cover.join(limit, "qid", "left").where(F.col("bound").isNull() | (F.col("dist") <= F.col("bound"))).drop("bound")
+            low = live.join(leaves, "node_id", "left_semi")
+            inside = materialize(live.join(leaves, "node_id", "left_anti"))
+            if inside.isEmpty():
+                return limit
+            down = inside.join(inner, ["node_id", "door"]).join(kid_access, ["node_id", "other"])
+            down = down.groupBy("qid", F.col("child").alias("node_id"), F.col("other").alias("door")).agg(F.min(F.col("dist") + F.col("dist_mm")).alias("dist"))
+            cover = materialize(low.unionByName(down.select(*low.columns)))
     for _ in range(tree.height):
         down = nodes.join(inner, ["node_id", "door"]).join(kid_access, ["node_id", "other"])
         nodes = materialize(_within(down.groupBy("qid", F.col("child").alias("node_id"), F.col("other").alias("door")).agg(F.min(F.col("dist") + F.col("dist_mm")).alias("dist")), bound))

@@ -1,9 +1,11 @@
 """border_tree and border_tree_deep: a hierarchy of adjacent partitions with distance cells on border ("access") doors.
 
 Leaves grow from crucial partitions by synchronous spreading, upper levels join each node with the neighbour it shares
-most border doors with. Cells hold global shortest distances, so combining them is exact. Tables: members (part_id,
-leaf), nodes (node_id, level, parent_id, ancestors), access (node_id, door_id), leaf_out / leaf_in (leaf door to and from
-the leaf's access doors), leaf_pairs, inner (node, a, b), deep_out / deep_in (leaf door to and from every ancestor's access doors).
+most border doors with. Cells hold global shortest distances and the first door of a shortest path, so combining them is
+exact. Tables: members (part_id, leaf), nodes (node_id, level, parent_id, ancestors), access (node_id, door_id), leaf_out /
+leaf_in (leaf door to and from the leaf's access doors), leaf_pairs, inner (node, a, b), deep_out / deep_in (leaf door to and
+from every ancestor's access doors); each with dist_mm, first_hop, stride_hop (see matrix.first_hops). Where the leg table
+is too large for the compiled kernel, hops are NULL and paths are walked over the legs.
 """
 
 from __future__ import annotations
@@ -14,12 +16,13 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from floorwalk.operators.topology import crucial_parts, door_legs, graph_legs
-from floorwalk.plans.relax import labels, reverse
+from floorwalk.plans.relax import is_local, labels, local_hops, reverse
 from floorwalk.sources.scratch import materialize
 from floorwalk.sources.venue import OUTDOOR, Venue
 
 GAMMA = 6
 LEVEL_STEP = 1_000_000_000_000
+CELL = ("dist_mm", "first_hop", "stride_hop")
 
 
 @dataclass
@@ -124,35 +127,50 @@ def _build(venue: Venue, gamma: int) -> BorderTree:
     for frame in access_all[1:]:
         access = access.union(frame)
     access = materialize(access)
-    # Global distances from and to every access door: one seeded run each way.
     legs = graph_legs(venue)
-    border = access.select("door_id").distinct()
-    seeds = border.select(F.col("door_id").alias("qid"), F.col("door_id").alias("door"), F.lit(0).cast("long").alias("dist"))
-    out_of = materialize(labels(seeds, legs).select(F.col("qid").alias("access_door"), F.col("door").alias("door_id"), F.col("dist").alias("dist_mm")))
-    into = materialize(labels(seeds, reverse(legs)).select(F.col("qid").alias("access_door"), F.col("door").alias("door_id"), F.col("dist").alias("dist_mm")))
     sides = venue.moves.select("door_id", F.col("from_part").alias("part_id")).union(venue.moves.select("door_id", "to_part"))
     leaf_doors = materialize(sides.join(members, "part_id").select("leaf", "door_id").distinct())
-    own_access = access.select(F.col("node_id").alias("leaf"), F.col("door_id").alias("access_door"))
-    pair = leaf_doors.join(own_access, "leaf")
-    leaf_out = materialize(pair.join(into, ["access_door", "door_id"]).select("leaf", "door_id", "access_door", "dist_mm"))
-    leaf_in = materialize(pair.join(out_of, ["access_door", "door_id"]).select("leaf", "door_id", "access_door", "dist_mm"))
-    # Inside a leaf: paths that stay inside, and paths that leave by an access door and come back.
-    local = door_legs(venue).join(members, "part_id").select((F.col("leaf") * 0 + F.col("leaf")).alias("leaf"), "a_door", "b_door", "leg_mm")
-    leaf_pairs = materialize(_leaf_pairs(leaf_doors, local, leaf_out, out_of))
     children = nodes.where("parent_id is not null").select("node_id", "parent_id")
     rim = materialize(access.join(children, "node_id").select(F.col("parent_id").alias("node_id"), "door_id").distinct())
-    inner = rim.select("node_id", F.col("door_id").alias("a_door")).join(rim.select("node_id", F.col("door_id").alias("b_door")), "node_id")
-    inner = materialize(inner.join(out_of.select(F.col("access_door").alias("a_door"), F.col("door_id").alias("b_door"), "dist_mm"), ["a_door", "b_door"]).select("node_id", "a_door", "b_door", "dist_mm"))
     line = chain.select(F.col("node_id").alias("leaf"), F.explode("ancestors").alias("anc_node"))
-    wide = leaf_doors.join(line, "leaf").join(access.select(F.col("node_id").alias("anc_node"), F.col("door_id").alias("access_door")), "anc_node")
-    deep_out = materialize(wide.join(into, ["access_door", "door_id"]).select("leaf", "door_id", "anc_node", "access_door", "dist_mm"))
-    deep_in = materialize(wide.join(out_of, ["access_door", "door_id"]).select("leaf", "door_id", "anc_node", "access_door", "dist_mm"))
-    return BorderTree(members, nodes, access, leaf_doors, leaf_out, leaf_in, leaf_pairs, inner, deep_out, deep_in, level)
+    wide = materialize(leaf_doors.join(line, "leaf").join(access.select(F.col("node_id").alias("anc_node"), F.col("door_id").alias("access_door")), "anc_node").select("leaf", "door_id", "anc_node", "access_door"))
+    inside = leaf_doors.select("leaf", F.col("door_id").alias("a_door")).join(leaf_doors.select("leaf", F.col("door_id").alias("b_door")), "leaf")
+    across = rim.select("node_id", F.col("door_id").alias("a_door")).join(rim.select("node_id", F.col("door_id").alias("b_door")), "node_id")
+    if is_local(legs):
+        wanted = wide.select(F.col("door_id").alias("a_door"), F.col("access_door").alias("b_door"))
+        wanted = wanted.union(wide.select("access_door", "door_id")).union(inside.select("a_door", "b_door")).union(across.select("a_door", "b_door")).distinct()
+        cells = materialize(local_hops(wanted.select(F.col("b_door").alias("door_id")).distinct(), legs).join(wanted, ["a_door", "b_door"]))
+        leaf_pairs = materialize(inside.join(cells, ["a_door", "b_door"]).select("leaf", "a_door", "b_door", *CELL))
+        inner = materialize(across.join(cells, ["a_door", "b_door"]).select("node_id", "a_door", "b_door", *CELL))
+        outward = cells.select(F.col("a_door").alias("door_id"), F.col("b_door").alias("access_door"), *CELL)
+        inward = cells.select(F.col("a_door").alias("access_door"), F.col("b_door").alias("door_id"), *CELL)
+    else:
+        outward, inward, inner, leaf_pairs = _relational_cells(venue, legs, access, members, leaf_doors, across)
+    deep_out = materialize(wide.join(outward, ["access_door", "door_id"]).select("leaf", "door_id", "anc_node", "access_door", *CELL))
+    deep_in = materialize(wide.join(inward, ["access_door", "door_id"]).select("leaf", "door_id", "anc_node", "access_door", *CELL))
+    leaf_out, leaf_in = (deep.where("anc_node = leaf").select("leaf", "door_id", "access_door", *CELL) for deep in (deep_out, deep_in))
+    return BorderTree(members, nodes, access, leaf_doors, materialize(leaf_out), materialize(leaf_in), leaf_pairs, inner, deep_out, deep_in, level)
+
+
+def _relational_cells(venue: Venue, legs: DataFrame, access: DataFrame, members: DataFrame, leaf_doors: DataFrame, across: DataFrame) -> tuple[DataFrame, ...]:
+    """Cells of venues of any size: one seeded run from and one to every access door; hops stay NULL."""
+    none = [F.lit(None).cast("long").alias(c) for c in CELL[1:]]
+    border = access.select("door_id").distinct()
+    seeds = border.select(F.col("door_id").alias("qid"), F.col("door_id").alias("door"), F.lit(0).cast("long").alias("dist"))
+    out_of = materialize(labels(seeds, legs).select(F.col("qid").alias("access_door"), F.col("door").alias("door_id"), F.col("dist").alias("dist_mm")))
+    into = materialize(labels(seeds, reverse(legs)).select(F.col("qid").alias("access_door"), F.col("door").alias("door_id"), F.col("dist").alias("dist_mm")))
+    own_access = access.select(F.col("node_id").alias("leaf"), F.col("door_id").alias("access_door"))
+    leaf_out = leaf_doors.join(own_access, "leaf").join(into, ["access_door", "door_id"]).select("leaf", "door_id", "access_door", "dist_mm")
+    local = door_legs(venue).join(members, "part_id").select("leaf", "a_door", "b_door", "leg_mm")
+    leaf_pairs = materialize(_leaf_pairs(leaf_doors, local, leaf_out, out_of).select("leaf", "a_door", "b_door", "dist_mm", *none))
+    far = out_of.select(F.col("access_door").alias("a_door"), F.col("door_id").alias("b_door"), "dist_mm")
+    inner = materialize(across.join(far, ["a_door", "b_door"]).select("node_id", "a_door", "b_door", "dist_mm", *none))
+    return into.select("*", *none), out_of.select("*", *none), inner, leaf_pairs
 
 
 def _leaf_pairs(leaf_doors: DataFrame, local: DataFrame, leaf_out: DataFrame, out_of: DataFrame) -> DataFrame:
     """(leaf, a_door, b_door, dist_mm) of all door pairs of a leaf. Doors get a number per leaf, which keeps leaves apart."""
-    number = materialize(leaf_doors.withColumn("node", F.row_number().over(Window.orderBy("leaf", "door_id")).cast("long")))
+    number = materialize(leaf_doors.withColumn("node", F.monotonically_increasing_id()))
     a = number.select("leaf", F.col("door_id").alias("a_door"), F.col("node").alias("a"))
     b = number.select("leaf", F.col("door_id").alias("b_door"), F.col("node").alias("b"))
     legs = local.join(a, ["leaf", "a_door"]).join(b, ["leaf", "b_door"]).groupBy(F.col("a").alias("a_door"), F.col("b").alias("b_door")).agg(F.min("leg_mm").alias("leg_mm"))

@@ -6,7 +6,7 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from floorwalk.operators.topology import graph_legs
-from floorwalk.plans.relax import all_pairs
+from floorwalk.plans.relax import all_pairs, is_local, local_hops
 from floorwalk.sources.scratch import materialize
 from floorwalk.sources.venue import Venue
 
@@ -55,11 +55,20 @@ def last_hops(matrix: DataFrame, legs: DataFrame) -> DataFrame:
 
 
 def door_matrix(venue: Venue) -> DataFrame:
-    """(a_door, b_door, dist_mm, rank, first_hop, stride_hop), written in the order in which rows are scanned."""
+    """(a_door, b_door, dist_mm, rank, first_hop, stride_hop), files by start door, rows by distance.
+
+    Range scans and rank walks of any start door read the heads of the files only: pages behind a bound are skipped.
+    """
 
     def make():
-        matrix = matrix_dist(venue)
-        hops = first_hops(matrix, graph_legs(venue))
-        return materialize(with_ranks(matrix).join(hops, ["a_door", "b_door"]).repartition("a_door").sortWithinPartitions("a_door", "rank"))
+        legs, doors = graph_legs(venue), venue.doors.select("door_id")
+        if doors.count() > DOOR_BUDGET:
+            raise ValueError("too many doors for a full matrix; choose border_tree or access_graph")
+        if is_local(legs):
+            whole = local_hops(doors, legs)
+        else:
+            matrix = matrix_dist(venue)
+            whole = matrix.join(first_hops(matrix, legs), ["a_door", "b_door"])
+        return materialize(with_ranks(whole).repartition("a_door").sortWithinPartitions("dist_mm", "a_door"))
 
     return venue.remember("matrix", make)

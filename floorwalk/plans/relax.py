@@ -129,6 +129,221 @@ def local_search(seeds: DataFrame, legs: DataFrame, bound: DataFrame | int | Non
     return rows.repartition("qid").mapInPandas(run, "qid long, door long, dist long")
 
 
+class _Legs:
+    """A leg table of a checked size as arrays over numbered doors, sorted by the door that a leg starts from."""
+
+    def __init__(self, table: pd.DataFrame, more_doors: np.ndarray) -> None:
+        a, b, length = (table[c].to_numpy(dtype=np.int64) for c in ("a_door", "b_door", "leg_mm"))
+        self.nodes = np.unique(np.concatenate([a, b, more_doors]))
+        source, target = np.searchsorted(self.nodes, a), np.searchsorted(self.nodes, b)
+        order = np.lexsort((target, source))
+        self.source, self.target, self.length = source[order], target[order], length[order]
+        self.out = np.flatnonzero(np.diff(self.source, prepend=-1))
+        self.back = np.argsort(self.target, kind="stable")
+        self.into = np.flatnonzero(np.diff(self.target[self.back], prepend=-1))
+
+    def settle(self, label: np.ndarray, limit, backward: bool = False) -> np.ndarray:
+        """Least labels (queries x doors) over the legs, or against them; limit(new labels, queries) names what may stay."""
+        if not len(self.source):
+            return label
+        if backward:
+            near, far, length, first = self.target, self.source, self.length, self.out
+        else:
+            near, far, length, first = self.source[self.back], self.target[self.back], self.length[self.back], self.into
+        hit, live = far[first], np.arange(len(label))
+        while len(live):
+            old = label[live]
+            new = np.minimum.reduceat(old[:, near] + length, first, axis=1)
+            merged = old.copy()
+            merged[:, hit] = np.minimum(old[:, hit], new)
+            merged[~limit(merged, live)] = FAR
+            merged = np.minimum(merged, old)
+            changed = (merged != old).any(axis=1)
+            label[live] = merged
+            live = live[changed]
+        return label
+
+    def hops(self, tight: np.ndarray, stops: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """tight (queries x legs), stops (queries x doors) -> first and stride hop of every door as numbers, or len(nodes).
+
+        A step of length 0 counts as a first hop only if it arrives or if a step of positive length follows it.
+        """
+        n, none = len(tight), len(self.nodes)
+        first, stride = np.full((n, none + 1), none), np.full((n, none + 1), none)
+        if not len(self.source):
+            return first, stride
+        from_door = self.source[self.out]
+        moves = np.where(tight & (self.length > 0), self.target, none)
+        stride[:, from_door] = np.minimum.reduceat(moves, self.out, axis=1)
+        still = np.flatnonzero(self.length == 0)
+        first[:] = stride
+        for leg in still.tolist():  # few: staircase ends that share a place
+            a, b = self.source[leg], self.target[leg]
+            use = tight[:, leg] & (stops[:, b] | (stride[:, b] < none))
+            first[use, a] = np.minimum(first[use, a], b)
+        return first, stride
+
+
+def _blocks(qid: np.ndarray, legs: _Legs) -> Iterator[tuple[np.ndarray, np.ndarray]]:
+    """Queries a block at a time: their ids, and which rows belong to them."""
+    keys, row = np.unique(qid, return_inverse=True)
+    step = max(1, BLOCK_CELLS // max(1, len(legs.source), len(legs.nodes)))
+    for low in range(0, len(keys), step):
+        yield keys[low : low + step], np.flatnonzero((row >= low) & (row < low + step))
+
+
+def local_routes(starts: DataFrame, ends: DataFrame, legs: DataFrame, with_path: bool = True, spots: DataFrame | None = None, targets: DataFrame | None = None) -> DataFrame:
+    """starts (qid, door, dist), ends (qid, door, rest) -> (qid, dist [, path]): the least door way, canonical path.
+
+    One job: queries are dealt over tasks, legs (of a checked size) go to each. Labels above the best complete way found so
+    far are dropped as the search goes on. With spots (door_id, floor, x_mm, y_mm) and targets (qid, floor, x_mm, y_mm) the
+    straight line to a target on the door's own floor bounds the rest from below and rules doors out sooner.
+    """
+    table = legs.select("a_door", "b_door", "leg_mm").toPandas()
+    place = spots.select("door_id", "floor", "x_mm", "y_mm").toPandas().set_index("door_id") if spots is not None else None
+    none = F.lit(None).cast("long")
+    rows = starts.select("qid", F.lit(0).alias("kind"), "door", "dist", none.alias("x"), none.alias("y"))
+    rows = rows.union(ends.select("qid", F.lit(1), "door", "rest", none, none))
+    if targets is not None:
+        rows = rows.union(targets.select("qid", F.lit(2), F.col("floor").cast("long"), F.lit(0).cast("long"), "x_mm", "y_mm"))
+
+    def answer(data: pd.DataFrame) -> Iterator[pd.DataFrame]:
+        kind = data["kind"].to_numpy()
+        graph = _Legs(table, data["door"].to_numpy(dtype=np.int64)[kind < 2])
+        for keys, pick in _blocks(data["qid"].to_numpy(), graph):
+            part, what, n = data.iloc[pick], kind[pick], len(keys)
+            row = np.searchsorted(keys, part["qid"].to_numpy())
+            at = np.searchsorted(graph.nodes, part["door"].to_numpy(dtype=np.int64))
+            value = part["dist"].to_numpy(dtype=np.int64)
+            begin, finish = np.full((n, len(graph.nodes)), FAR), np.full((n, len(graph.nodes)), FAR)
+            for kind_no, matrix in ((0, begin), (1, finish)):
+                use = what == kind_no
+                np.minimum.at(matrix, (row[use], at[use]), value[use])
+            ahead = np.zeros((n, len(graph.nodes)), dtype=np.int64)
+            if place is not None and (what == 2).any():
+                known = place.reindex(graph.nodes)
+                floor, x, y = (known[c].to_numpy(dtype=float) for c in ("floor", "x_mm", "y_mm"))
+                for r, f, tx, ty in zip(row[what == 2], part["door"].to_numpy()[what == 2], part["x"].to_numpy(dtype=float)[what == 2], part["y"].to_numpy(dtype=float)[what == 2], strict=True):
+                    ahead[r] = np.where(floor == f, np.floor(np.hypot(x - tx, y - ty)), 0)
+            best = (begin + finish).min(axis=1)
+
+            def forward(label, live):
+                best[live] = np.minimum(best[live], (label + finish[live]).min(axis=1))
+                return label + ahead[live] <= best[live][:, None]
+
+            label = graph.settle(begin.copy(), forward)
+            best = np.minimum(best, (label + finish).min(axis=1))
+            found = np.flatnonzero(best < FAR)
+            if not len(found):
+                continue
+            if not with_path:
+                yield pd.DataFrame({"qid": keys[found], "dist": best[found]})
+                continue
+            rest = graph.settle(finish.copy(), lambda back, live: label[live] + back <= best[live][:, None], backward=True)
+            on = (label + rest == best[:, None]) & (label < FAR)
+            tight = on[:, graph.source] & on[:, graph.target] & (label[:, graph.source] + graph.length == label[:, graph.target])
+            stops = on & (label + finish == best[:, None])
+            first, stride = graph.hops(tight, stops)
+            opens = on & (begin == label)
+            paths: list[list[int]] = [[] for _ in range(n)]
+            live = found
+            here = opens[live].argmax(axis=1)
+            still = np.zeros(len(live), dtype=bool)
+            while len(live):
+                for q, door in zip(live.tolist(), graph.nodes[here].tolist(), strict=True):
+                    paths[q].append(door)
+                go = ~stops[live, here]
+                live, here, still = live[go], here[go], still[go]
+                then = np.where(still, stride[live, here], first[live, here])
+                still = label[live, then] == label[live, here]
+                here = then
+            yield pd.DataFrame({"qid": keys[found], "dist": best[found], "path": [paths[q] for q in found.tolist()]})
+
+    def run(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        whole = list(frames)
+        if whole and sum(map(len, whole)):
+            yield from answer(pd.concat(whole))
+
+    return rows.repartition("qid").mapInPandas(run, "qid long, dist long" + (", path array<long>" if with_path else ""))
+
+
+def relational_routes(starts: DataFrame, ends: DataFrame, legs: DataFrame, best: DataFrame) -> DataFrame:
+    """(qid, dist, path) from path-carrying labels, bounded by the known answers best (qid, bound): for graphs of any size."""
+    found = relax(starts, legs, best, with_path=True)
+    whole = found.join(ends, ["qid", "door"]).groupBy("qid").agg(F.min(F.struct((F.col("dist") + F.col("rest")).alias("dist"), "path")).alias("low"))
+    return whole.select("qid", "low.dist", "low.path")
+
+
+def local_hops(targets: DataFrame, legs: DataFrame) -> DataFrame:
+    """targets (door_id) -> (a_door, b_door, dist_mm, first_hop, stride_hop): of every door a to each target b.
+
+    One job over targets; first_hop is NULL on the diagonal (see matrix.first_hops for stride_hop).
+    """
+    table = legs.select("a_door", "b_door", "leg_mm").toPandas()
+
+    def run(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        whole = list(frames)
+        if not whole or not sum(map(len, whole)):
+            return
+        door = pd.concat(whole)["door_id"].to_numpy(dtype=np.int64)
+        graph = _Legs(table, door)
+        for keys, _ in _blocks(door, graph):
+            n, at = len(keys), np.searchsorted(graph.nodes, keys)
+            rest = np.full((n, len(graph.nodes)), FAR)
+            rest[np.arange(n), at] = 0
+            stops = rest == 0
+            rest = graph.settle(rest, lambda back, live: back < FAR, backward=True)
+            tight = (rest[:, graph.target] < FAR) & (rest[:, graph.source] == graph.length + rest[:, graph.target])
+            first, stride = graph.hops(tight, stops)
+            r, c = np.nonzero(rest < FAR)
+            names = np.append(graph.nodes, -1)
+            hop = [names[h[r, c]] for h in (first, stride)]
+            own = c == at[r]
+            hop = [np.where(own, -1, h) for h in hop]
+            yield pd.DataFrame({"a_door": graph.nodes[c], "b_door": keys[r], "dist_mm": rest[r, c], **{k: pd.array(h, dtype="Int64") for k, h in zip(("first_hop", "stride_hop"), hop, strict=True)}})
+
+    found = targets.select("door_id").repartition("door_id").mapInPandas(run, "a_door long, b_door long, dist_mm long, first_hop long, stride_hop long")
+    known = lambda c: F.when(F.col(c) >= 0, F.col(c)).alias(c)
+    return found.select("a_door", "b_door", "dist_mm", known("first_hop"), known("stride_hop"))
+
+
+def walk_hops(hops: DataFrame, still: DataFrame, ends: DataFrame, per_task: int = 100_000) -> DataFrame:
+    """ends (a_door, b_door, distinct) and hops (a_door, b_door, first_hop, stride_hop) -> (a_door, b_door, path).
+
+    All walks towards one door are one grouped pass over the hops that are stored for it; a door that many walks end at is
+    dealt to several tasks. A walk that comes to a door without a stored hop has no row. still (a_door, b_door) names the
+    legs of length 0.
+    """
+    places = [(r[0], r[1]) for r in still.select("a_door", "b_door").collect()]  # few: staircase ends that share a place
+    deals = materialize(ends.groupBy("b_door").agg(F.ceil(F.count("*") / per_task).cast("int").alias("deals")))
+    asked = ends.join(deals, "b_door").select("a_door", "b_door", F.pmod(F.xxhash64("a_door"), F.col("deals")).cast("int").alias("deal"))
+    copies = deals.select(F.col("b_door").alias("goal"), F.explode(F.sequence(F.lit(0), F.col("deals") - 1)).alias("deal"))
+    known = hops.join(copies, F.col("b_door") == F.col("goal")).select("a_door", "b_door", "deal", "first_hop", "stride_hop")
+
+    def walk(step: pd.DataFrame, ask: pd.DataFrame) -> pd.DataFrame:
+        empty = pd.DataFrame({"a_door": pd.Series([], dtype="int64"), "b_door": pd.Series([], dtype="int64"), "path": pd.Series([], dtype=object)})
+        if ask.empty:
+            return empty
+        goal = int(ask["b_door"].iloc[0])
+        rows = zip(step["a_door"], step["first_hop"], step["stride_hop"], strict=True)
+        onward = {int(a): (None if pd.isna(f) else int(f), None if pd.isna(s) else int(s)) for a, f, s in rows}
+        zero, out, seen = set(places), [], {}
+        for a in ask["a_door"].astype(int).unique().tolist():
+            path, at, rested = [a], a, False
+            while at != goal and at is not None and len(path) <= len(onward) + 2:
+                then = onward.get(at, (None, None))[1 if rested else 0]
+                rested = (at, then) in zero
+                at = then
+                path.append(at)
+            seen[a] = path if at == goal else None
+            if seen[a]:
+                out.append((a, goal, path))
+        return pd.DataFrame(out, columns=["a_door", "b_door", "path"]) if out else empty
+
+    pairs = known.groupBy("b_door", "deal").cogroup(asked.groupBy("b_door", "deal"))
+    return pairs.applyInPandas(walk, "a_door long, b_door long, path array<long>")
+
+
 def labels(seeds: DataFrame, legs: DataFrame, bound: DataFrame | int | None = None, engine: str = "auto") -> DataFrame:
     """relax() or local_search(), by the checked size of the leg table unless the engine is named."""
     if engine == "auto":
