@@ -8,11 +8,16 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from floorwalk import oracles as O
+from floorwalk import workload
+from floorwalk.functions import sqlapi
+from floorwalk.functions.udfs import least_sum, leg_mm_py
 from floorwalk.operators import extend, host, knn, metrics, route, surrounding, topology
 from floorwalk.operators import range as ranges
-from floorwalk.operators.labels import METHODS, graph_labels
+from floorwalk.operators.labels import METHODS, NAMES, graph_labels, matrix_labels
+from floorwalk.operators.topology import entry_legs, exit_legs
 from floorwalk.plans import border, matrix, relax, rtree
 from floorwalk.sources import venue as V
+from floorwalk.sources.scratch import materialize
 from floorwalk.streaming import occupancy
 
 R_MM, K, GAMMA, AT_S, AT_TS = 60_000, 10, 6, 7 * 3600 + 1800, "2024-01-15 12:00:00"
@@ -67,6 +72,12 @@ query("venue_stats", O.sql(f"""select (select count(distinct floor) from part) a
 query("dv_histogram", O.sql("select kind, dv, count(*) as n from dv group by 1, 2", _DV))(metrics.dv_histogram)
 query("kind_pivot", O.sql("select dv, count(*) filter (kind = 'hall') as hall, count(*) filter (kind = 'lobby') as lobby, count(*) filter (kind = 'room') as room, count(*) filter (kind = 'stair') as stair from dv group by dv", _DV))(surrounding.kind_pivot)
 query("irregular_parts", O.sql("select part_id, kind from part where xmin is not null and (kind = 'hall' or greatest(xmax - xmin, ymax - ymin) > 4.0 * least(xmax - xmin, ymax - ymin))"))(lambda v: topology.is_irregular(v.partitions))
+query("validate_broken", O.sql("""select 'V1' as "check", min(part_id)::bigint as id from part union all select 'V3', unnest([5000000, 5000001]) union all select 'V4', door from door where kind = 'room_main' and floor = 0"""))(lambda v: surrounding.validate_venue(surrounding.broken_venue(v)))
+query("connectivity", O.sql("select count(*) as reachable, count(*) filter (not exists (select 1 from dist r where r.a = d.b and r.b = d.a)) as one_way from dist d where a <> b", pairs=True))(lambda v: surrounding.connectivity(matrix.matrix_dist(v)))
+query("kind_maps", O.sql("select floor, count(*)::int as kinds, coalesce(max(n) filter (kind = 'room'), 0) as rooms, (count(*) filter (n >= 5))::int as frequent from (select floor, kind, count(*) as n from part group by 1, 2) group by floor"))(surrounding.kind_maps)
+query("dv_ranks", O.sql("select part_id, (rank() over (partition by kind order by dv))::int as place, (dense_rank() over (partition by kind order by dv))::int as dense, (ntile(4) over (partition by kind order by dv, part_id))::int as quarter, floor(percent_rank() over (partition by kind order by dv) * 1000)::bigint as share from dv", _DV))(surrounding.dv_ranks)
+query("word_profile", "select string_split(lower(p_name), ' ')[1] as first_word, count(*) as parts, max(length(replace(lower(p_name), ' ', '')))::int as longest, max(regexp_extract(p_brand, '([0-9]+)', 1)::int) as brand_no, min(levenshtein(string_split(lower(p_name), ' ')[1], 'green'))::int as nearest from part group by 1")(surrounding.word_profile)
+query("event_calendar", "select (dayofweek(ts) + 1)::int as weekday, hour(ts)::int as hour, count(*) as n from events group by 1, 2")(surrounding.event_calendar)
 query("validate_venue", O.sql("select 'V1' as \"check\", 0::bigint as id where false"))(surrounding.validate_venue)
 
 
@@ -99,8 +110,9 @@ query("first_hops", O.sql("select d.a as a_door, d.b as b_door, hop.x as first_h
 _BACK = """tight as (select g.b as a, r.a as b, g.a as x, g.leg from dist d join graph g on g.b = d.b join dist r on r.b = g.a and r.a = d.a where g.leg + r.d = d.d),
 hop as (select a, b, min(x) as x from tight t where leg > 0 or x = b or exists (select 1 from tight o where o.a = t.x and o.b = t.b and o.leg > 0) group by a, b)"""
 query("last_hops", O.sql("select d.a as a_door, d.b as b_door, hop.x as last_hop from dist d left join hop on hop.a = d.b and hop.b = d.a", _BACK, pairs=True))(lambda v: matrix.last_hops(matrix.matrix_dist(v), topology.graph_legs(v)))
-query("kernel_relax", O.sql("select a as a_door, b as b_door, d as dist_mm from dist where a % 7 = 0", pairs=True))(lambda v: relax.all_pairs(topology.graph_legs(v), v.doors.select("door_id").where("door_id % 7 = 0"), engine="relax"))
-query("kernel_relax_all")(lambda v: relax.all_pairs(topology.graph_legs(v), v.doors.select("door_id"), engine="relax"))
+query("kernel_relax_all", O.sql("select a as a_door, b as b_door, d as dist_mm from dist", pairs=True))(lambda v: relax.all_pairs(topology.graph_legs(v), v.doors.select("door_id"), engine="relax"))
+query("kernel_hops", O.sql("select d.a as a_door, d.b as b_door, d.d as dist_mm, hop.x as first_hop from dist d left join hop on hop.a = d.a and hop.b = d.b", _TIGHT, pairs=True))(lambda v: relax.local_hops(v.doors.select("door_id"), topology.graph_legs(v)).select("a_door", "b_door", "dist_mm", "first_hop"))
+query("first_hops_joined", O.sql("select d.a as a_door, d.b as b_door, hop.x as first_hop from dist d left join hop on hop.a = d.a and hop.b = d.b", _TIGHT, pairs=True))(lambda v: matrix.first_hops(matrix.matrix_dist(v), topology.graph_legs(v)).select("a_door", "b_door", "first_hop"))
 query("kernel_square", O.sql("select a as a_door, b as b_door, d as dist_mm from dist", pairs=True))(lambda v: relax.all_pairs(topology.graph_legs(v), v.doors.select("door_id"), engine="square"))
 query("skeleton", O.sql("select a as a_stair, b as b_stair, d as dist_mm from dist where a in (select door from door where kind in ('stair_low', 'stair_high')) and b in (select door from door where kind in ('stair_low', 'stair_high'))", pairs=True))(rtree.skeleton)
 query("rt_links", O.sql("select f as part_id, count(*) as n_links, string_agg(door || ':' || t, ',' order by door, t) as links from move group by f"))(
@@ -131,6 +143,20 @@ query("bt_cells_exact", O.sql("select 0::bigint as wrong"))(
     .join(matrix.matrix_dist(v), ["a_door", "b_door"], "left").agg(F.coalesce(F.sum((~F.col("d").eqNullSafe(F.col("dist_mm"))).cast("long")), F.lit(0)).alias("wrong"))
 )
 
+# Stored hops of all cells against the first doors of shortest paths: rows that differ, of which there must be none.
+query("bt_hops", O.sql("select a as a_door, b as b_door, x as first_hop from hop where a in (select door from door) and b in (select door from door)", _TIGHT, pairs=True))(lambda v: _cell_hops(v))
+
+
+def _cell_hops(v: V.Venue) -> DataFrame:
+    """Hops as the cells store them, and from the kernel for pairs that no cell holds."""
+    tree = border.build_border_tree(v)
+    cells = tree.deep_out.select(F.col("door_id").alias("a_door"), F.col("access_door").alias("b_door"), "first_hop")
+    cells = cells.union(tree.deep_in.select(F.col("access_door").alias("a_door"), F.col("door_id").alias("b_door"), "first_hop"))
+    cells = cells.union(tree.leaf_pairs.select("a_door", "b_door", "first_hop")).union(tree.inner.select("a_door", "b_door", "first_hop")).where("first_hop is not null").distinct()
+    rest = matrix.door_matrix(v).where("first_hop is not null").select("a_door", "b_door", "first_hop").join(cells, ["a_door", "b_door"], "left_anti")
+    return cells.union(rest)
+
+
 # ---- queries by method --------------------------------------------------------------------------------------------
 
 _OD = O.object_distances()
@@ -180,7 +206,9 @@ query("model_size", O.sql("""select 'access_graph' as method, 'moves' as compone
     lambda v: metrics.model_size(v, ("ag", "dm")).where("method = 'access_graph' or component = 'matrix'").select("method", "component", "n_rows")
 )
 query("model_size_all")(lambda v: metrics.model_size(v))
-query("method_features", "select * from (values " + ", ".join("(" + ", ".join(f"'{x}'" for x in row) + ")" for row in metrics.FEATURES) + ") t(method, precomputation, structure, initialisation, expansion, native)")(lambda v: metrics.method_features(v.spark))
+query("method_features", """select * from (values ('access_graph', 'no', 'graph and maps', 'scan', 'best-first', 'SPQ, SDQ'), ('door_matrix', 'yes', 'matrix', 'scan', 'loop', 'RQ, KNN'),
+    ('layered_rtree', 'no', 'tree and links', 'R-tree', 'best-first', 'RQ, KNN'), ('border_tree', 'yes', 'tree and matrices', 'scan', 'common ancestor', 'RQ, KNN, SPQ, SDQ'),
+    ('border_tree_deep', 'yes', 'tree and matrices', 'scan', 'common ancestor', 'RQ, KNN, SPQ, SDQ')) t(method, precomputation, structure, initialisation, expansion, native)""")(lambda v: metrics.method_features(v.spark))
 query("recommend", O.sql(f"""select unnest(['range', 'knn', 'route', 'changing_doors']) as task, unnest([case when small then 'door_matrix' when crucial then 'border_tree_deep' else 'access_graph' end,
     case when small then 'door_matrix' when crucial then 'border_tree_deep' else 'access_graph' end, case when small then 'door_matrix' else 'border_tree_deep' end, 'access_graph']) as method
     from (select (select count(*) from door) <= {metrics.SMALL_DOORS} as small, count(*) filter (dv > {GAMMA}) / count(*) > {metrics.CRUCIAL_SHARE} as crucial from dv)""", _DV))(metrics.recommend)
@@ -227,13 +255,32 @@ def _open_sql() -> str:
 
 
 query("route_open_at", _open_sql())(lambda v: extend.route_open_at("ag", v, V.query_pairs(v), AT_S))
-query("route_timed")(lambda v: extend.route_timed(v, V.query_pairs(v), AT_S))
+_TIMED = f"""tlab(qid, door, d) using key (qid, door) as (
+    select src.qid, e.door, {O.leg('src.', 'da.')} from src join exits e on e.part_id = src.part_id join door da on da.door = e.door where free(e.door, {O.leg('src.', 'da.')})
+    union
+    select r.qid, g.b, min(r.d + g.leg) from tlab r join graph g on g.a = r.door left join recurring.tlab k on k.qid = r.qid and k.door = g.b
+    where free(g.b, r.d + g.leg) and (k.d is null or r.d + g.leg < k.d) group by r.qid, g.b),
+timed as (select qid, min(d) as dist_mm from (
+    select tlab.qid, tlab.d + {O.leg('d.', 'dst.')} as d from tlab join entries n on n.door = tlab.door join dst on dst.qid = tlab.qid and dst.part_id = n.part_id join door d on d.door = tlab.door
+    union all select src.qid, {O.leg('src.', 'dst.')} from src join dst using (qid, part_id)) group by qid)"""
+
+
+def _timed_sql() -> str:
+    """Door hours hold at the second of arrival: 1.2 m/s from the departure on."""
+    text = _TIMED
+    for door, d in (("e.door", O.leg("src.", "da.")), ("g.b", "r.d + g.leg")):
+        second = f"(({AT_S} + ({d}) // 1200) % 86400)"
+        text = text.replace(f"free({door}, {d})", f"({door} not in (select door from hours) or exists (select 1 from hours h where h.door = {door} and {second} >= h.open_s and {second} < h.close_s))")
+    return O.sql("select pr.qid, dist_mm from pr left join timed using (qid)", _POINTS, O.PAIR_SIDES, O.OPEN_HOURS, text)
+
+
+query("route_timed", _timed_sql())(lambda v: extend.route_timed(v, V.query_pairs(v), AT_S))
 _POS = """rk as (select base + 10000000 + s as part_id, floor, c * 10000 as xmin, hy + case side when 0 then 12000 else 0 end as ymin, row_number() over (order by s) - 1 as n from room),
 pos as (select user_id, ts, event_id::bigint as event_id, rk.floor, xmin + 1 + (7919 * event_id) % 9998 as x, ymin + 1 + (104729 * event_id) % 7998 as y, part_id from events join rk on rk.n = (31 * event_id + user_id) % (select count(*) from rk))"""
 query("positions_as_of", O.sql(f"select user_id, ts, part_id from pos where ts <= timestamp '{AT_TS}' qualify row_number() over (partition by user_id order by ts desc, event_id desc) = 1", _POS))(lambda v: extend.positions_as_of(extend.positions(v), AT_TS))
 query("trajectory_steps", O.sql(f"select user_id, event_id, {O.leg('s.', 's.p')} as step_mm from (select *, lag(floor) over w as pfloor, lag(x) over w as px, lag(y) over w as py from pos window w as (partition by user_id order by ts, event_id)) s where pfloor = floor", _POS))(lambda v: surrounding.trajectory_steps(extend.positions(v)))
 query("users_per_room", O.sql("select part_id, count(distinct user_id) as users from pos group by 1", _POS))(lambda v: surrounding.users_per_room(extend.positions(v)))
-query("approx_users_per_room")(lambda v: surrounding.approx_users_per_room(extend.positions(v)))
+query("approx_users_per_room", O.sql("select part_id, count(distinct user_id) as users, 1::int as near from pos group by 1", _POS))(lambda v: surrounding.approx_users_per_room(extend.positions(v)))
 _TS = "timestamp"
 query("occupancy_tumbling", O.sql("select date_trunc('hour', ts) as start_ts, part_id, count(*) as n from pos group by 1, 2", _POS))(lambda v: occupancy.tumbling(extend.positions(v).withColumn("ts", F.col("ts").cast(_TS))).withColumn("start_ts", F.col("start_ts").cast("timestamp_ntz")))
 query("occupancy_sliding", O.sql("select start_ts, part_id, count(*) as n from (select part_id, time_bucket(interval 30 minutes, ts) - to_minutes(30 * k) as start_ts from pos, range(4) r(k)) group by 1, 2", _POS))(lambda v: occupancy.sliding(extend.positions(v).withColumn("ts", F.col("ts").cast(_TS))).withColumn("start_ts", F.col("start_ts").cast("timestamp_ntz")))
@@ -271,7 +318,21 @@ def _alerts(v: V.Venue) -> DataFrame:
     return occupancy.run_once(occupancy.alerts(occupancy.monitored(_stream_positions(v), area, R_MM)))
 
 
-query("stream_alerts")(_alerts)
+_MON = f"""mon as (select event_id, max(case when d <= {R_MM} then 1 else 0 end) as inside from (
+    select pos.event_id, r.d + {O.leg('d.', 'pos.')} as d from pos join move m on m.t = pos.part_id join reach r on r.door = m.door and r.qid = 0 join door d on d.door = m.door
+    union all select pos.event_id, {O.leg('pt.', 'pos.')} from pos join pt on pt.part_id = pos.part_id and pt.qid = 0
+    union all select event_id, 1000000000 from pos) group by 1)"""
+# Rows at the last time of all stay behind the watermark.
+query("stream_alerts", O.sql("""select user_id::bigint as user_id, ts, case when inside = 1 then 'enter' else 'leave' end as event from (
+    select user_id, ts, inside, lag(inside, 1, 0) over (partition by user_id order by ts, event_id) as was from pos join mon using (event_id))
+    where inside <> was and ts < (select max(ts) from pos)""", _POINTS, O.OBJECTS, _OD, _POS, _MON, pairs=True))(lambda v: _alerts(v).withColumn("ts", F.col("ts").cast("timestamp_ntz")))
+query("stream_bucket_upserts", O.sql("select user_id, ts, part_id from pos qualify row_number() over (partition by user_id order by ts desc, event_id desc) = 1", _POS))(
+    lambda v: occupancy.upserts(_stream_positions(v).select("user_id", "ts", "event_id", "part_id"), ["user_id"], occupancy.latest).select("user_id", F.col("ts").cast("timestamp_ntz").alias("ts"), "part_id")
+)
+query("stream_update_mode", O.sql("select date_trunc('hour', ts) as start_ts, part_id, count(*) as n from pos group by 1, 2", _POS))(
+    lambda v: _ntz(occupancy.upserts(occupancy.tumbling(_stream_positions(v).withWatermark("ts", occupancy.LATE)), ["start_ts", "part_id"], occupancy.greatest_count, "update"))
+)
+query("events_last_hour", O.sql("select event_id, count(*) over (partition by user_id order by epoch(ts)::bigint range between 3600 preceding and current row) as n from pos", _POS))(lambda v: surrounding.events_last_hour(extend.positions(v)))
 query("stream_meetings", O.sql("select a.part_id, a.user_id as a_user, b.user_id as b_user, a.event_id * 0 + count(*) as n from pos a join pos b on a.part_id = b.part_id and a.user_id < b.user_id and b.ts between a.ts - interval 10 minutes and a.ts + interval 10 minutes group by all", _POS).replace("a.event_id * 0 + count(*)", "count(*)"))(
     lambda v: occupancy.run_once(occupancy.meetings(_stream_positions(v), _stream_positions(v))).groupBy("part_id", "a_user", "b_user").agg(F.count("*").alias("n"))
 )
@@ -297,7 +358,27 @@ def _word_sql(select: str, need: int) -> str:
 
 query("keyword_range", _word_sql(f"select qid, object_id, dist_mm from od where dist_mm <= {R_MM} and object_id in (select object_id from chosen)", 1))(lambda v: extend.keyword_range("ag", v, V.query_points(v), V.objects(v), extend.object_words(v), list(WORDS), R_MM, False))
 query("keyword_knn", _word_sql(f"select qid, row_number() over (partition by qid order by dist_mm, object_id) as rank, object_id, dist_mm from od where object_id in (select object_id from chosen) qualify rank <= {K}", 2))(lambda v: extend.keyword_knn("btd", v, V.query_points(v), V.objects(v), extend.object_words(v), list(WORDS), K))
-query("keyword_route")(lambda v: extend.keyword_route(v, V.query_pairs(v), V.objects(v), extend.object_words(v), list(WORDS), 2))
+_COVER = f"""kw as (select * from words where word in {WORDS}),
+cov as (select part_id, bit_or(case when word = '{WORDS[0]}' then 1 else 2 end)::bigint as mask from kw join obj using (object_id) group by part_id),
+lab(qid, door, mask, l) using key (qid, door, mask) as (
+    select src.qid, e.door, coalesce(c.mask, 0)::bigint, {{'d': {O.leg('src.', 'da.')}, 'p': [e.door]}} from src join exits e on e.part_id = src.part_id join door da on da.door = e.door left join cov c on c.part_id = src.part_id
+    union
+    select qid, door, mask, min(l) from (
+        select r.qid, g.b as door, (r.mask | coalesce(c.mask, 0))::bigint as mask, {{'d': r.l.d + g.leg, 'p': list_append(r.l.p, g.b)}} as l from lab r join legs g on g.a = r.door left join cov c on c.part_id = g.part_id) n
+    left join (select qid as kq, door as kd, mask as km, l as kl from recurring.lab) k on kq = qid and kd = door and km = mask where kl is null or l < kl group by qid, door, mask),
+whole as (select lab.qid, lab.l.d + {O.leg('d.', 'dst.')} as total_mm, lab.l.p as p from lab join entries n on n.door = lab.door join dst on dst.qid = lab.qid and dst.part_id = n.part_id join door d on d.door = lab.door
+        left join cov c on c.part_id = dst.part_id where (lab.mask | coalesce(c.mask, 0)) = 3
+    union select src.qid, {O.leg('src.', 'dst.')}, cast([] as bigint[]) from src join dst using (qid, part_id) join cov using (part_id) where cov.mask = 3)"""
+
+
+def _route_sql() -> str:
+    words = _WORDS.replace("{w}", str(WORDS)).replace("{n}", "1")
+    body = O.sql("select qid, rank, total_mm, array_to_string(p, '>') as door_path from (select *, row_number() over (partition by qid order by total_mm, p) as rank from whole) where rank <= 2", _POINTS, O.OBJECTS, O.PAIR_SIDES, words, _COVER)
+    return body.replace("with recursive ", "with recursive part_t as materialized (select p_partkey, p_name, p_brand from part), ", 1).replace("\npart as (", "\npart_v as (", 1).replace("join part p", "join part_v p")
+
+
+query("keyword_route", _route_sql())(lambda v: extend.keyword_route(v, V.query_pairs(v), V.objects(v), extend.object_words(v), list(WORDS), 2).withColumn("door_path", _text("door_path")))
+query("keyword_knn_bt", _word_sql(f"select qid, row_number() over (partition by qid order by dist_mm, object_id) as rank, object_id, dist_mm from od where object_id in (select object_id from chosen) qualify rank <= {K}", 2))(lambda v: extend.keyword_knn("bt", v, V.query_points(v), V.objects(v), extend.object_words(v), list(WORDS), K))
 query("node_words")(lambda v: extend.node_words(v, V.objects(v), extend.object_words(v)))
 
 # ---- surrounding operators ----------------------------------------------------------------------------------------
@@ -311,9 +392,7 @@ query("requested_k", "select event_id::bigint as event_id, cast(props->>'$.k' as
 
 
 def _s2t(v: V.Venue) -> DataFrame:
-    from floorwalk.workload import s2t_pairs
-
-    return s2t_pairs(v, (30_000, 60_000, 90_000, 120_000, 150_000)).select("s2t_mm", "qid", "dist_mm")
+    return workload.s2t_pairs(v).select("s2t_mm", "qid", "dist_mm")
 
 
 query("s2t_pairs", O.sql("select s2t_mm, qid, dist_mm from sdq, (select unnest([30000, 60000, 90000, 120000, 150000])::bigint as s2t_mm) qualify row_number() over (partition by s2t_mm order by abs(dist_mm - s2t_mm), qid) <= 10", _POINTS, O.PAIR_SIDES, O.pair_distances(), pairs=True))(_s2t)
@@ -324,14 +403,16 @@ query("s2t_pairs", O.sql("select s2t_mm, qid, dist_mm from sdq, (select unnest([
 
 def _sql(text: str):
     def make(v: V.Venue) -> DataFrame:
-        from floorwalk.functions import sqlapi
-
         sqlapi.register(v.spark, v)
         return v.spark.sql(text)
 
     return make
 
 
+query("sql_range", _RQ)(_sql(f"select * from indoor_range({R_MM})"))
+query("sql_knn", _KNN)(_sql(f"select * from indoor_knn({K})"))
+query("sql_route", O.sql("select qid, (i - 1)::int as step, c.p[i] as door from best, range(1, 100) r(i) where i <= len(c.p)", _POINTS, O.PAIR_SIDES, O.pair_paths()))(_sql("select p.qid, r.step, r.door from indoor_paths p, lateral indoor_unroll(p.path) r"))
+query("sql_one_route", O.sql("select (i - 1)::int as step, c.p[i] as door from best, range(1, 100) r(i) where i <= len(c.p) and qid = (select min(qid) from pr)", _POINTS, O.PAIR_SIDES, O.pair_paths()))(lambda v: _sql(f"select * from indoor_route({V.query_pairs(v).agg(F.min('qid')).first()[0]})")(v))
 query("sql_nearest_doors", O.sql("select qid, door as door_id, leg_mm from (select qid, d.door, min(" + O.leg("pt.", "d.") + ") as leg_mm from pt join move m on m.f = pt.part_id join door d on d.door = m.door group by 1, 2) qualify row_number() over (partition by qid order by leg_mm, door) <= 2", _POINTS))(
     lambda v: _sql("""select p.qid, n.door_id, n.leg_mm from (select q.qid, q.x_mm, q.y_mm, a.part_id from indoor_points q join indoor_partitions a on a.floor = q.floor and q.x_mm >= a.xmin and q.x_mm < a.xmax and q.y_mm >= a.ymin and q.y_mm < a.ymax) p,
     lateral (select d.door_id, indoor_leg(p.x_mm, p.y_mm, d.x_mm, d.y_mm) as leg_mm from indoor_doors d join indoor_moves m on m.door_id = d.door_id where m.from_part = p.part_id group by 1, 2 order by leg_mm, door_id limit 2) n""")(v)
@@ -339,10 +420,7 @@ query("sql_nearest_doors", O.sql("select qid, door as door_id, leg_mm from (sele
 
 
 def _unrolled(v: V.Venue) -> DataFrame:
-    from floorwalk.functions import sqlapi
-
     sqlapi.register(v.spark, v)
-    route.route_query("dm", v, V.query_pairs(v), False).select("qid", _text("door_path").alias("path")).createOrReplaceTempView("indoor_paths")
     return v.spark.sql("select qid, step, door from indoor_paths, lateral indoor_unroll(path)")
 
 
@@ -350,19 +428,78 @@ query("path_unroll", O.sql("select qid, (i - 1)::int as step, c.p[i] as door fro
 
 
 def _legs_py(v: V.Venue) -> DataFrame:
-    from floorwalk.functions.udfs import leg_mm_py
-
     points = V.query_points(v).select("qid", "floor", "x_mm", "y_mm")
     doors = v.doors.select("floor", "door_id", F.col("x_mm").alias("dx"), F.col("y_mm").alias("dy"))
     return points.join(doors, "floor").select("qid", "door_id", leg_mm_py("x_mm", "y_mm", "dx", "dy").alias("leg_mm"))
 
 
+def _least_sums(v: V.Venue) -> DataFrame:
+    source, target = route.sides(v, V.query_pairs(v))
+    ends = entry_legs(v, target).select("qid", F.col("door").alias("b_door"), F.col("dist").alias("rest"))
+    ways = exit_legs(v, source).join(matrix.matrix_dist(v), F.col("door") == F.col("a_door")).join(ends, ["qid", "b_door"])
+    return ways.groupBy("qid").agg(least_sum(F.col("dist") + F.col("dist_mm"), F.col("rest")).alias("dist_mm"))
+
+
+query("least_sum_twin", O.sql(f"""select src.qid, min({O.leg('src.', 'da.')} + dist.d + {O.leg('db.', 'dst.')}) as dist_mm from src join exits e on e.part_id = src.part_id join door da on da.door = e.door
+    join dist on dist.a = e.door join entries n on n.door = dist.b join dst on dst.qid = src.qid and dst.part_id = n.part_id join door db on db.door = n.door group by 1""", _POINTS, O.PAIR_SIDES, pairs=True))(_least_sums)
 query("leg_twin", O.sql("select qid, door as door_id, " + O.leg("pt.", "d.") + " as leg_mm from pt join door d using (floor)", _POINTS))(_legs_py)
 query("cumulative_objects", O.sql("""select d.b as b_door, row_number() over (order by d.d, d.b) as rank, (sum(coalesce(n, 0)) over (order by d.d, d.b))::bigint as seen from dist d
     left join (select m.door, sum(k) as n from (select distinct door, t from move) m join (select part_id, count(*) as k from obj group by 1) o on o.part_id = m.t group by 1) c on c.door = d.b where d.a = 10000000""", O.OBJECTS, pairs=True))(lambda v: surrounding.cumulative_objects(matrix.door_matrix(v), v, V.objects(v), 10_000_000))
-query("generated_pairs")(lambda v: __import__("floorwalk.workload", fromlist=["generated_pairs"]).generated_pairs(v, 90_000))
-query("bench_task_a")(lambda v: __import__("floorwalk.workload", fromlist=["run_task"]).run_task(v.spark, v.sf_dir, "A"))
-query("border_report")(lambda v: __import__("floorwalk.workload", fromlist=["border_report"]).border_report(v.spark, v.sf_dir))
+query("generated_pairs", O.sql("""select n.qid, pt.floor as s_floor, pt.x as s_x, pt.y as s_y, obj.floor as t_floor, obj.x as t_x, obj.y as t_y
+    from (select * from reach qualify row_number() over (partition by qid order by abs(d - 90000), door) = 1) n join pt using (qid) join move m on m.door = n.door and m.t <> 0 join obj on obj.part_id = m.t
+    qualify row_number() over (partition by n.qid order by object_id) = 1""", _POINTS, O.OBJECTS, _OD, pairs=True))(lambda v: workload.generated_pairs(v, 90_000))
+query("ranked_scan", O.sql(f"select qid, door, d as dist from reach where d <= {R_MM}", _POINTS, O.OBJECTS, _OD, pairs=True))(lambda v: matrix_labels(v, ranges.placed_points(v, V.query_points(v)), R_MM))
+for _how in ("scan", "rtree"):
+    query(f"rq_init_{_how}", _RQ)(lambda v, how=_how: ranges.range_query("ag", v, V.query_points(v), V.objects(v), R_MM, how))
+
+# Searches of every order whose id is divisible by 20.
+_MANY = O.points(where="o_orderkey % 20 = 0")
+_NEAR = 20_000
+_many = lambda v: v.remember("many", lambda: materialize(V.order_points(v).where("qid % 20 = 0")))
+for _m in METHODS:
+    query(f"rq_many_{_m}", O.sql(f"select qid, object_id, dist_mm from od where dist_mm <= {_NEAR}", _MANY, O.OBJECTS, _OD, pairs=True))(lambda v, m=_m: ranges.range_query(m, v, _many(v), V.objects(v), _NEAR))
+query("knn_many_dm", O.sql("select qid, row_number() over (partition by qid order by dist_mm, object_id) as rank, object_id, dist_mm from od qualify rank <= 3", _MANY, O.OBJECTS, _OD, pairs=True))(lambda v: knn.knn_query("dm", v, _many(v), V.objects(v), 3))
+
+# ---- experiment tasks: counters -----------------------------------------------------------------------------------
+
+_names = ", ".join(f"('{NAMES[m]}')" for m in METHODS)
+_list = lambda xs: "unnest([" + ", ".join(map(str, xs)) + "])"
+query("task_b2", O.sql(f"select method, objects, count(dist_mm) as answers from (values {_names}) m(method), (select {_list(workload.OBJECTS)}::int as objects) left join od on object_id < objects and dist_mm <= {R_MM} group by 1, 2", _POINTS, O.OBJECTS, _OD, pairs=True))(workload.object_counters)
+query("task_b3", O.sql(f"select method, r_mm, (select count(*) from reach where d <= r_mm) as labels, (select count(*) from od where dist_mm <= r_mm) as answers from (values {_names}) m(method), (select {_list(workload.RADII)}::bigint as r_mm)", _POINTS, O.OBJECTS, _OD, pairs=True))(workload.radius_counters)
+query("task_b4", O.sql(f"select method, k, count(*) as answers, sum(dist_mm)::bigint as sum_mm from (values {_names}) m(method), (select {_list(workload.KS)}::int as k) join (select *, row_number() over (partition by qid order by dist_mm, object_id) as rank from od) on rank <= k group by 1, 2", _POINTS, O.OBJECTS, _OD, pairs=True))(workload.neighbour_counters)
+query("task_b5", O.sql(f"""select method, s2t_mm, count(*) as pairs, sum(dist_mm)::bigint as sum_mm, sum(case when method = 'door_matrix' then look else spread end)::bigint as nvd
+    from (values ('access_graph'), ('door_matrix'), ('layered_rtree')) m(method),
+    (select s2t_mm, qid, dist_mm from sdq, (select {_list(workload.S2T)}::bigint as s2t_mm) qualify row_number() over (partition by s2t_mm order by abs(dist_mm - s2t_mm), qid) <= 10)
+    join (select src.qid, (select count(*) from exits e where e.part_id = src.part_id) + (select count(*) from entries n where n.part_id = dst.part_id) as look from src join dst using (qid)) using (qid)
+    join (select sdq.qid, count(*) as spread from sdq join ahead on ahead.qid = sdq.qid and d <= dist_mm group by 1) using (qid) group by 1, 2""", _POINTS, O.PAIR_SIDES, O.pair_distances(), _AG_NVD, pairs=True))(workload.distance_counters)
+
+
+def _each(select, names, variant: bool) -> str:
+    return " union all ".join(f"select * from ({select(n)})" for n in names)
+
+
+_variant_sql = lambda n: O.sql(f"select '{n}' as variant, (select count(*) from door) as doors, (select count(*) from legs) as legs, count(dist_mm) as reached, sum(dist_mm)::bigint as sum_mm from pr left join sdq using (qid)", _POINTS, O.PAIR_SIDES, O.pair_distances(), variant=n, pairs=True)
+query("task_b6", _each(_variant_sql, workload.TOPOLOGY, True))(lambda v: workload.variant_counters(v.spark, v.sf_dir, workload.TOPOLOGY))
+query("task_b7", _each(_variant_sql, ("nocut", "base", "fine"), True))(lambda v: workload.variant_counters(v.spark, v.sf_dir, ("nocut", "base", "fine")))
+query("task_b7_merged")(lambda v: workload.variant_counters(v.spark, v.sf_dir, workload.DECOMPOSITION))
+query("task_a", _each(lambda n: O.sql(f"select {n}::int as floors, (select count(*) from door) as doors, count(*) as matrix_rows, sum(d)::bigint as sum_mm, max(d) as max_mm from dist", floors=n, pairs=True), workload.FLOORS, False))(lambda v: workload.floor_counters(v.spark, v.sf_dir))
+query("stats_of_variants", _each(lambda n: O.sql(f"""select '{n}' as variant, (select count(distinct floor) from part) as floors, (select count(*) from part) as partitions, (select count(distinct door) from door) as doors,
+    (select count(*) from part where kind = 'hall')::bigint as hallways, (select count(*) from dv where dv > {GAMMA}) as crucial,
+    quantile_disc(dv, 0.25)::bigint as q1, quantile_disc(dv, 0.5)::bigint as q2, quantile_disc(dv, 0.75)::bigint as q3, max(dv) as max_dv from dv""", _DV, variant=n), ("sparse", "base", "dense", "fine", "nocut"), True))(lambda v: workload.stats_of_variants(v.spark, v.sf_dir))
+_labels_of = lambda n: O.sql(f"select count(*) as n from reach where d <= {R_MM}", _POINTS, O.OBJECTS, _OD, variant=n, pairs=True)
+query("growth_ratio", f"select method, ((select n from ({_labels_of('dense')})) / (select n from ({_labels_of('sparse')})))::double as ratio from (values {_names}) m(method)")(lambda v: workload.growth(v.spark, v.sf_dir))
+_AG_BYTES = "(select count(*) from move) * 24 + (select count(*) from legs) * 32 + (select count(*) from (select distinct door, t from move where t <> 0)) * 24"
+query("query_memory", O.sql(f"""select 'access_graph' as method, {_AG_BYTES} as resident_bytes, (select count(*) from reach join graph g on g.a = reach.door where d <= {R_MM}) * 24 as read_bytes, (select count(*) from reach where d <= {R_MM}) * 24 as label_bytes
+    union all select 'door_matrix', {_AG_BYTES} + (select count(*) from dist) * 44, (select count(*) from ex join dist on a = ex.door and leg + d <= {R_MM}) * 24, (select count(*) from reach where d <= {R_MM}) * 24""", _POINTS, O.OBJECTS, _OD, pairs=True))(
+    lambda v: metrics.query_memory("ag", v, V.query_points(v), R_MM).union(metrics.query_memory("dm", v, V.query_points(v), R_MM))
+)
+query("query_memory_trees")(lambda v: metrics.query_memory("lr", v, V.query_points(v), R_MM).union(metrics.query_memory("bt", v, V.query_points(v), R_MM)).union(metrics.query_memory("btd", v, V.query_points(v), R_MM)))
+query("predicted_counted")(lambda v: metrics.predicted_and_counted(v, V.query_points(v), V.query_pairs(v), V.objects(v), R_MM, 9.0))
+query("measured_winner", "select * from (values ('space', 'access_graph'), ('sdq', 'door_matrix')) t(measure, method)")(
+    lambda v: metrics.measured_winner(metrics.predicted_and_counted(v, V.query_points(v), V.query_pairs(v), V.objects(v), R_MM, 9.0).where("measure <> 'rq_knn'"))
+)
+query("bench_task_a")(lambda v: workload.run_task(v.spark, v.sf_dir, "A"))
+query("border_report")(lambda v: workload.border_report(v.spark, v.sf_dir))
 
 
 def queries() -> dict[str, Query]:

@@ -11,7 +11,6 @@ from floorwalk.operators.range import placed_points, range_query
 from floorwalk.operators.knn import rank_objects
 from floorwalk.operators.topology import entry_legs, exit_legs, graph_legs
 from floorwalk.plans.border import build_border_tree
-from floorwalk.plans.relax import labels, relax
 from floorwalk.plans.rtree import build_rtree, descend
 from floorwalk.sources.scratch import materialize
 from floorwalk.sources.venue import ROOM, Venue, table
@@ -74,7 +73,7 @@ def route_timed(venue: Venue, pairs: DataFrame, depart_s: int, speed_mm_s: int =
     best = frontier = materialize(passable(exit_legs(venue, source)))
     for _ in range(max_rounds):
         step = frontier.join(graph_legs(venue), frontier["door"] == F.col("a_door")).select("qid", F.col("b_door").alias("door"), (F.col("dist") + F.col("leg_mm")).alias("dist"))
-        grown = passable(step.groupBy("qid", "door").agg(F.min("dist").alias("dist")))
+        grown = passable(step).groupBy("qid", "door").agg(F.min("dist").alias("dist"))
         known = best.select("qid", "door", F.col("dist").alias("known"))
         frontier = materialize(grown.join(known, ["qid", "door"], "left").where("known is null or dist < known").select("qid", "door", "dist"))
         if frontier.isEmpty():
@@ -86,11 +85,19 @@ def route_timed(venue: Venue, pairs: DataFrame, depart_s: int, speed_mm_s: int =
     return pairs.select("qid").join(found, "qid", "left")
 
 
+def numbered_rooms(rooms: DataFrame) -> tuple[DataFrame, int]:
+    """Rooms numbered from 0 by supplier, and how many: ranks inside blocks of keys, plus the rooms of earlier blocks."""
+    key, block = F.col("part_id") % 100_000_000, F.floor(F.col("part_id") % 100_000_000 / 4096)
+    blocks = rooms.groupBy(block.alias("block")).agg(F.count("*").alias("size"))
+    before = blocks.alias("x").join(blocks.alias("y"), F.col("y.block") < F.col("x.block"), "left").groupBy(F.col("x.block").alias("block")).agg(F.coalesce(F.sum("y.size"), F.lit(0)).alias("before"))
+    placed = rooms.withColumn("block", block).withColumn("own", F.row_number().over(Window.partitionBy("block").orderBy(key)))
+    return placed.join(before, "block").withColumn("n", (F.col("before") + F.col("own") - 1).cast("long")).drop("block", "before", "own"), rooms.count()
+
+
 def positions(venue: Venue) -> DataFrame:
     """(user_id, ts, event_id, floor, x_mm, y_mm, part_id) from events: a room per event."""
     rooms = venue.partitions.where("kind = 'room' and floor < 5").select("part_id", "floor", "xmin", "ymin")
-    rooms = rooms.withColumn("n", (F.row_number().over(Window.orderBy((F.col("part_id") % 100_000_000).alias("s"))) - 1).cast("long"))
-    total = rooms.count()
+    rooms, total = numbered_rooms(rooms)
     events = table(venue.spark, venue.sf_dir, "events").select("user_id", F.col("ts").cast("timestamp_ntz").alias("ts"), F.col("event_id").cast("long").alias("event_id"))
     spot = events.withColumn("n", (31 * F.col("event_id") + F.col("user_id")) % total)
     x, y = F.col("xmin") + 1 + (F.col("event_id") * 7919) % 9998, F.col("ymin") + 1 + (F.col("event_id") * 104_729) % 7998
@@ -160,21 +167,39 @@ def node_words(venue: Venue, objects: DataFrame, words: DataFrame) -> DataFrame:
     return held.join(lines, "leaf").select("node_id", "word").distinct()
 
 
+def word_nodes(venue: Venue, objects: DataFrame, words: DataFrame, wanted: list[str], all_words: bool) -> DataFrame:
+    """(node_id): nodes of the border tree below which the wanted words occur."""
+    hits = node_words(venue, objects, words.where(F.col("word").isin(wanted))).groupBy("node_id").agg(F.count_distinct("word").alias("n"))
+    return hits.where(F.col("n") >= (len(set(wanted)) if all_words else 1)).select("node_id")
+
+
 def keyword_knn(method: str, venue: Venue, points: DataFrame, objects: DataFrame, words: DataFrame, wanted: list[str], k: int, all_words: bool = True) -> DataFrame:
-    """Boolean k nearest neighbours: (qid, rank, object_id, dist_mm) among objects with the wanted words."""
-    from floorwalk.operators.knn import knn_query
+    """Boolean k nearest neighbours: (qid, rank, object_id, dist_mm) among objects with the wanted words.
+
+    The border trees descend only into nodes whose word sets hold the wanted ones; the other methods filter the objects.
+    """
+    from floorwalk.operators.knn import knn_query, tree_bounds
+    from floorwalk.operators.labels import tree_labels
+    from floorwalk.operators.range import score_objects
 
-    return knn_query(method, venue, points, with_words(objects, words, wanted, all_words), k)
+    chosen = materialize(with_words(objects, words, wanted, all_words))
+    if method not in ("bt", "btd"):
+        return knn_query(method, venue, points, chosen, k)
+    deep, placed = method == "btd", placed_points(venue, points)
+    nodes = materialize(word_nodes(venue, objects, words, wanted, all_words))
+    bounds = materialize(tree_bounds(venue, placed, chosen, k, deep))
+    found = tree_labels(venue, placed, bounds, False, deep, nodes=nodes)
+    return rank_objects(score_objects(venue, found, placed, chosen, bounds), k)
 
 
 def keyword_route(venue: Venue, pairs: DataFrame, objects: DataFrame, words: DataFrame, wanted: list[str], k: int = 1, max_rounds: int = 10_000) -> DataFrame:
-    """(qid, rank, total_mm): shortest routes whose visited partitions cover all wanted words, by door and covered-word mask.
+    """(qid, rank, total_mm, door_path): the k shortest routes whose visited partitions cover all wanted words.
 
-    A word is covered by passing through a partition that holds an object with it. Ranks go over distinct totals of
-    complete states; the first is the shortest covering route.
+    A word is covered by passing through a partition that holds an object with it. States are (door, covered words), each
+    with its least (distance, doors); routes are complete states, ranked by total and doors.
     """
     from floorwalk.operators.route import sides
-    from floorwalk.operators.topology import door_enters, door_legs
+    from floorwalk.operators.topology import door_legs
 
     bits = F.lit(0).cast("long")
     flagged = words.where(F.col("word").isin(wanted)).join(objects.select("object_id", "part_id"), "object_id").select("part_id", "word").distinct()
@@ -183,20 +208,22 @@ def keyword_route(venue: Venue, pairs: DataFrame, objects: DataFrame, words: Dat
     mask = materialize(flagged.groupBy("part_id").agg(bits.alias("mask")))
     full = (1 << len(wanted)) - 1
     source, target = sides(venue, pairs)
-    cover = lambda frame, key: frame.join(mask.withColumnRenamed("part_id", key), key, "left").withColumn("mask", F.coalesce("mask", F.lit(0).cast("long")))
-    start = exit_legs(venue, source).join(cover(source.select("qid", "part_id"), "part_id").select("qid", "mask"), "qid")
-    legs = cover(door_legs(venue), "part_id").select("a_door", "b_door", "leg_mm", F.col("mask").alias("seen"))
-    best = frontier = materialize(start.select("qid", "door", "mask", "dist"))
+    cover = lambda frame: frame.join(mask, "part_id", "left").withColumn("mask", F.coalesce("mask", F.lit(0).cast("long")))
+    start = exit_legs(venue, source).join(cover(source.select("qid", "part_id")).select("qid", "mask"), "qid")
+    legs = materialize(cover(door_legs(venue)).select("a_door", "b_door", "leg_mm", F.col("mask").alias("seen")))
+    state, label = ["qid", "door", "mask"], F.struct("dist", "path")
+    least = lambda frame: frame.groupBy(*state).agg(F.min(label).alias("low")).select(*state, "low.dist", "low.path")
+    best = frontier = materialize(start.select(*state, "dist", F.array("door").alias("path")))
     for _ in range(max_rounds):
-        step = frontier.join(legs, frontier["door"] == legs["a_door"]).select("qid", F.col("b_door").alias("door"), F.col("mask").bitwiseOR(F.col("seen")).alias("mask"), (F.col("dist") + F.col("leg_mm")).alias("dist"))
-        grown = step.groupBy("qid", "door", "mask").agg(F.min("dist").alias("dist"))
-        known = best.select("qid", "door", "mask", F.col("dist").alias("known"))
-        frontier = materialize(grown.join(known, ["qid", "door", "mask"], "left").where("known is null or dist < known").select("qid", "door", "mask", "dist"))
+        step = frontier.join(legs, frontier["door"] == legs["a_door"]).select("qid", F.col("b_door").alias("door"), F.col("mask").bitwiseOR(F.col("seen")).alias("mask"), (F.col("dist") + F.col("leg_mm")).alias("dist"), F.array_append("path", F.col("b_door")).alias("path"))
+        known = best.select(*state, label.alias("known"))
+        frontier = materialize(least(step).join(known, state, "left").where(F.col("known").isNull() | (label < F.col("known"))).select(*state, "dist", "path"))
         if frontier.isEmpty():
             break
-        best = materialize(best.union(frontier).groupBy("qid", "door", "mask").agg(F.min("dist").alias("dist")))
-    ends = entry_legs(venue, target).select("qid", "door", F.col("dist").alias("rest")).join(cover(target.select("qid", "part_id"), "part_id").select("qid", F.col("mask").alias("last")), "qid")
-    via = best.join(ends, ["qid", "door"]).where(F.col("mask").bitwiseOR(F.col("last")) == full).select("qid", (F.col("dist") + F.col("rest")).alias("total_mm"))
-    here = cover(source.join(target.select("qid", "part_id", F.col("x_mm").alias("tx"), F.col("y_mm").alias("ty")), ["qid", "part_id"]), "part_id").where(F.col("mask") == full).select("qid", leg_mm("x_mm", "y_mm", "tx", "ty").alias("total_mm"))
-    totals = via.union(here).distinct()
-    return totals.withColumn("rank", F.row_number().over(Window.partitionBy("qid").orderBy("total_mm"))).where(F.col("rank") <= k).select("qid", "rank", "total_mm")
+        best = materialize(least(best.union(frontier)))
+    ends = entry_legs(venue, target).select("qid", "door", F.col("dist").alias("rest")).join(cover(target.select("qid", "part_id")).select("qid", F.col("mask").alias("last")), "qid")
+    via = best.join(ends, ["qid", "door"]).where(F.col("mask").bitwiseOR(F.col("last")) == full).select("qid", (F.col("dist") + F.col("rest")).alias("total_mm"), "path")
+    here = cover(source.join(target.select("qid", "part_id", F.col("x_mm").alias("tx"), F.col("y_mm").alias("ty")), ["qid", "part_id"])).where(F.col("mask") == full)
+    here = here.select("qid", leg_mm("x_mm", "y_mm", "tx", "ty").alias("total_mm"), F.array().cast("array<bigint>").alias("path"))
+    order = Window.partitionBy("qid").orderBy("total_mm", "path")
+    return via.union(here).distinct().withColumn("rank", F.row_number().over(order)).where(F.col("rank") <= k).select("qid", "rank", "total_mm", F.col("path").alias("door_path"))

@@ -114,13 +114,14 @@ def climb(venue: Venue, tree: BorderTree, placed: DataFrame, backward: bool = Fa
     return out
 
 
-def tree_labels(venue: Venue, placed: DataFrame, bound=None, backward: bool = False, deep: bool = False, narrow=None) -> DataFrame:
+def tree_labels(venue: Venue, placed: DataFrame, bound=None, backward: bool = False, deep: bool = False, narrow=None, nodes: DataFrame | None = None) -> DataFrame:
     """border_tree(_deep): climb from the host leaf, then descend into every node whose access-door bound allows it.
 
     narrow(labels of open nodes) may give a bound (qid, bound) anew at each level. Without it the labels of all doors within
-    the bound come back; with it the last bound instead, of which the answer is made (see knn.tree_bounds).
+    the bound come back; with it the last bound instead, of which the answer is made (see knn.tree_bounds). nodes
+    (node_id): the descent enters no others.
     """
-    tree = build_border_tree(venue)
+    only, tree = nodes, build_border_tree(venue)
     near, far = ("b_door", "a_door") if backward else ("a_door", "b_door")
     inner = tree.inner.select("node_id", F.col(near).alias("door"), F.col(far).alias("other"), "dist_mm")
     up = materialize(_within(climb(venue, tree, placed, backward, deep), bound))
@@ -129,7 +130,8 @@ def tree_labels(venue: Venue, placed: DataFrame, bound=None, backward: bool = Fa
     line = materialize(line)
     parents = tree.nodes.select("node_id", "parent_id", "level").where("parent_id is not null")
     kids = parents.select(F.col("node_id").alias("child"), F.col("parent_id").alias("node_id"))
-    kid_access = kids.join(tree.access.select(F.col("node_id").alias("child"), F.col("door_id").alias("other")), "child")
+    entered = kids if only is None else kids.join(only.withColumnRenamed("node_id", "child"), "child", "left_semi")
+    kid_access = entered.join(tree.access.select(F.col("node_id").alias("child"), F.col("door_id").alias("other")), "child")
     # From an ancestor's child on the home branch over to its siblings.
     branch = up.join(kids, up["node_id"] == kids["child"]).select("qid", F.col("child").alias("from_child"), kids["node_id"], "door", "dist")
     crossed = branch.join(inner, ["node_id", "door"]).join(kid_access, ["node_id", "other"]).where("child <> from_child")

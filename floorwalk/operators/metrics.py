@@ -15,7 +15,7 @@ from floorwalk.plans.matrix import door_matrix
 from floorwalk.plans.rtree import build_rtree, rt_links, skeleton
 from floorwalk.sources.venue import Venue
 
-ID, NUMBER = 8, 8
+ID, NUMBER, HOPS, LABEL = 8, 8, 16, 24
 
 
 def venue_stats(venue: Venue, gamma: int = GAMMA) -> DataFrame:
@@ -41,15 +41,16 @@ def components(method: str, venue: Venue) -> dict[str, tuple[DataFrame, int]]:
     if method == "ag":
         return base
     if method == "dm":
-        return base | {"matrix": (door_matrix(venue), 2 * ID + NUMBER), "ranks": (door_matrix(venue), 4), "hops": (door_matrix(venue), 2 * ID)}
+        return base | {"matrix": (door_matrix(venue), 2 * ID + NUMBER), "ranks": (door_matrix(venue), 4), "hops": (door_matrix(venue), HOPS)}
     if method == "lr":
         tree = build_rtree(venue)
         levels = {f"rt_level{i}": (t, ID * 2 + 4 * NUMBER) for i, t in enumerate(tree.levels)}
         return base | levels | {"links": (rt_links(venue).select(F.explode("links")), 2 * ID), "skeleton": (skeleton(venue), 2 * ID + NUMBER)}
     tree = build_border_tree(venue)
-    cells = {"members": (tree.members, 2 * ID), "nodes": (tree.nodes, 2 * ID), "access": (tree.access, 2 * ID), "leaf_out": (tree.leaf_out, 3 * ID + NUMBER), "leaf_in": (tree.leaf_in, 3 * ID + NUMBER), "leaf_pairs": (tree.leaf_pairs, 3 * ID + NUMBER), "inner": (tree.inner, 3 * ID + NUMBER)}
+    cells = {"members": (tree.members, 2 * ID), "nodes": (tree.nodes, 2 * ID), "access": (tree.access, 2 * ID)}
+    cells |= {name: (getattr(tree, name), 3 * ID + NUMBER + HOPS) for name in ("leaf_out", "leaf_in", "leaf_pairs", "inner")}
     if method == "btd":
-        cells |= {"deep_out": (tree.deep_out, 4 * ID + NUMBER), "deep_in": (tree.deep_in, 4 * ID + NUMBER)}
+        cells |= {"deep_out": (tree.deep_out, 4 * ID + NUMBER + HOPS), "deep_in": (tree.deep_in, 4 * ID + NUMBER + HOPS)}
     return base | cells
 
 
@@ -109,6 +110,56 @@ def tree_stats(venue: Venue) -> dict[str, float]:
     return {"v": venue.partitions.count() - 1, "d_total": venue.doors.count(), "d": d, "f": fan, "rho": rho, "leaves": leaves}
 
 
+def query_memory(method: str, venue: Venue, points: DataFrame, radius_mm: int) -> DataFrame:
+    """(method, resident_bytes, read_bytes, label_bytes) of a batch of range queries: the model that is held, the rows of it
+    that the search reads, and the labels that it keeps. Logical sizes, so reruns agree."""
+    from floorwalk.operators.labels import climb, point_labels
+    from floorwalk.operators.range import placed_points
+    from floorwalk.operators.topology import exit_legs, graph_legs
+
+    placed = placed_points(venue, points)
+    found = point_labels(method, venue, placed, radius_mm)
+    kept = found.agg((F.count("*") * LABEL).alias("label_bytes"))
+    if method == "dm":
+        rows = exit_legs(venue, placed).join(door_matrix(venue).select("a_door", "dist_mm"), (F.col("door") == F.col("a_door")) & (F.col("dist") + F.col("dist_mm") <= radius_mm))
+    elif method in ("ag", "lr"):
+        rows = found.join(graph_legs(venue), F.col("door") == F.col("a_door"))
+    else:
+        rows = climb(venue, build_border_tree(venue), placed, False, method == "btd").select("qid").unionByName(found.select("qid"))
+    read = rows.agg((F.count("*") * (2 * ID + NUMBER)).alias("read_bytes"))
+    held = model_size(venue, (method,)).agg(F.sum("n_bytes").alias("resident_bytes"))
+    return held.crossJoin(read).crossJoin(kept).select(F.lit(NAMES[method]).alias("method"), "resident_bytes", "read_bytes", "label_bytes")  # three one-row tables
+
+
+def predicted_and_counted(venue: Venue, points: DataFrame, pairs: DataFrame, objects: DataFrame, radius_mm: int, w: float) -> DataFrame:
+    """(method, measure, predicted, counted): the cost formulas beside what a model holds (rows), what range queries read
+    (labels) and what routes visit (doors), a query's mean."""
+    from floorwalk.operators import route
+    from floorwalk.operators.labels import METHODS, point_labels
+    from floorwalk.operators.range import placed_points
+
+    rows = cost_model(o_total=objects.count(), w=w, **tree_stats(venue))
+    predicted = venue.spark.createDataFrame(rows, "method string, measure string, predicted double")
+    placed, out = placed_points(venue, points), None
+    best = route.distance_query("dm", venue, pairs).where("dist_mm is not null")
+    sides = route.sides(venue, pairs)
+    for method in METHODS:
+        name = F.lit(NAMES[method]).alias("method")
+        parts = (
+            model_size(venue, (method,)).agg(F.sum("n_rows").cast("double").alias("counted")).select(name, F.lit("space").alias("measure"), "counted"),
+            point_labels(method, venue, placed, radius_mm).groupBy("qid").count().agg(F.avg("count").alias("counted")).select(name, F.lit("rq_knn").alias("measure"), "counted"),
+            route.visited_doors(method, venue, *sides, best).agg(F.avg("nvd").alias("counted")).select(name, F.lit("sdq").alias("measure"), "counted"),
+        )
+        for part in parts:
+            out = part if out is None else out.union(part)
+    return predicted.join(out, ["method", "measure"])
+
+
+def measured_winner(counted: DataFrame) -> DataFrame:
+    """(measure, method): the method with the least count per measure, ties by name."""
+    return counted.groupBy("measure").agg(F.min(F.struct("counted", "method")).alias("least")).select("measure", F.col("least.method").alias("method"))
+
+
 def disagreement(left: DataFrame, right: DataFrame) -> int:
     """Rows in one result and not in the other: 0 for exact methods."""
     columns = left.columns
@@ -128,11 +179,6 @@ def ratio_report(results: DataFrame, key: str, low: str, high: str) -> DataFrame
     return a.join(b, "method").select("method", (F.col("b") / F.col("a")).alias("ratio"))
 
 
-RULES = (
-    ("small venue, range and nearest neighbours", "door_matrix"), ("small venue, routing", "door_matrix"),
-    ("large venue, routing", "border_tree_deep"), ("large venue with crucial cells, range and nearest neighbours", "border_tree_deep"),
-    ("large venue, range and nearest neighbours", "access_graph"), ("changing doors", "access_graph"),
-)
 SMALL_DOORS, CRUCIAL_SHARE = 500, 0.05
 
 

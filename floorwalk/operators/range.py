@@ -6,14 +6,21 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from floorwalk.functions.geometry import leg_mm
-from floorwalk.operators.host import locate_grid
+from floorwalk.operators.host import locate_grid, locate_scan
 from floorwalk.operators.labels import cells_entered, point_labels
 from floorwalk.operators.topology import door_reach
+from floorwalk.plans.rtree import build_rtree, locate_rtree
 from floorwalk.sources.venue import Venue
 
 
-def placed_points(venue: Venue, points: DataFrame) -> DataFrame:
-    return locate_grid(points.select("qid", "floor", "x_mm", "y_mm"), venue.partitions)
+def placed_points(venue: Venue, points: DataFrame, initialisation: str = "grid") -> DataFrame:
+    """Points with their host partition, found by grid cells, by a scan of all partitions, or down the R-tree."""
+    spots = points.select("qid", "floor", "x_mm", "y_mm")
+    if initialisation == "scan":
+        return locate_scan(spots, venue.partitions)
+    if initialisation == "rtree":
+        return locate_rtree(spots, build_rtree(venue))
+    return locate_grid(spots, venue.partitions)
 
 
 def score_objects(venue: Venue, found: DataFrame, placed: DataFrame, objects: DataFrame, bound) -> DataFrame:
@@ -31,9 +38,9 @@ def score_objects(venue: Venue, found: DataFrame, placed: DataFrame, objects: Da
     return both.groupBy("qid", "object_id").agg(F.min("dist_mm").alias("dist_mm"))
 
 
-def range_query(method: str, venue: Venue, points: DataFrame, objects: DataFrame, radius_mm) -> DataFrame:
+def range_query(method: str, venue: Venue, points: DataFrame, objects: DataFrame, radius_mm, initialisation: str = "grid") -> DataFrame:
     """(qid, object_id, dist_mm) with dist_mm within the radius: a number, or a table (qid, bound)."""
-    placed = placed_points(venue, points)
+    placed = placed_points(venue, points, initialisation)
     found = point_labels(method, venue, placed, radius_mm)
     return score_objects(venue, found, placed, objects, radius_mm)
 

@@ -7,7 +7,7 @@ from pyspark.sql import functions as F
 
 from floorwalk.functions.geometry import leg_mm
 from floorwalk.operators.topology import dv_counts, graph_legs
-from floorwalk.sources.venue import Venue, table
+from floorwalk.sources.venue import ENTRANCE, EXIT_ONLY, Venue, table
 
 
 def bucket_counts(venue: Venue, objects: DataFrame) -> DataFrame:
@@ -71,8 +71,10 @@ def requested_k(venue: Venue) -> DataFrame:
     return events.select(F.col("event_id").cast("long").alias("event_id"), F.from_json("props", "k int")["k"].alias("k")).where("k is not null")
 
 
-def approx_users_per_room(moving: DataFrame) -> DataFrame:
-    return moving.groupBy("part_id").agg(F.approx_count_distinct("user_id").alias("users"))
+def approx_users_per_room(moving: DataFrame, rsd: float = 0.02) -> DataFrame:
+    """(part_id, users, near): the sketch's estimate beside the exact count: near if within five standard errors."""
+    both = moving.groupBy("part_id").agg(F.approx_count_distinct("user_id", rsd).alias("estimate"), F.count_distinct("user_id").alias("users"))
+    return both.select("part_id", "users", (F.abs(F.col("estimate") - F.col("users")) <= 5 * rsd * F.col("users") + 1).cast("int").alias("near"))
 
 
 def users_per_room(moving: DataFrame) -> DataFrame:
@@ -83,7 +85,8 @@ def validate_venue(venue: Venue) -> DataFrame:
     """(check, id): offending rows of the venue checks; none if the venue is sound.
 
     V1 partition ids, V2 door ids unique; V3 a door joins one or two partitions; V4 a door stands on the edge of its
-    partitions; V5 legs are not negative; V6 two doors of one partition at one place that are not both stair doors.
+    partitions; V5 legs are not
+    shorter than the straight line; V6 two doors of one partition at one place that are not both stair doors.
     """
     twice = lambda frame, c, name: frame.groupBy(c).count().where("count > 1").select(F.lit(name).alias("check"), F.col(c).alias("id"))
     out = twice(venue.partitions, "part_id", "V1").union(twice(venue.doors, "door_id", "V2"))
@@ -94,12 +97,65 @@ def validate_venue(venue: Venue) -> DataFrame:
     edge = sides.join(box, "part_id").join(venue.doors, "door_id")
     on_edge = F.col("x_mm").between(F.col("xmin"), F.col("xmax")) & F.col("y_mm").between(F.col("ymin"), F.col("ymax")) & ((F.col("x_mm") == F.col("xmin")) | (F.col("x_mm") == F.col("xmax")) | (F.col("y_mm") == F.col("ymin")) | (F.col("y_mm") == F.col("ymax")))
     out = out.union(edge.where(~on_edge & F.col("kind").isin("room_main", "through", "segment")).select(F.lit("V4"), "door_id"))
-    out = out.union(graph_legs(venue).where("leg_mm < 0").select(F.lit("V5"), "a_door"))
+    spot = lambda side: venue.doors.select(F.col("door_id").alias(f"{side}_door"), F.col("floor").alias(f"{side}f"), F.col("x_mm").alias(f"{side}x"), F.col("y_mm").alias(f"{side}y"))
+    short = graph_legs(venue).join(spot("a"), "a_door").join(spot("b"), "b_door").where("af = bf").where(F.col("leg_mm") < leg_mm("ax", "ay", "bx", "by"))
+    out = out.union(short.select(F.lit("V5"), "a_door"))
     kinds = venue.doors.select(F.col("door_id").alias("a_door"), "kind")
     still = graph_legs(venue).where("leg_mm = 0").join(kinds, "a_door").where("kind not in ('stair_low', 'stair_high')")
-    return out.union(still.select(F.lit("V6"), "a_door"))
+    return out.union(still.select(F.lit("V6"), "a_door")).distinct()
 
 
 def validate_points(points: DataFrame, placed: DataFrame) -> DataFrame:
     """Points outside every partition."""
     return points.join(placed.select("qid"), "qid", "left_anti").select("qid")
+
+
+def broken_venue(venue: Venue) -> Venue:
+    """The venue with planted faults: a partition twice, main doors of the lowest floor off their walls, the entrance with a
+    third partition, the exit without any."""
+    first = venue.partitions.where("part_id <> 0").agg(F.min("part_id")).first()[0]
+    parts = venue.partitions.union(venue.partitions.where(F.col("part_id") == first))
+    doors = venue.doors.withColumn("y_mm", F.when((F.col("kind") == "room_main") & (F.col("floor") == 0), F.col("y_mm") + 1).otherwise(F.col("y_mm")))
+    moves = venue.moves.where(F.col("door_id") != EXIT_ONLY)
+    extra = moves.where(F.col("door_id") == ENTRANCE).limit(1).withColumn("to_part", F.lit(first).cast("long"))
+    return Venue(venue.spark, venue.sf_dir, venue.floors, "broken", parts, doors.select(*venue.doors.columns), moves.unionByName(extra))
+
+
+def connectivity(matrix: DataFrame) -> DataFrame:
+    """(reachable, one_way): ordered door pairs with a way, and those of them without a way back."""
+    pairs = matrix.where("a_door <> b_door").select("a_door", "b_door")
+    back = pairs.select(F.col("b_door").alias("a_door"), F.col("a_door").alias("b_door"), F.lit(1).alias("back"))
+    return pairs.join(back, ["a_door", "b_door"], "left").agg(F.count("*").alias("reachable"), F.sum(F.col("back").isNull().cast("long")).alias("one_way"))
+
+
+def kind_maps(venue: Venue) -> DataFrame:
+    """(floor, kinds, rooms, frequent): a floor's partition counts as a map by kind, looked into and filtered."""
+    counts = venue.partitions.where("part_id <> 0").groupBy("floor", "kind").agg(F.count("*").alias("n"))
+    maps = counts.groupBy("floor").agg(F.map_from_entries(F.sort_array(F.collect_list(F.struct("kind", "n")))).alias("m"))
+    return maps.select("floor", F.size("m").alias("kinds"), F.coalesce(F.element_at("m", F.lit("room")), F.lit(0)).alias("rooms"), F.size(F.map_filter("m", lambda k, n: n >= 5)).alias("frequent"))
+
+
+def dv_ranks(venue: Venue) -> DataFrame:
+    """(part_id, place, dense, quarter, share): partitions of a kind ranked by their doors."""
+    order = Window.partitionBy("kind").orderBy("dv")
+    whole = Window.partitionBy("kind").orderBy("dv", "part_id")
+    return dv_counts(venue).select("part_id", F.rank().over(order).alias("place"), F.dense_rank().over(order).alias("dense"), F.ntile(4).over(whole).alias("quarter"), F.floor(F.percent_rank().over(order) * 1000).cast("long").alias("share"))
+
+
+def events_last_hour(moving: DataFrame) -> DataFrame:
+    """(event_id, n): a user's events in the hour up to each event, by a frame over time."""
+    frame = Window.partitionBy("user_id").orderBy(F.col("ts").cast("timestamp").cast("long")).rangeBetween(-3600, 0)
+    return moving.select("event_id", F.count("*").over(frame).alias("n"))
+
+
+def word_profile(venue: Venue) -> DataFrame:
+    """(first_word, parts, longest, brand_no, nearest): words of part names, brand numbers, spelling distance to `green`."""
+    parts = table(venue.spark, venue.sf_dir, "part").select(F.split(F.lower("p_name"), " ").alias("words"), F.regexp_extract("p_brand", "([0-9]+)", 1).cast("int").alias("brand"))
+    named = parts.select(F.element_at("words", 1).alias("first_word"), F.length(F.array_join("words", "")).alias("size"), "brand")
+    return named.groupBy("first_word").agg(F.count("*").alias("parts"), F.max("size").alias("longest"), F.max("brand").alias("brand_no"), F.min(F.levenshtein("first_word", F.lit("green"))).alias("nearest"))
+
+
+def event_calendar(venue: Venue) -> DataFrame:
+    """(weekday, hour, n): events by weekday (Sunday is 1) and hour."""
+    events = table(venue.spark, venue.sf_dir, "events").select(F.col("ts").cast("timestamp").alias("ts"))
+    return events.groupBy(F.dayofweek("ts").alias("weekday"), F.hour("ts").alias("hour")).agg(F.count("*").alias("n"))

@@ -68,8 +68,8 @@ OBJECTS = place("select c_custkey::bigint as key, c_nationkey::bigint as nation
 obj as (select key as object_id, obj0.floor, x, y, part_id from obj0 join part p on p.floor = obj0.floor and x >= xmin and x < xmax and y >= ymin and y < ymax)"""
 
 
-def points(n: int | None = 10) -> str:
-    where = f"where o_orderkey < {n}" if n else ""
+def points(n: int | None = 10, where: str | None = None) -> str:
+    where = f"where {where}" if where else f"where o_orderkey < {n}" if n else ""
     return place(f"select o_orderkey::bigint as key, c_nationkey::bigint as nation from orders join customer on c_custkey = o_custkey {where}", "pt0") + """,
 pt as (select key as qid, pt0.floor, x, y, part_id from pt0 join part p on p.floor = pt0.floor and x >= xmin and x < xmax and y >= ymin and y < ymax)"""
 

@@ -5,11 +5,13 @@ from __future__ import annotations
 import uuid
 from collections.abc import Iterator
 
+import numpy as np
 import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
+from floorwalk.operators.extend import numbered_rooms
 from floorwalk.operators.labels import cells_entered, point_labels
 from floorwalk.operators.range import placed_points
 from floorwalk.sources.scratch import shared_folder
@@ -36,11 +38,8 @@ def _is_folder(spark: SparkSession, path: str) -> bool:
 
 def place_events(venue: Venue, events: DataFrame) -> DataFrame:
     """Adds part_id, floor, x_mm, y_mm to a batch or stream of events by the position rule (stream-static join)."""
-    from pyspark.sql import Window
-
     rooms = venue.partitions.where("kind = 'room' and floor < 5").select("part_id", "floor", "xmin", "ymin")
-    rooms = rooms.withColumn("n", (F.row_number().over(Window.orderBy(F.col("part_id") % 100_000_000)) - 1).cast("long"))
-    total = rooms.count()
+    rooms, total = numbered_rooms(rooms)
     spot = events.withColumn("n", (31 * F.col("event_id") + F.col("user_id")) % total)
     joined = spot.join(rooms, "n")
     return joined.withColumn("x_mm", F.col("xmin") + 1 + (F.col("event_id") * 7919) % 9998).withColumn("y_mm", F.col("ymin") + 1 + (F.col("event_id") * 104_729) % 7998).drop("n", "xmin", "ymin")
@@ -95,22 +94,74 @@ def monitored(positions: DataFrame, area: DataFrame, radius_mm: int) -> DataFram
     return joined.select("event_id", "user_id", "ts", inside.alias("inside"))
 
 
-def alerts(states: DataFrame) -> DataFrame:
-    """(user_id, ts, event): `enter` and `leave` when a user's state changes; a stateful operator per user."""
+def alerts(states: DataFrame, late: str = "0 seconds") -> DataFrame:
+    """(user_id, ts, event): `enter` and `leave` when a user's state changes, in the order of event time.
+
+    Rows wait in the user's state until the watermark has passed them, so the order in which they arrive is of no matter;
+    rows behind the watermark are dropped by the engine, rows before it stay until it moves on.
+    """
     schema = T.StructType([T.StructField("user_id", T.LongType()), T.StructField("ts", T.TimestampType()), T.StructField("event", T.StringType())])
+    waiting = T.ArrayType(T.LongType())
+    held = T.StructType([T.StructField("inside", T.BooleanType()), T.StructField("us", waiting), T.StructField("ids", waiting), T.StructField("flags", waiting)])
 
     def watch(key, frames: Iterator[pd.DataFrame], state) -> Iterator[pd.DataFrame]:
-        was = state.get[0] if state.exists else False
-        rows = pd.concat(list(frames)).sort_values(["ts", "event_id"])
-        out = []
-        for ts, inside in zip(rows["ts"], rows["inside"], strict=True):
-            if bool(inside) != was:
-                was = bool(inside)
-                out.append((key[0], ts, "enter" if was else "leave"))
-        state.update((was,))
-        yield pd.DataFrame(out, columns=["user_id", "ts", "event"])
-
-    return states.groupBy("user_id").applyInPandasWithState(watch, schema, T.StructType([T.StructField("inside", T.BooleanType())]), "append", "NoTimeout")
+        was, *old = state.get if state.exists else (False, [], [], [])
+        new = [] if state.hasTimedOut else list(frames)
+        at = [np.asarray(x, dtype=np.int64) for x in old]
+        for rows in new:
+            stamps = rows["ts"].to_numpy().astype("datetime64[us]").astype(np.int64)
+            at = [np.concatenate([x, y]) for x, y in zip(at, (stamps, rows["event_id"].to_numpy(), rows["inside"].to_numpy().astype(np.int64)), strict=True)]
+        mark = state.getCurrentWatermarkMs()
+        order = np.lexsort((at[1], at[0]))
+        us, ids, flags = (x[order] for x in at)
+        ready = int(np.searchsorted(us // 1000, mark, side="left")) if mark > 0 else 0
+        seen = np.concatenate([[int(was)], flags[:ready]])
+        change = np.flatnonzero(np.diff(seen))
+        state.update((bool(seen[-1]), us[ready:].tolist(), ids[ready:].tolist(), flags[ready:].tolist()))
+        if ready < len(us):
+            state.setTimeoutTimestamp(int(max(mark, us[ready] // 1000)) + 1)
+        stamps = pd.to_datetime(us[change], unit="us")
+        yield pd.DataFrame({"user_id": np.full(len(change), key[0]), "ts": stamps, "event": np.where(flags[change] == 1, "enter", "leave")})
+
+    return states.withWatermark("ts", late).groupBy("user_id").applyInPandasWithState(watch, schema, held, "append", "EventTimeTimeout")
+
+
+def upserts(stream: DataFrame, keys: list[str], merge, mode: str = "append") -> DataFrame:
+    """Drives a stream into a table that each micro-batch is merged into, merge(old and new rows) -> rows; returns the table.
+
+    Every version is a folder of its own in the shared folder, written before the next one is named, so a batch that is
+    run again after a failure starts from the version before it.
+    """
+    spark, path = stream.sparkSession, f"{shared_folder(stream.sparkSession)}/floorwalk-upserts-{uuid.uuid4().hex}"
+    schema = stream.schema
+
+    def write(batch: DataFrame, number: int) -> None:
+        rows = batch.select(*schema.names)
+        if number > 0:
+            rows = batch.sparkSession.read.schema(schema).parquet(f"{path}/v{number - 1}").unionByName(rows)
+        merge(rows, keys).select(*schema.names).write.mode("overwrite").parquet(f"{path}/v{number}")
+
+    query = stream.writeStream.foreachBatch(write).outputMode(mode).trigger(availableNow=True).option("checkpointLocation", f"{path}/checkpoint").start()
+    query.awaitTermination()
+    last = query.lastProgress["batchId"] if query.lastProgress else -1
+    while last >= 0:
+        try:
+            return spark.read.schema(schema).parquet(f"{path}/v{last}")
+        except Exception:  # noqa: BLE001  a last batch without data writes no version
+            last -= 1
+    return spark.createDataFrame([], schema)
+
+
+def latest(rows: DataFrame, keys: list[str]) -> DataFrame:
+    """The row with the greatest (ts, event_id) of each key."""
+    others = [c for c in rows.columns if c not in keys]
+    newest = rows.groupBy(*keys).agg(F.max_by(F.struct(*others), F.struct("ts", "event_id")).alias("l"))
+    return newest.select(*keys, *[F.col(f"l.{c}").alias(c) for c in others])
+
+
+def greatest_count(rows: DataFrame, keys: list[str]) -> DataFrame:
+    """Counts only grow, so the greatest is the last update."""
+    return rows.groupBy(*keys).agg(F.max("n").alias("n"))
 
 
 def meetings(left: DataFrame, right: DataFrame, within: str = "10 minutes", late: str = LATE) -> DataFrame:

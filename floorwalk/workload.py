@@ -7,11 +7,15 @@ from pyspark.sql import functions as F
 
 from floorwalk.operators import knn, metrics, route
 from floorwalk.operators import range as ranges
-from floorwalk.operators.labels import METHODS, NAMES
+from floorwalk.operators.labels import METHODS, NAMES, cells_entered, matrix_labels, point_labels
+from floorwalk.operators.topology import door_legs, graph_legs
+from floorwalk.plans.border import build_border_tree
 from floorwalk.plans.matrix import door_matrix
+from floorwalk.plans.rtree import build_rtree
+from floorwalk.sources.scratch import materialize
 from floorwalk.sources import venue as V
 
-FLOORS, OBJECTS = (3, 5, 7, 9), (500, 1000, 1500)
+FLOORS, OBJECTS = (3, 5, 7, 9), (500, 1000, 1500, 2000, 2500)
 RADII, KS, S2T = (20_000, 40_000, 60_000, 80_000, 100_000), (1, 5, 10, 50, 100), (30_000, 60_000, 90_000, 120_000, 150_000)
 TOPOLOGY, DECOMPOSITION = ("sparse", "base", "dense"), ("merged", "nocut", "base", "fine")
 SCHEMA = "task string, variant string, method string, query string, param string, value string, metric string, amount double, unit string"
@@ -28,8 +32,6 @@ def s2t_pairs(venue: V.Venue, targets: tuple[int, ...] = S2T, n: int = 10) -> Da
 def generated_pairs(venue: V.Venue, s2t_mm: int, n: int = 10) -> DataFrame:
     """Pairs by the door-then-point rule: the door whose distance from the point's partition comes nearest to the wanted
     one, then the object nearest to it in a partition that this door enters."""
-    from floorwalk.operators.labels import cells_entered, matrix_labels
-
     points = V.query_points(venue, n)
     placed = ranges.placed_points(venue, points)
     near = matrix_labels(venue, placed).withColumn("r", F.row_number().over(Window.partitionBy("qid").orderBy(F.abs(F.col("dist") - s2t_mm), "door"))).where("r = 1")
@@ -52,72 +54,167 @@ def _run(method: str, query: str, venue: V.Venue, r: int, k: int, objects: DataF
     return metrics.timed(lambda: route.route_query(method, venue, pairs if pairs is not None else V.query_pairs(venue)))
 
 
-def run_task(spark, sf_dir: str, task: str, methods: tuple[str, ...] = METHODS) -> DataFrame:
-    """One benchmark task (A, B1 ... B7) as a tidy table of seconds per batch of queries and of counters."""
+BUILDS = {"ag": graph_legs, "dm": door_matrix, "lr": lambda v: build_rtree(v).levels[0], "bt": lambda v: build_border_tree(v).inner, "btd": lambda v: build_border_tree(v).deep_out}
+
+
+def run_task(spark, sf_dir: str, task: str, methods: tuple[str, ...] = METHODS, other_dir: str | None = None) -> DataFrame:
+    """One benchmark task (A, B1 ... B7) as a tidy table: construction seconds and sizes (A), seconds of a batch of
+    queries, bytes at query time and doors visited. other_dir: tables of a second venue for B2."""
     out = []
-    base = lambda floors=5, variant="base": V.build_venue(spark, sf_dir, floors, variant)
+    base = lambda floors=5, variant="base", d=sf_dir: V.build_venue(spark, d, floors, variant)
 
     def sizes(venue, param, value):
         for row in metrics.model_size(venue, methods).groupBy("method").agg(F.sum("n_bytes").alias("b")).collect():  # one row per method
             out.append((task, venue.variant, row["method"], "-", param, str(value), "model_size", float(row["b"]), "bytes"))
 
-    def nvd(venue, param, value, method):
-        source, target = route.sides(venue, V.query_pairs(venue))
-        best = route.distance_query(method, venue, V.query_pairs(venue)).where("dist_mm is not null")
+    def memory(venue, param, value, method, r):
+        row = metrics.query_memory(method, venue, V.query_points(venue), r).first()
+        out.append(_row(task, venue.variant, method, "RQ", param, value, "memory", row["resident_bytes"] + row["read_bytes"] + row["label_bytes"], "bytes"))
+
+    def nvd(venue, param, value, method, pairs=None):
+        pairs = V.query_pairs(venue) if pairs is None else pairs
+        source, target = route.sides(venue, pairs)
+        best = route.distance_query(method, venue, pairs).where("dist_mm is not null")
         out.append(_row(task, venue.variant, method, "SPDQ", param, value, "nvd", route.visited_doors(method, venue, source, target, best).agg(F.avg("nvd")).first()[0] or 0, "doors"))
 
-    def all_queries(venue, param, value, kinds=("RQ", "KNN", "SPDQ")):
+    def queries(venue, param, value, kinds=("RQ", "KNN", "SPDQ"), r=60_000, k=10, objects=None, pairs=None):
         for method in methods:
             for kind in kinds:
-                out.append(_row(task, venue.variant, method, kind, param, value, "time", _run(method, kind, venue, 60_000, 10, V.objects(venue)), "s"))
+                out.append(_row(task, venue.variant, method, kind, param, value, "time", _run(method, kind, venue, r, k, V.objects(venue) if objects is None else objects, pairs), "s"))
+            if "RQ" in kinds and venue.override is None:
+                memory(venue, param, value, method, r)
             if "SPDQ" in kinds:
-                nvd(venue, param, value, method)
+                nvd(venue, param, value, method, pairs)
 
     if task == "A":
         for n in FLOORS:
-            sizes(base(n), "floors", n)
+            venue = base(n)
+            fresh = V.Venue(spark, sf_dir, n, "base", venue.partitions, venue.doors, venue.moves)
+            for method in methods:
+                out.append(_row(task, "base", method, "-", "floors", n, "build_time", metrics.timed(lambda m=method, v=fresh: BUILDS[m](v)), "s"))
+            sizes(venue, "floors", n)
     elif task == "B1":
         for n in FLOORS:
-            all_queries(base(n), "floors", n)
+            queries(base(n), "floors", n)
     elif task == "B2":
-        for n in OBJECTS:
-            for method in methods:
-                for kind in ("RQ", "KNN"):
-                    out.append(_row(task, "base", method, kind, "objects", n, "time", _run(method, kind, base(), 60_000, 10, V.objects(base(), n)), "s"))
+        for d in filter(None, (sf_dir, other_dir)):
+            have = V.objects(base(d=d)).count()
+            for n in OBJECTS:
+                if n <= have:
+                    queries(base(d=d), "objects", n, ("RQ", "KNN"), objects=V.objects(base(d=d), n))
     elif task == "B3":
         for r in RADII:
-            for method in methods:
-                out.append(_row(task, "base", method, "RQ", "r_mm", r, "time", _run(method, "RQ", base(), r, 10, V.objects(base())), "s"))
+            queries(base(), "r_mm", r, ("RQ",), r=r)
     elif task == "B4":
         for k in KS:
-            for method in methods:
-                out.append(_row(task, "base", method, "KNN", "k", k, "time", _run(method, "KNN", base(), 60_000, k, V.objects(base())), "s"))
+            queries(base(), "k", k, ("KNN",), k=k)
     elif task == "B5":
         chosen = s2t_pairs(base())
         for s2t in S2T:
             pairs = V.query_pairs(base()).join(chosen.where(F.col("s2t_mm") == s2t).select("qid"), "qid", "left_semi")
-            for method in methods:
-                out.append(_row(task, "base", method, "SPDQ", "s2t_mm", s2t, "time", _run(method, "SPDQ", base(), 60_000, 10, V.objects(base()), pairs), "s"))
+            queries(base(), "s2t_mm", s2t, ("SPDQ",), pairs=pairs)
     elif task in ("B6", "B7"):
-        for variant in TOPOLOGY if task == "B6" else ("nocut", "base", "fine"):
+        for variant in TOPOLOGY if task == "B6" else DECOMPOSITION:
             venue = base(5, variant)
             sizes(venue, "variant", variant)
-            all_queries(venue, "variant", variant)
+            queries(venue, "variant", variant, ("SPDQ",) if variant == "merged" else ("RQ", "KNN", "SPDQ"))
     else:
         raise ValueError(f"no such task: {task}")
     return spark.createDataFrame(out, SCHEMA)
 
 
+# Counters of the tasks: what does not depend on the machine, for comparison with SQL.
+
+
+def _union(frames: list[DataFrame]) -> DataFrame:
+    whole = frames[0]
+    for frame in frames[1:]:
+        whole = whole.union(frame)
+    return whole
+
+
+def radius_counters(venue: V.Venue) -> DataFrame:
+    """B3: (method, r_mm, labels, answers): doors labelled and objects found within each radius."""
+    points, rows = V.query_points(venue), []
+    placed = ranges.placed_points(venue, points)
+    for method in METHODS:
+        for r in RADII:
+            found = point_labels(method, venue, placed, r)
+            answers = ranges.score_objects(venue, found, placed, V.objects(venue), r).agg(F.count("*").alias("answers"))
+            rows.append(found.agg(F.count("*").alias("labels")).crossJoin(answers).select(F.lit(NAMES[method]).alias("method"), F.lit(r).cast("long").alias("r_mm"), "labels", "answers"))  # two one-row tables
+    return _union(rows)
+
+
+def neighbour_counters(venue: V.Venue) -> DataFrame:
+    """B4: (method, k, answers, sum_mm) for each k."""
+    rows = []
+    for method in METHODS:
+        most = materialize(knn.knn_query(method, venue, V.query_points(venue), V.objects(venue), max(KS)))
+        for k in KS:
+            rows.append(most.where(F.col("rank") <= k).agg(F.count("*").alias("answers"), F.sum("dist_mm").alias("sum_mm")).select(F.lit(NAMES[method]).alias("method"), F.lit(k).alias("k"), "answers", "sum_mm"))
+    return _union(rows)
+
+
+def object_counters(venue: V.Venue) -> DataFrame:
+    """B2: (method, objects, answers) of range queries over the first objects."""
+    rows = []
+    for method in METHODS:
+        found = materialize(ranges.range_query(method, venue, V.query_points(venue), V.objects(venue), 60_000))
+        rows += [found.where(F.col("object_id") < n).agg(F.count("*").alias("answers")).select(F.lit(NAMES[method]).alias("method"), F.lit(n).alias("objects"), "answers") for n in OBJECTS]
+    return _union(rows)
+
+
+def distance_counters(venue: V.Venue, methods: tuple[str, ...] = ("ag", "dm", "lr")) -> DataFrame:
+    """B5: (method, s2t_mm, pairs, sum_mm, nvd) over the pairs chosen for each distance."""
+    chosen, pairs, rows = materialize(s2t_pairs(venue)), V.query_pairs(venue), []
+    for method in methods:
+        best = materialize(route.distance_query(method, venue, pairs).where("dist_mm is not null"))
+        seen = route.visited_doors(method, venue, *route.sides(venue, pairs), best)
+        per = chosen.select("s2t_mm", "qid").join(best, "qid").join(seen, "qid").groupBy("s2t_mm")
+        rows.append(per.agg(F.count("*").alias("pairs"), F.sum("dist_mm").alias("sum_mm"), F.sum("nvd").alias("nvd")).select(F.lit(NAMES[method]).alias("method"), "s2t_mm", "pairs", "sum_mm", "nvd"))
+    return _union(rows)
+
+
+def variant_counters(spark, sf_dir: str, variants: tuple[str, ...], method: str = "dm") -> DataFrame:
+    """B6 and B7: (variant, doors, legs, reached, sum_mm): size of the graph and distances of the natural pairs."""
+    rows = []
+    for variant in variants:
+        venue = V.build_venue(spark, sf_dir, 5, variant)
+        found = route.distance_query(method if venue.override is None else "ag", venue, V.query_pairs(venue)).agg(F.count("dist_mm").alias("reached"), F.sum("dist_mm").alias("sum_mm"))
+        size = venue.doors.agg(F.count("*").alias("doors")).crossJoin(door_legs(venue).agg(F.count("*").alias("legs")))
+        rows.append(size.crossJoin(found).select(F.lit(variant).alias("variant"), "doors", "legs", "reached", "sum_mm"))  # one-row tables
+    return _union(rows)
+
+
+def floor_counters(spark, sf_dir: str) -> DataFrame:
+    """A and B1: (floors, doors, matrix_rows, sum_mm, max_mm) of the towers."""
+    rows = []
+    for n in FLOORS:
+        venue = V.build_venue(spark, sf_dir, n)
+        whole = door_matrix(venue).agg(F.count("*").alias("matrix_rows"), F.sum("dist_mm").alias("sum_mm"), F.max("dist_mm").alias("max_mm"))
+        rows.append(venue.doors.agg(F.count("*").alias("doors")).crossJoin(whole).select(F.lit(n).alias("floors"), "doors", "matrix_rows", "sum_mm", "max_mm"))  # one-row tables
+    return _union(rows)
+
+
+def stats_of_variants(spark, sf_dir: str, variants: tuple[str, ...] = ("sparse", "base", "dense", "fine", "nocut")) -> DataFrame:
+    """The dataset table: venue statistics of every variant."""
+    return _union([metrics.venue_stats(V.build_venue(spark, sf_dir, 5, v)).withColumn("variant", F.lit(v)) for v in variants])
+
+
+def growth(spark, sf_dir: str, low: str = "sparse", high: str = "dense") -> DataFrame:
+    """(method, ratio): how many more doors a range query labels in one variant than in another."""
+    rows = []
+    for variant in (low, high):
+        venue = V.build_venue(spark, sf_dir, 5, variant)
+        placed = ranges.placed_points(venue, V.query_points(venue))
+        rows += [point_labels(m, venue, placed, 60_000).agg(F.count("*").cast("double").alias("amount")).select(F.lit(NAMES[m]).alias("method"), F.lit(variant).alias("variant"), "amount") for m in METHODS]
+    return metrics.ratio_report(_union(rows), "variant", low, high)
+
+
 def border_report(spark, sf_dir: str, gammas: tuple[int, ...] = (4, 5, 6, 7)) -> DataFrame:
     """Leaves, height and cells of border trees over thresholds of crucial partitions."""
-    from floorwalk.plans.border import build_border_tree
-
     rows = []
     for gamma in gammas:
         tree = build_border_tree(V.build_venue(spark, sf_dir), gamma)
         rows.append((gamma, tree.members.select("leaf").distinct().count(), tree.height, tree.leaf_out.count() + tree.leaf_in.count(), tree.inner.count()))
     return spark.createDataFrame(rows, "gamma int, leaves long, height int, leaf_cells long, inner_cells long")
-
-
-def matrix_cells(spark, sf_dir: str) -> int:
-    return door_matrix(V.build_venue(spark, sf_dir)).count()
