@@ -25,7 +25,6 @@ def main() -> None:
         .config("spark.ui.enabled", "false").config("spark.ui.showConsoleProgress", "false").config("spark.sql.session.timeZone", "UTC").getOrCreate()
     )
     spark.sparkContext.setLogLevel("ERROR")
-    from floorwalk import workload
     from floorwalk.operators import knn, metrics, route
     from floorwalk.operators import range as ranges
     from floorwalk.plans import border, matrix, rtree
@@ -63,10 +62,13 @@ def main() -> None:
         "size_ag_lr_bt_btd_dm": sizes["access_graph"] < sizes["layered_rtree"] < sizes["border_tree"] < sizes["border_tree_deep"] < sizes["door_matrix"],
         "nvd_dm_least": nvd["dm"] == min(nvd.values()), "nvd_ag_equals_lr": nvd["ag"] == nvd["lr"], "nvd_btd_below_bt": nvd["btd"] <= nvd["bt"],
     }
+    # Wall times are reported, not asserted: a query's time is mostly the latency of its jobs.
+    soft = {f"{q}_dm_below_{m}": seconds[f"{q}_dm"] <= seconds[f"{q}_{m}"] for q in ("rq", "knn", "spdq") for m in ("ag", "lr", "bt", "btd")}
+    memory = {m: {k: int(v) for k, v in metrics.query_memory(m, venue, points, 60_000).first().asDict().items() if k != "method"} for m in METHODS}
     print(json.dumps({
         "metric": "indoor queries, total seconds", "value": round(sum(seconds.values()), 3), "unit": "sec", "queries": seconds, "sf": os.path.basename(SF_DIR.rstrip("/")).removeprefix("sf"),
         "per_second": {m: {"rq": round(1000 / seconds[f"rq1000_{m}"], 1), "sdq": round(n_pairs / seconds[f"sdq1000_{m}"], 1)} for m in ("dm", "btd")},
-        "model_bytes": sizes, "nvd": nvd, "shape": shape, "tasks": ["A", *[f"B{i}" for i in range(1, 8)]], "grid": {"r": workload.RADII, "k": workload.KS},
+        "model_bytes": sizes, "nvd": nvd, "shape": shape, "memory_bytes": memory, "faster": soft,
     }))
 
 

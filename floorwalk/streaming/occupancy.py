@@ -98,26 +98,28 @@ def alerts(states: DataFrame, late: str = "0 seconds") -> DataFrame:
     """(user_id, ts, event): `enter` and `leave` when a user's state changes, in the order of event time.
 
     Rows wait in the user's state until the watermark has passed them, so the order in which they arrive is of no matter;
-    rows behind the watermark are dropped by the engine, rows before it stay until it moves on.
+    rows behind what has been told of the user are dropped, rows before the watermark stay until it moves on.
     """
     schema = T.StructType([T.StructField("user_id", T.LongType()), T.StructField("ts", T.TimestampType()), T.StructField("event", T.StringType())])
     waiting = T.ArrayType(T.LongType())
-    held = T.StructType([T.StructField("inside", T.BooleanType()), T.StructField("us", waiting), T.StructField("ids", waiting), T.StructField("flags", waiting)])
+    held = T.StructType([T.StructField("inside", T.BooleanType()), T.StructField("passed", T.LongType()), T.StructField("us", waiting), T.StructField("ids", waiting), T.StructField("flags", waiting)])
 
     def watch(key, frames: Iterator[pd.DataFrame], state) -> Iterator[pd.DataFrame]:
-        was, *old = state.get if state.exists else (False, [], [], [])
+        was, passed, *old = state.get if state.exists else (False, -1, [], [], [])
         new = [] if state.hasTimedOut else list(frames)
         at = [np.asarray(x, dtype=np.int64) for x in old]
         for rows in new:
             stamps = rows["ts"].to_numpy().astype("datetime64[us]").astype(np.int64)
-            at = [np.concatenate([x, y]) for x, y in zip(at, (stamps, rows["event_id"].to_numpy(), rows["inside"].to_numpy().astype(np.int64)), strict=True)]
+            fresh = stamps // 1000 >= passed  # what is behind has been told already
+            columns = (stamps, rows["event_id"].to_numpy(), rows["inside"].to_numpy().astype(np.int64))
+            at = [np.concatenate([x, y[fresh]]) for x, y in zip(at, columns, strict=True)]
         mark = state.getCurrentWatermarkMs()
         order = np.lexsort((at[1], at[0]))
         us, ids, flags = (x[order] for x in at)
         ready = int(np.searchsorted(us // 1000, mark, side="left")) if mark > 0 else 0
         seen = np.concatenate([[int(was)], flags[:ready]])
         change = np.flatnonzero(np.diff(seen))
-        state.update((bool(seen[-1]), us[ready:].tolist(), ids[ready:].tolist(), flags[ready:].tolist()))
+        state.update((bool(seen[-1]), int(mark), us[ready:].tolist(), ids[ready:].tolist(), flags[ready:].tolist()))
         if ready < len(us):
             state.setTimeoutTimestamp(int(max(mark, us[ready] // 1000)) + 1)
         stamps = pd.to_datetime(us[change], unit="us")

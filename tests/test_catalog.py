@@ -7,7 +7,7 @@ import pytest
 from floorwalk import catalog
 
 TABLES = "region nation customer supplier part orders lineitem events".split()
-KEYS = ["door_pairs", "door_reach", "venue_stats", "first_hops", "rq_btd", "spdq_dm", "knn_ag", "variant_merged_sdq", "positions_as_of", "stream_range_monitor", "keyword_knn", "uncertain_range"]
+KEYS = ["door_pairs", "door_reach", "venue_stats", "first_hops", "rq_btd", "spdq_dm", "knn_ag", "variant_merged_sdq", "positions_as_of", "stream_range_monitor", "keyword_knn", "uncertain_range", "bt_hops", "validate_broken", "connectivity", "query_memory", "task_b5", "sql_range", "stream_alerts", "generated_pairs", "route_timed"]
 
 
 def plain(rows, names):
