@@ -15,7 +15,7 @@ import pyarrow.compute as pc
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from floorwalk.llm.runtime import DOCUMENT, guarded, materialize, numbered
+from floorwalk.llm.runtime import DOCUMENT, guarded, materialize_texts, numbered
 from floorwalk.llm.textkit import HASH_A, HASH_B, IS_LEAD, IS_SPACE, NEWLINE, TO_LOWER, chunks, mix64, repeats
 
 MIN_DOCS, SHARE, MAX_LOSS, MIN_WORDS = 20, 0.1, 0.5, 10
@@ -119,7 +119,7 @@ def judge(docs: DataFrame, host: str = "source", min_docs: int = MIN_DOCS, share
     """
     number = F.col("_rid") if "_rid" in docs.columns else F.monotonically_increasing_id()
     rows = docs.select(number.alias("rid"), F.col("doc_id").cast("long").alias("doc_id"), F.col(host).cast("string").alias("host"), F.col("text").cast("string").alias("text"))
-    measured = materialize(rows.mapInArrow(_measure, MEASURED))
+    measured = materialize_texts(rows.mapInArrow(_measure, MEASURED))
     named = measured.withColumn("host", F.coalesce(F.concat(F.lit("h"), "host"), F.lit("null")))
     lines = named.select("rid", "host", "text_hash", F.explode(F.arrays_zip("line_hash", "line_words")).alias("line"))
     lines = lines.select("rid", "host", "text_hash", F.col("line.line_hash").alias("line_hash"), F.col("line.line_words").alias("line_words"))

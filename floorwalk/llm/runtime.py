@@ -9,11 +9,26 @@ from pyspark.sql import functions as F
 
 from floorwalk.sources.scratch import materialize, shared_folder
 
-__all__ = ["connected_components", "guarded", "materialize", "numbered", "shared_folder"]
+__all__ = ["connected_components", "guarded", "materialize", "materialize_texts", "numbered", "shared_folder"]
 
 DOCUMENT = ("doc_id", "text", "lang", "source", "n_chars")
 
 
+BATCH_ROWS = "spark.sql.execution.arrow.maxRecordsPerBatch"
+
+
+def materialize_texts(frame: DataFrame, rows: int = 512) -> DataFrame:
+    """materialize() for plans that hand whole texts to Python: few rows a batch while it is written, so that neither side
+    holds ten thousand texts at once."""
+    conf = frame.sparkSession.conf
+    before = conf.get(BATCH_ROWS)
+    conf.set(BATCH_ROWS, str(rows if int(before) <= 0 else min(rows, int(before))))
+    try:
+        return materialize(frame)
+    finally:
+        conf.set(BATCH_ROWS, before)
+
+
 def numbered(docs: DataFrame) -> DataFrame:
     """The rows with a number of their own (_rid), written once so that every later read sees the same numbers."""
     return materialize(docs.withColumn("_rid", F.monotonically_increasing_id()))

@@ -26,7 +26,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from floorwalk.llm.runtime import connected_components, guarded, materialize, numbered
+from floorwalk.llm.runtime import connected_components, guarded, materialize, materialize_texts, numbered
 from floorwalk.llm.textkit import HASH_A, HASH_B, IS_SPACE, TO_LOWER, chunks, local_roots, mix64
 
 SHINGLE, RADIUS, SEED = 3, 3, 42
@@ -349,7 +349,7 @@ def components(docs: DataFrame, radius: int = RADIUS) -> DataFrame:
     row has the component of its text; repeated rows stay; an empty table gives no row; other columns are not read.
     """
     rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
-    marked = materialize(rows.mapInArrow(_fingerprint, "doc_id long, code long"))
+    marked = materialize_texts(rows.mapInArrow(_fingerprint, "doc_id long, code long"))
     codes = materialize(marked.groupBy("code").agg(F.min("doc_id").alias("least")))
     roots = link_fingerprints(codes.select("code"), radius)
     rooted = codes.join(roots.withColumnRenamed("node", "code"), "code", "left").withColumn("root", F.coalesce("root", "code"))
@@ -395,7 +395,7 @@ def verified(pairs: DataFrame, texts: DataFrame) -> DataFrame:
     left = left.withColumn("deal", F.explode(F.sequence(F.lit(0), F.col("deals") - 1))).drop("deals")
     asked = pairs.join(often, "a").withColumn("deal", F.pmod(F.xxhash64("b"), F.col("deals")).cast("int")).drop("deals")
     asked = asked.join(texts.select(F.col("rid").alias("b"), F.col("text").alias("text_b")), "b")
-    return materialize(asked.join(left, ["a", "deal"]).select("a", "b", "text_a", "text_b").mapInArrow(_check_pairs, "a long, b long"))
+    return materialize_texts(asked.join(left, ["a", "deal"]).select("a", "b", "text_a", "text_b").mapInArrow(_check_pairs, "a long, b long"))
 
 
 def near_copies(rows: DataFrame) -> DataFrame:
@@ -406,7 +406,7 @@ def near_copies(rows: DataFrame) -> DataFrame:
     """
     texts = rows.select(F.col("_rid").alias("rid"), F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
     words = [f"w{i}" for i in range(NEAR_WORDS)]
-    marked = materialize(texts.mapInArrow(_sketch, "rid long, doc_id long, content long, shingles long" + "".join(f", {w} long" for w in words)))
+    marked = materialize_texts(texts.mapInArrow(_sketch, "rid long, doc_id long, content long, shingles long" + "".join(f", {w} long" for w in words)))
     same = ["content", "shingles", *words]
     alike = materialize(marked.groupBy(*same).agg(F.min("rid").alias("first")))
     codes = alike.where("shingles > 0").select(F.col("first").alias("id"), F.col("first").alias("label"), *words)
