@@ -306,6 +306,23 @@ def test_language_model(docs):
         base = sum(math.log10((counts[t] + 0.1) / (n + 0.1 * (v + 1))) for t in own)
         assert (r.n_tokens, r.n_known, r.train_tokens) == (len(own), sum(t in counts for t in own), n)
         assert math.isclose(r.base_score, base, rel_tol=1e-9) and r.score < 0
+        assert math.isclose(r.bits_per_byte, -r.score / math.log10(2) / max(len((text or "").encode()), 1), rel_tol=1e-9)
+
+
+def test_language_model_beats_its_base(spark, middle):
+    """Held-out texts: the model's total is above the base's, and a text of letters costs less than four bits a byte."""
+    rows = context_mixing.score(spark.read.parquet(f"{middle}/documents.parquet")).where("held_out")
+    total = rows.agg(F.sum("score"), F.sum("base_score"), F.avg("bits_per_byte")).first()
+    assert total[0] > total[1] and total[2] < 4
+
+
+def test_other_labels_are_a_class_of_their_own(spark):
+    rows = [(i, "x", f"l{i % 7}") for i in range(100)] + [(i, "x", None) for i in range(100, 130)]
+    docs = spark.createDataFrame(rows, "doc_id long, text string, lang string")
+    number, n = context_mixing.text_classes(docs, "lang")
+    assert n == 5 and {r[0] for r in docs.select(number).distinct().collect()} == set(range(5))
+    number, n = context_mixing.text_classes(docs.where("lang in ('l0', 'l1')"), "lang")
+    assert n == 2
 
 
 def test_spelling_is_a_distribution():
