@@ -9,7 +9,7 @@ import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from floorwalk.sources.scratch import materialize
+from floorwalk.sources.scratch import discard, materialize
 
 LOCAL_LEGS, LOCAL_DOORS = 400_000, 20_000
 BLOCK_CELLS = 4_000_000
@@ -45,16 +45,20 @@ def relax(seeds: DataFrame, legs: DataFrame, bound: DataFrame | int | None = Non
         return low.select("qid", "door", *[F.col("low")[n].alias(n) for n in names])
 
     start = seeds.withColumn("path", F.array("door")) if with_path else seeds
-    best = frontier = materialize(least(capped(start.select("qid", "door", *names))))
+    first = best = frontier = materialize(least(capped(start.select("qid", "door", *names))))
     for _ in range(max_rounds):
         step = frontier.join(legs, frontier["door"] == legs["a_door"])
         grown = [(F.col("dist") + F.col("leg_mm")).alias("dist")] + ([F.array_append("path", F.col("b_door")).alias("path")] if with_path else [])
         candidates = least(capped(step.select("qid", F.col("b_door").alias("door"), *grown)))
         known = best.select("qid", "door", label.alias("known"))
-        frontier = materialize(candidates.join(known, ["qid", "door"], "left").where(F.col("known").isNull() | (label < F.col("known"))).select("qid", "door", *names))
+        last, frontier = frontier, materialize(candidates.join(known, ["qid", "door"], "left").where(F.col("known").isNull() | (label < F.col("known"))).select("qid", "door", *names))
+        if last is not first:
+            discard(last)
         if frontier.isEmpty():
             return best
-        best = materialize(least(best.union(frontier)))
+        last, best = best, materialize(least(best.union(frontier)))
+        if last is not first:
+            discard(last)
     raise RuntimeError("relaxation did not settle")
 
 

@@ -29,15 +29,28 @@ def materialize(frame: DataFrame) -> DataFrame:
     path = f"{shared_folder(spark)}/floorwalk-{uuid.uuid4().hex}"
     frame.write.parquet(path)
     _written.append((weakref.ref(spark), path))
-    return spark.read.schema(frame.schema).parquet(path)
+    out = spark.read.schema(frame.schema).parquet(path)
+    out._floorwalk_path = path
+    return out
+
+
+def _delete(spark: SparkSession, path: str) -> None:
+    target = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(path)
+    target.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(target, True)
+
+
+def discard(frame: DataFrame) -> None:
+    """Deletes a written table that nothing will read again, such as the round before in a loop."""
+    path = getattr(frame, "_floorwalk_path", None)
+    if path:
+        _delete(frame.sparkSession, path)
+        _written[:] = [w for w in _written if w[1] != path]
 
 
 def _remove() -> None:
     for ref, path in _written:
         try:
-            spark = ref()
-            target = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(path)
-            target.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(target, True)
+            _delete(ref(), path)
         except Exception:  # noqa: BLE001  the session has ended
             return
 
