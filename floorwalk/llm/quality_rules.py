@@ -15,7 +15,7 @@ import pyarrow.compute as pc
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from floorwalk.llm.runtime import DOCUMENT, guarded, materialize_texts, numbered
+from floorwalk.llm.runtime import DOCUMENT, content_keys, guarded, materialize_texts
 from floorwalk.llm.textkit import HASH_A, HASH_B, IS_LEAD, IS_SPACE, NEWLINE, TO_LOWER, chunks, mix64, repeats
 
 MIN_DOCS, SHARE, MAX_LOSS, MIN_WORDS = 20, 0.1, 0.5, 10
@@ -96,7 +96,7 @@ def _lists(values: list[np.ndarray], kind: pa.DataType) -> pa.Array:
 def _measure(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     for batch in batches:
         stats = text_statistics(batch.column("text"))
-        columns = {"rid": batch.column("rid"), "doc_id": batch.column("doc_id"), "host": batch.column("host")}
+        columns = {"rid": batch.column("rid"), "k1": batch.column("k1"), "k2": batch.column("k2"), "doc_id": batch.column("doc_id"), "host": batch.column("host")}
         for name, values in stats.items():
             if name == "line_hash":
                 columns[name] = _lists(values, pa.int64())
@@ -107,7 +107,7 @@ def _measure(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         yield pa.RecordBatch.from_pydict(columns)
 
 
-MEASURED = "rid long, doc_id long, host string, n_words long, word_chars long, n_symbols long, n_dup_lines long, n_repeat_words long, text_hash long, line_hash array<long>, line_words array<int>"
+MEASURED = "rid long, k1 long, k2 long, doc_id long, host string, n_words long, word_chars long, n_symbols long, n_dup_lines long, n_repeat_words long, text_hash long, line_hash array<long>, line_words array<int>"
 
 
 def judge(docs: DataFrame, host: str = "source", min_docs: int = MIN_DOCS, share: float = SHARE, max_loss: float = MAX_LOSS, min_words: int = MIN_WORDS) -> DataFrame:
@@ -117,8 +117,7 @@ def judge(docs: DataFrame, host: str = "source", min_docs: int = MIN_DOCS, share
     document count, so a group of copies never turns its own lines into boilerplate; repeated rows are judged each; an
     empty table gives no row. Columns beyond doc_id, text and the host column are not read.
     """
-    number = F.col("_rid") if "_rid" in docs.columns else F.monotonically_increasing_id()
-    rows = docs.select(number.alias("rid"), F.col("doc_id").cast("long").alias("doc_id"), F.col(host).cast("string").alias("host"), F.col("text").cast("string").alias("text"))
+    rows = docs.select(F.monotonically_increasing_id().alias("rid"), *content_keys(host, "text"), F.col("doc_id").cast("long").alias("doc_id"), F.col(host).cast("string").alias("host"), F.col("text").cast("string").alias("text"))
     measured = materialize_texts(rows.mapInArrow(_measure, MEASURED))
     named = measured.withColumn("host", F.coalesce(F.concat(F.lit("h"), "host"), F.lit("null")))
     lines = named.select("rid", "host", "text_hash", F.explode(F.arrays_zip("line_hash", "line_words")).alias("line"))
@@ -163,14 +162,15 @@ def _strip(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
 def clean(docs: DataFrame, host: str = "source", **options) -> DataFrame:
     """The kept rows with their own columns, boilerplate lines cut out of their texts (n_chars follows).
 
-    Verdicts are joined by row number, so rows without an id and rows that repeat one get their own. Columns beyond those
-    that are read may have any name.
+    A verdict follows from host and text alone, so it is joined by hashes of both: rows without an id and rows that repeat one
+    get their own. Columns beyond those that are read may have any name.
     """
 
     def work(named: DataFrame) -> DataFrame:
-        columns, rows = named.columns, numbered(named)
-        verdict = judge(rows, host, **options).where("kept").select(F.col("rid").alias("_rid"), "removed_lines")
-        kept = rows.join(verdict, "_rid").select(*columns, "removed_lines").mapInArrow(_strip, named.schema)
+        columns = named.columns
+        verdict = judge(named, host, **options).where("kept").groupBy("k1", "k2").agg(F.first("removed_lines").alias("removed_lines"))
+        rows = named.select("*", *content_keys(host, "text"))
+        kept = rows.join(verdict, ["k1", "k2"]).select(*columns, "removed_lines").mapInArrow(_strip, named.schema)
         if "n_chars" in columns:
             kept = kept.withColumn("n_chars", F.length("text").cast(named.schema["n_chars"].dataType))
         return kept

@@ -7,9 +7,9 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from floorwalk.sources.scratch import materialize, shared_folder
+from floorwalk.sources.scratch import discard, materialize, shared_folder
 
-__all__ = ["connected_components", "guarded", "materialize", "materialize_texts", "numbered", "shared_folder"]
+__all__ = ["connected_components", "content_keys", "discard", "guarded", "materialize", "materialize_texts", "shared_folder"]
 
 DOCUMENT = ("doc_id", "text", "lang", "source", "n_chars")
 
@@ -29,9 +29,10 @@ def materialize_texts(frame: DataFrame, rows: int = 512) -> DataFrame:
         conf.set(BATCH_ROWS, before)
 
 
-def numbered(docs: DataFrame) -> DataFrame:
-    """The rows with a number of their own (_rid), written once so that every later read sees the same numbers."""
-    return materialize(docs.withColumn("_rid", F.monotonically_increasing_id()))
+def content_keys(*columns: str) -> list[F.Column]:
+    """Two 64-bit hashes (k1, k2) of the named columns, nulls told apart: rows that agree in them agree in the columns."""
+    parts = [part for c in columns for part in (F.col(c).isNull(), F.col(c))]
+    return [F.xxhash64(F.lit(1), *parts).alias("k1"), F.xxhash64(F.lit(2), *reversed(parts)).alias("k2")]
 
 
 def guarded(docs: DataFrame, work: Callable[[DataFrame], DataFrame], own: tuple[str, ...] = DOCUMENT) -> DataFrame:
@@ -58,7 +59,8 @@ def connected_components(edges: DataFrame, max_rounds: int = 60) -> DataFrame:
         low = large.groupBy("u").agg(F.min("v").alias("m"))
         joined = large.join(low, "u")
         small = joined.select(F.col("v").alias("u"), F.col("m").alias("v")).union(joined.select("u", F.col("m").alias("v")))
-        pairs = materialize(small.where("u <> v").distinct())
+        last, pairs = pairs, materialize(small.where("u <> v").distinct())
+        discard(last)
         state = pairs.agg(F.count("*"), F.sum(F.xxhash64("u", "v").cast("decimal(38,0)"))).first()
         if state == before:
             break

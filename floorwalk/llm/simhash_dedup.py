@@ -26,7 +26,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from floorwalk.llm.runtime import connected_components, guarded, materialize, materialize_texts, numbered
+from floorwalk.llm.runtime import connected_components, content_keys, discard, guarded, materialize, materialize_texts
 from floorwalk.llm.textkit import HASH_A, HASH_B, IS_SPACE, TO_LOWER, chunks, local_roots, mix64
 
 SHINGLE, RADIUS, SEED = 3, 3, 42
@@ -305,7 +305,10 @@ def _search(tables: Tables, words: int, radius: int, mode: str):
 
 
 def code_links(codes: DataFrame, tables: Tables, words: int, radius: int, mode: str = FOREST) -> DataFrame:
-    """codes (id, label, w0 [, w1]), ids distinct -> links (a, b) of ids whose codes lie within the radius (see _search)."""
+    """codes (id, label, w0 [, w1]), ids distinct -> links (a, b) of ids whose codes lie within the radius (see _search).
+
+    Links are written, each once; what was dealt out for the search is dropped then.
+    """
     columns = [f"w{i}" for i in range(words)]
     fields = "key long, place long, id long, label long" + "".join(f", {c} long" for c in columns)
     dealt = materialize(codes.select("id", "label", *columns).mapInArrow(_deal(tables, words), fields))
@@ -327,7 +330,10 @@ def code_links(codes: DataFrame, tables: Tables, words: int, radius: int, mode:
             off = off + F.bit_count(F.col(c).bitwiseXOR(F.col(f"and_{c}")).bitwiseAND(shared))
         visits = placed.withColumnRenamed("part", "home").join(materialize(nodes), "key").where((F.col("part") <= F.col("home")) & (off <= radius))
         rows = rows.union(visits.withColumn("member", F.col("part") == F.col("home")).select(*keys))
-    return rows.repartition("key", "part").sortWithinPartitions("key", "part", "id").mapInArrow(_search(tables, words, radius, mode), "a long, b long")
+    found = rows.repartition("key", "part").sortWithinPartitions("key", "part", "id").mapInArrow(_search(tables, words, radius, mode), "a long, b long")
+    links = materialize(found.distinct())
+    discard(dealt)
+    return links
 
 
 def link_fingerprints(codes: DataFrame, radius: int = RADIUS) -> DataFrame:
@@ -368,7 +374,7 @@ def _sketch(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             codes = majority(np.stack([mix64(value + np.uint64(7919 * (w + 1))) for w in range(NEAR_WORDS)], axis=1), cuts)
             part = batch.slice(first, len(cuts) - 1)
             first += len(cuts) - 1
-            yield pa.RecordBatch.from_pydict({"rid": part.column("rid"), "doc_id": part.column("doc_id"), "content": pa.array(content.view(np.int64)), "shingles": pa.array(np.diff(cuts).astype(np.int64)), **_columns(codes)})
+            yield pa.RecordBatch.from_pydict({"rid": part.column("rid"), "k1": part.column("k1"), "k2": part.column("k2"), "doc_id": part.column("doc_id"), "content": pa.array(content.view(np.int64)), "shingles": pa.array(np.diff(cuts).astype(np.int64)), **_columns(codes)})
 
 
 def _sets(column: pa.Array) -> list[np.ndarray]:
@@ -398,43 +404,48 @@ def verified(pairs: DataFrame, texts: DataFrame) -> DataFrame:
     return materialize_texts(asked.join(left, ["a", "deal"]).select("a", "b", "text_a", "text_b").mapInArrow(_check_pairs, "a long, b long"))
 
 
-def near_copies(rows: DataFrame) -> DataFrame:
-    """(rid, doc_id, root) for each row of a numbered table: rows with one root are linked through pairs of similarity >= 0.8.
+def near_copies(docs: DataFrame) -> DataFrame:
+    """(rid, k1, k2, doc_id, root) for each row of docs (doc_id, text): rows with one root are linked through pairs of
+    similarity >= 0.8; k1 and k2 are hashes of id and text.
 
     Texts with one shingle set collapse. Every text is checked against its first neighbour in each slice; of the texts that
     have a neighbour, all pairs that are in different components after that are checked, too.
     """
-    texts = rows.select(F.col("_rid").alias("rid"), F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
+    keyed = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"), *content_keys("doc_id", "text"))
     words = [f"w{i}" for i in range(NEAR_WORDS)]
-    marked = materialize_texts(texts.mapInArrow(_sketch, "rid long, doc_id long, content long, shingles long" + "".join(f", {w} long" for w in words)))
+    fields = "rid long, k1 long, k2 long, doc_id long, content long, shingles long" + "".join(f", {w} long" for w in words)
+    marked = materialize_texts(keyed.withColumn("rid", F.monotonically_increasing_id()).mapInArrow(_sketch, fields))
     same = ["content", "shingles", *words]
     alike = materialize(marked.groupBy(*same).agg(F.min("rid").alias("first")))
     codes = alike.where("shingles > 0").select(F.col("first").alias("id"), F.col("first").alias("label"), *words)
     tables = sampled_tables(codes.count())
-    pairs = materialize(code_links(codes, tables, NEAR_WORDS, NEAR_RADIUS, FIRST).distinct())
+    pairs = code_links(codes, tables, NEAR_WORDS, NEAR_RADIUS, FIRST)
     met = materialize(pairs.select(F.col("a").alias("id")).union(pairs.select("b")).distinct())
-    body = materialize(texts.select("rid", "text").join(met.withColumnRenamed("id", "rid"), "rid", "left_semi"))
+    named = marked.join(met, marked["rid"] == met["id"]).select("rid", "k1", "k2")
+    body = materialize(keyed.select("k1", "k2", "text").join(named, ["k1", "k2"]).dropDuplicates(["k1", "k2", "rid"]).select("rid", "text"))
     links = verified(pairs, body)
     roots = materialize(connected_components(links))
     again = codes.join(met, "id", "left_semi").drop("label").join(roots.withColumnRenamed("node", "id"), "id", "left").withColumn("label", F.coalesce("root", "id"))
-    open_pairs = code_links(again, tables, NEAR_WORDS, NEAR_RADIUS, EVERY).distinct().join(pairs, ["a", "b"], "left_anti")
-    roots = connected_components(links.union(verified(materialize(open_pairs), body))).withColumnRenamed("node", "first")
+    open_pairs = code_links(again, tables, NEAR_WORDS, NEAR_RADIUS, EVERY).join(pairs, ["a", "b"], "left_anti")
+    roots = connected_components(links.union(verified(open_pairs, body))).withColumnRenamed("node", "first")
+    discard(body)
     rooted = alike.join(roots, "first", "left").select(*same, F.coalesce("root", "first").alias("root"))
-    return marked.join(rooted, same).select("rid", "doc_id", "root")
+    return marked.join(rooted, same).select("rid", "k1", "k2", "doc_id", "root")
 
 
 def keep_one(docs: DataFrame) -> DataFrame:
     """One row of each group of near copies, the one with the least id (rows without an id last), with its own columns.
 
     Texts with equal shingle sets, wordless and null ones among them, are copies; ids decide nothing but which row stays,
-    so rows without an id and different texts under one id are kept like any other. Columns beyond doc_id and text may
-    have any name; an empty table gives no row.
+    so rows without an id and different texts under one id are kept like any other, and of rows that agree in id and text
+    any one. Columns beyond doc_id and text may have any name; an empty table gives no row.
     """
 
     def work(named: DataFrame) -> DataFrame:
-        rows = numbered(named)
-        best = near_copies(rows).groupBy("root").agg(F.min(F.struct(F.col("doc_id").isNull().alias("none"), "doc_id", "rid")).alias("best"))
-        return rows.join(best.select(F.col("best.rid").alias("_rid")), "_rid", "left_semi")
+        least = F.min(F.struct(F.col("doc_id").isNull().alias("none"), "doc_id", "k1", "k2")).alias("best")
+        best = near_copies(named).groupBy("root").agg(least).select("best.k1", "best.k2").distinct()
+        rows = named.select("*", *content_keys("doc_id", "text"))
+        return rows.join(best, ["k1", "k2"], "left_semi").dropDuplicates(["k1", "k2"])
 
     return guarded(docs, work)
 
