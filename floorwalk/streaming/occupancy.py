@@ -69,11 +69,24 @@ def visits(positions: DataFrame, gap: str = "30 minutes") -> DataFrame:
 
 
 def run_once(stream: DataFrame, mode: str = "append") -> DataFrame:
-    """Drives a stream over all there is to a memory table and returns that as a frame."""
-    name = f"floorwalk_{uuid.uuid4().hex}"
-    query = stream.writeStream.format("memory").queryName(name).outputMode(mode).trigger(availableNow=True).option("checkpointLocation", f"{shared_folder(stream.sparkSession)}/{name}").start()
+    """Drives a stream over all there is into the shared folder and returns what it wrote as a frame.
+
+    Rows stay with the executors: each micro-batch is a folder of its own, so a batch that is run again replaces its own rows.
+    In complete mode the last batch is the whole result.
+    """
+    spark, schema, path = stream.sparkSession, stream.schema, f"{shared_folder(stream.sparkSession)}/floorwalk-stream-{uuid.uuid4().hex}"
+    written: dict[int, str] = {}
+
+    def write(batch: DataFrame, number: int) -> None:
+        batch.write.mode("overwrite").parquet(f"{path}/b{number}")
+        written[number] = f"{path}/b{number}"
+
+    query = stream.writeStream.foreachBatch(write).outputMode(mode).trigger(availableNow=True).option("checkpointLocation", f"{path}/checkpoint").start()
     query.awaitTermination()
-    return stream.sparkSession.table(name)
+    if not written:
+        return spark.createDataFrame([], schema)
+    kept = [written[max(written)]] if mode == "complete" else [written[n] for n in sorted(written)]
+    return spark.read.schema(schema).parquet(*kept)
 
 
 def within_range(venue: Venue, point: DataFrame, radius_mm: int, method: str = "dm") -> DataFrame:
