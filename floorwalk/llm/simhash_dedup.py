@@ -22,6 +22,7 @@ from itertools import combinations
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
@@ -31,10 +32,11 @@ from floorwalk.llm.textkit import HASH_A, HASH_B, IS_SPACE, TO_LOWER, chunks, lo
 
 SHINGLE, RADIUS, SEED = 3, 3, 42
 SLICE, MEMBERS, ASKED, FANOUT = 1024, 8192, 1024, 32
-FOREST, FIRST, EVERY = "forest", "first", "every"
+FOREST, FIRST, SURE, SPAN, EVERY = "forest", "first", "sure", "span", "every"
 # The near-copy rule of stages: five-word shingles as sets, similarity 0.8 and more, found in fingerprints of two words.
-NEAR_SHINGLE, NEAR_WORDS, NEAR_SHARE, NEAR_RADIUS, NEAR_MISS = 5, 2, 0.8485, 34, 1e-3
+NEAR_SHINGLE, NEAR_WORDS, NEAR_SHARE, NEAR_RADIUS, NEAR_MISS = 5, 2, 0.8485, 34, 5e-4
 VERIFY_ROWS = 4096
+BUCKETS, MOST_BUCKETS = 8, 1 << 16
 
 
 def majority(hashes: np.ndarray, cuts: np.ndarray) -> np.ndarray:
@@ -110,6 +112,47 @@ def similar(common: np.ndarray, a: np.ndarray, b: np.ndarray) -> np.ndarray:
     return (9 * common >= 4 * (a + b)) & (a > 0) & (b > 0)
 
 
+def parity(hashes: np.ndarray) -> bytes:
+    """A set's members dealt over buckets (a power of two, about BUCKETS a member): a bit each, whether it holds an odd number."""
+    n = 1 << min(max(6, (BUCKETS * len(hashes) - 1).bit_length()), MOST_BUCKETS.bit_length() - 1)
+    at = (hashes & np.uint64(n - 1)).astype(np.int64)
+    return np.packbits((np.bincount(at, minlength=n) & 1).astype(np.uint8)).tobytes()
+
+
+class Parities:
+    """Which pairs of sets may have a similarity of 0.8, from sizes and parities alone; no pair that has it is ruled out.
+
+    Buckets whose parity differs each hold a member that only one of the sets has. Twice as many buckets fold to half.
+    """
+
+    def __init__(self, size: np.ndarray, bits: pa.Array) -> None:
+        self.size = size
+        width = pc.binary_length(bits).to_numpy(zero_copy_only=False) // 8
+        self.width, self.tables = width, {}
+        for w in np.unique(width).tolist():
+            place, parts = np.full(len(size), -1), []
+            for own in (w, 2 * w):
+                rows = np.flatnonzero(width == own)
+                words = np.frombuffer(b"".join(bits.take(pa.array(rows)).to_pylist()), dtype=np.uint64).reshape(len(rows), own)
+                place[rows] = sum(map(len, parts)) + np.arange(len(rows))
+                parts.append(words if own == w else words[:, :w] ^ words[:, w:])
+            self.tables[w] = place, np.concatenate(parts)
+
+    def may_match(self, a: np.ndarray, b: np.ndarray, sure: bool = False) -> np.ndarray:
+        """With sure, those only that match unless many of the members that one set has alone hide each other."""
+        na, nb = self.size[a], self.size[b]
+        near = similar(np.minimum(na, nb), na, nb)
+        width = np.minimum(self.width[a], self.width[b])
+        for w in np.unique(width[near]).tolist():
+            place, table = self.tables[w]
+            rows, step = np.flatnonzero(near & (width == w)), max(1, (1 << 20) // w)
+            for low in range(0, len(rows), step):
+                part = rows[low : low + step]
+                odd = np.bitwise_count(table[place[a[part]]] ^ table[place[b[part]]]).sum(axis=1, dtype=np.int64)
+                near[part] = (11 if sure else 9) * odd <= na[part] + nb[part]  # common <= (na + nb - odd) / 2, see similar()
+        return near
+
+
 @dataclass(frozen=True)
 class Tables:
     """Bit orders of the index's tables (one row each) and the number of leading bits that name a slice."""
@@ -221,6 +264,9 @@ class GrayHammingIndex:
                     yield (self.order[at] if own else at), self.order[first + m]
 
 
+SETS = {"shingles": "long", "parity": "binary"}
+
+
 def _columns(codes: np.ndarray) -> dict[str, pa.Array]:
     return {f"w{i}": pa.array(np.ascontiguousarray(codes[:, i]).view(np.int64)) for i in range(codes.shape[1])}
 
@@ -240,16 +286,32 @@ def _deal(tables: Tables, words: int):
                 lead = turned[:, 0] >> np.uint64(64 - tables.lead) if tables.lead else np.zeros(len(codes), dtype=np.uint64)
                 key = lead.astype(np.int64) * len(tables.orders) + table
                 place = (gray_rank(turned)[:, 0] >> np.uint64(2)).astype(np.int64)
-                yield pa.RecordBatch.from_pydict({"key": pa.array(key), "place": pa.array(place), "id": number, "label": batch.column("label"), **_columns(codes)})
+                sets = {c: batch.column(c) for c in SETS if c in batch.schema.names}
+                yield pa.RecordBatch.from_pydict({"key": pa.array(key), "place": pa.array(place), "id": number, "label": batch.column("label"), **_columns(codes), **sets})
 
     return run
 
 
+def _spanning(a: np.ndarray, b: np.ndarray, rows: np.ndarray, root: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """The rows of pairs that join what root leaves apart, none of them needless, and the roots after that."""
+    chosen = []
+    while len(rows):
+        x, y = root[a[rows]], root[b[rows]]
+        open_rows = x != y
+        rows, x, y = rows[open_rows], x[open_rows], y[open_rows]
+        # One pair for each greater root: every such root goes under a lesser one, so no circle closes.
+        one = np.unique(np.maximum(x, y), return_index=True)[1]
+        chosen.append(rows[one])
+        root = local_roots(x[one], y[one], root)
+    return np.concatenate(chosen) if chosen else rows, root
+
+
 def _search(tables: Tables, words: int, radius: int, mode: str):
     """Slices arrive sorted by (key, part); a slice may span batches. Rows with member = false only ask.
 
     Yields links (a, b) of ids. FOREST: as many as join all that is linked inside a slice; FIRST: each code with its first
-    neighbour in Gray order; EVERY: all pairs whose labels differ.
+    neighbour in Gray order; SPAN: pairs that may match (see Parities), as few as join all labels that such pairs join
+    inside a slice; SURE: the same of pairs that hardly fail; EVERY: all pairs that may match and whose labels differ.
     """
 
     def batch_of(a: np.ndarray, b: np.ndarray) -> pa.RecordBatch:
@@ -267,6 +329,10 @@ def _search(tables: Tables, words: int, radius: int, mode: str):
         if len(asking):
             searches.append((asking, index.links(radius, turned[asking])))
         root, linked = np.arange(len(number)), np.zeros(len(number), dtype=bool)
+        sets = Parities(table["shingles"].to_numpy(), table["parity"].combine_chunks()) if mode in (SURE, SPAN, EVERY) else None
+        if mode in (SURE, SPAN):
+            _, first, same = np.unique(label, return_index=True, return_inverse=True)
+            root = first[same]
         for rows, found in searches:
             for q, m in found:
                 a, b = rows[q], inside[m]
@@ -276,13 +342,22 @@ def _search(tables: Tables, words: int, radius: int, mode: str):
                 if mode == FIRST:
                     new = np.flatnonzero(~linked[a])
                     new = new[np.unique(a[new], return_index=True)[1]]
+                    back = np.flatnonzero(~linked[b])
+                    back = back[np.unique(b[back], return_index=True)[1]]
+                    new = np.union1d(new, back)
                     a, b = a[new], b[new]
-                    linked[a] = True
-                apart = label[a] != label[b]
-                if apart.any():
+                    linked[a] = linked[b] = True
+                apart = np.flatnonzero(label[a] != label[b])
+                if mode in (SURE, SPAN):
+                    apart = apart[root[a[apart]] != root[b[apart]]]
+                if sets is not None:
+                    apart = apart[sets.may_match(a[apart], b[apart], mode == SURE)]
+                if mode in (SURE, SPAN):
+                    apart, root = _spanning(a, b, apart, root)
+                if len(apart):
                     yield batch_of(number[a[apart]], number[b[apart]])
         moved = np.flatnonzero(root != np.arange(len(root)))
-        if len(moved):
+        if mode == FOREST and len(moved):
             yield batch_of(number[moved], number[root[moved]])
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -307,13 +382,15 @@ def _search(tables: Tables, words: int, radius: int, mode: str):
 def code_links(codes: DataFrame, tables: Tables, words: int, radius: int, mode: str = FOREST) -> DataFrame:
     """codes (id, label, w0 [, w1]), ids distinct -> links (a, b) of ids whose codes lie within the radius (see _search).
 
+    SURE, SPAN and EVERY also need the columns shingles and parity of the codes' sets.
     Links are written, each once; what was dealt out for the search is dropped then.
     """
     columns = [f"w{i}" for i in range(words)]
-    fields = "key long, place long, id long, label long" + "".join(f", {c} long" for c in columns)
-    dealt = materialize(codes.select("id", "label", *columns).mapInArrow(_deal(tables, words), fields))
+    sets = SETS if mode in (SURE, SPAN, EVERY) else {}
+    fields = "key long, place long, id long, label long" + "".join(f", {c} long" for c in columns) + "".join(f", {c} {t}" for c, t in sets.items())
+    dealt = materialize(codes.select("id", "label", *columns, *sets).mapInArrow(_deal(tables, words), fields))
     hot = materialize(dealt.groupBy("key").agg(F.count("*").alias("n")).where(F.col("n") > MEMBERS))
-    keys = ["key", "part", "id", "label", "member", *columns]
+    keys = ["key", "part", "id", "label", "member", *columns, *sets]
     rows = dealt.join(hot, "key", "left_anti").withColumn("part", F.lit(0)).withColumn("member", F.lit(True)).select(*keys)
     most = hot.agg(F.max("n")).first()[0]
     if most:
@@ -369,12 +446,14 @@ def _sketch(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     for batch in batches:
         first = 0
         for value, cuts in shingle_sets(batch.column("text")):
-            total = np.concatenate([np.zeros(1, dtype=np.uint64), np.cumsum(mix64(value), dtype=np.uint64)])
+            mixed = mix64(value)
+            total = np.concatenate([np.zeros(1, dtype=np.uint64), np.cumsum(mixed, dtype=np.uint64)])
+            odd = [parity(mixed[i:j]) for i, j in zip(cuts[:-1], cuts[1:], strict=True)]
             content = mix64(total[cuts[1:]] - total[cuts[:-1]] + np.diff(cuts).astype(np.uint64))
             codes = majority(np.stack([mix64(value + np.uint64(7919 * (w + 1))) for w in range(NEAR_WORDS)], axis=1), cuts)
             part = batch.slice(first, len(cuts) - 1)
             first += len(cuts) - 1
-            yield pa.RecordBatch.from_pydict({"rid": part.column("rid"), "k1": part.column("k1"), "k2": part.column("k2"), "doc_id": part.column("doc_id"), "content": pa.array(content.view(np.int64)), "shingles": pa.array(np.diff(cuts).astype(np.int64)), **_columns(codes)})
+            yield pa.RecordBatch.from_pydict({"rid": part.column("rid"), "k1": part.column("k1"), "k2": part.column("k2"), "doc_id": part.column("doc_id"), "content": pa.array(content.view(np.int64)), "shingles": pa.array(np.diff(cuts).astype(np.int64)), "parity": pa.array(odd, pa.binary()), **_columns(codes)})
 
 
 def _sets(column: pa.Array) -> list[np.ndarray]:
@@ -408,12 +487,12 @@ def near_copies(docs: DataFrame) -> DataFrame:
     """(rid, k1, k2, doc_id, root) for each row of docs (doc_id, text): rows with one root are linked through pairs of
     similarity >= 0.8; k1 and k2 are hashes of id and text.
 
-    Texts with one shingle set collapse. Every text is checked against its first neighbour in each slice; of the texts that
-    have a neighbour, all pairs that are in different components after that are checked, too.
+    Texts with one shingle set collapse. Of the texts that have a neighbour in some slice, pairs that sizes and parities do not
+    rule out are checked: twice as few as join each slice, then all whose texts are in different components after that.
     """
     keyed = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"), *content_keys("doc_id", "text"))
     words = [f"w{i}" for i in range(NEAR_WORDS)]
-    fields = "rid long, k1 long, k2 long, doc_id long, content long, shingles long" + "".join(f", {w} long" for w in words)
+    fields = "rid long, k1 long, k2 long, doc_id long, content long, shingles long, parity binary" + "".join(f", {w} long" for w in words)
     marked = materialize_texts(keyed.withColumn("rid", F.monotonically_increasing_id()).mapInArrow(_sketch, fields))
     same = ["content", "shingles", *words]
     alike = materialize(marked.groupBy(*same).agg(F.min("rid").alias("first")))
@@ -421,13 +500,19 @@ def near_copies(docs: DataFrame) -> DataFrame:
     tables = sampled_tables(codes.count())
     pairs = code_links(codes, tables, NEAR_WORDS, NEAR_RADIUS, FIRST)
     met = materialize(pairs.select(F.col("a").alias("id")).union(pairs.select("b")).distinct())
-    named = marked.join(met, marked["rid"] == met["id"]).select("rid", "k1", "k2")
+    asked = materialize(marked.join(met, marked["rid"] == met["id"]).select("id", "k1", "k2", *SETS, *words))
+    named = asked.select(F.col("id").alias("rid"), "k1", "k2")
     body = materialize(keyed.select("k1", "k2", "text").join(named, ["k1", "k2"]).dropDuplicates(["k1", "k2", "rid"]).select("rid", "text"))
-    links = verified(pairs, body)
-    roots = materialize(connected_components(links))
-    again = codes.join(met, "id", "left_semi").drop("label").join(roots.withColumnRenamed("node", "id"), "id", "left").withColumn("label", F.coalesce("root", "id"))
-    open_pairs = code_links(again, tables, NEAR_WORDS, NEAR_RADIUS, EVERY).join(pairs, ["a", "b"], "left_anti")
-    roots = connected_components(links.union(verified(open_pairs, body))).withColumnRenamed("node", "first")
+    tables = sampled_tables(asked.count())
+    labelled, links, tried = asked.withColumn("label", F.col("id")), None, None
+    for mode in (SURE, SPAN, EVERY):
+        pairs = code_links(labelled, tables, NEAR_WORDS, NEAR_RADIUS, mode)
+        pairs = pairs if tried is None else materialize(pairs.join(tried, ["a", "b"], "left_anti"))
+        found = verified(pairs, body)
+        links, tried = (found, pairs) if links is None else (links.union(found), tried.union(pairs))
+        roots = materialize(connected_components(links))
+        labelled = asked.join(roots.withColumnRenamed("node", "id"), "id", "left").withColumn("label", F.coalesce("root", "id"))
+    roots = roots.withColumnRenamed("node", "first")
     discard(body)
     rooted = alike.join(roots, "first", "left").select(*same, F.coalesce("root", "first").alias("root"))
     return marked.join(rooted, same).select("rid", "k1", "k2", "doc_id", "root")

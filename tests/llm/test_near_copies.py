@@ -2,6 +2,9 @@
 
 import random
 
+import numpy as np
+import pyarrow as pa
+
 import corpus_pipeline
 from floorwalk.llm import simhash_dedup
 from floorwalk.llm.runtime import materialize
@@ -90,3 +93,42 @@ def test_stages_with_the_similarity_rule(spark, small):
     assert all(abs(len(r.text.encode()) - (want[r.doc_id][0] - want[r.doc_id][1])) <= 6 * want[r.doc_id][2] for r in cut.collect())
     mixed = materialize(stages["source_mixing"](spark, cut, small))
     assert corpus_pipeline.run(spark, small).count() == stages["packing"](spark, mixed, small).count()
+
+
+def family(n, edits, seed=11):
+    """Texts of 150 words, each with its own few words changed: within the radius, most of them below 0.8 of each other."""
+    rng = random.Random(seed)
+    word = lambda: "".join(rng.choice("bcdfgklmnprst") + rng.choice("aeiou") for _ in range(3))
+    base, out = [word() for _ in range(150)], []
+    for i in range(n):
+        copy = list(base)
+        for at in rng.sample(range(150), edits[i % len(edits)]):
+            copy[at] = word()
+        out.append(" ".join(copy))
+    return out
+
+
+def test_families_are_not_compared_pair_by_pair(spark, monkeypatch):
+    checked = []
+
+    def counted(pairs, texts):
+        checked.append(pairs.count())
+        return verified(pairs, texts)
+
+    verified = simhash_dedup.verified
+    monkeypatch.setattr(simhash_dedup, "verified", counted)
+    texts = family(300, (1, 2, 3, 4, 5, 6))
+    groups = brute_groups(texts)
+    assert 30 < len(groups) < 280
+    assert sorted(r.doc_id for r in stage(spark, [row(i, t) for i, t in enumerate(texts)])) == sorted(min(g) for g in groups)
+    assert sum(checked) <= 5 * len(texts)
+
+
+def test_first_neighbours_reach_every_code_that_has_one():
+    """0 has the neighbours 1 and 2, which lie too far from each other; all three are named."""
+    codes = np.array([[0], [0b11], [0b1100]], dtype=np.uint64)
+    batch = pa.RecordBatch.from_pydict({"key": [0] * 3, "part": [0] * 3, "id": [0, 1, 2], "label": [0, 1, 2], "member": [True] * 3, "w0": pa.array(codes[:, 0].view(np.int64))})
+    tables = simhash_dedup.Tables(np.arange(64)[None, :], 0)
+    for order in ([0, 1, 2], [1, 2, 0], [2, 0, 1]):
+        found = simhash_dedup._search(tables, 1, 2, simhash_dedup.FIRST)(iter([batch.take(pa.array(order))]))
+        assert {x for links in found for c in ("a", "b") for x in links.column(c).to_pylist()} == {0, 1, 2}
