@@ -1,6 +1,7 @@
 """The border tree over arrays equals the relational one, and its hierarchy is made without any cell."""
 
-from floorwalk.plans import border
+from floorwalk import catalog
+from floorwalk.plans import border, matrix
 from floorwalk.sources import venue as V
 
 
@@ -26,3 +27,15 @@ def test_nodes_need_no_cells(spark, monkeypatch):
     monkeypatch.setattr(border, "local_hops", refuse)
     tree = border._build(V.build_venue(spark, "/root/testdata/sf0.001"), 6)
     assert tree.nodes.count() and tree.members.count() and tree.access.count()
+
+
+def test_hops_need_no_ranks(spark, monkeypatch):
+    def refuse(*_):
+        raise AssertionError("rows were ranked")
+
+    venue = V.build_venue(spark, "/root/testdata/sf0.001")
+    whole = rows(matrix.door_matrix(venue), "a_door", "b_door", "dist_mm", "first_hop", "stride_hop")
+    fresh = V.Venue(spark, venue.sf_dir, venue.floors, "fresh", venue.partitions, venue.doors, venue.moves)
+    monkeypatch.setattr(matrix, "with_ranks", refuse)
+    assert rows(matrix.door_hops(fresh), "a_door", "b_door", "dist_mm", "first_hop", "stride_hop") == whole
+    assert catalog._cell_hops(fresh).count() == sum(1 for r in whole if r[3] is not None)
