@@ -51,3 +51,30 @@ def test_chains_of_nodes_merge_in_few_rounds(spark, monkeypatch):
     up = border._merge(access, members, 1).collect()
     assert {r["parent_id"] for r in up} == {border.LEVEL_STEP} and len(up) == n
     assert len(calls) < 20
+
+
+def test_hops_of_pairs_are_those_of_whole_rows():
+    rng = random.Random(5)
+    for _ in range(30):
+        n = rng.randint(2, 30)
+        rows = [(rng.randrange(n), rng.randrange(n), rng.choice([0, 0, 3, 3, 6])) for _ in range(rng.randint(1, 4 * n))]
+        table = pd.DataFrame([r for r in rows if r[0] != r[1]], columns=["a_door", "b_door", "leg_mm"]).astype("int64").groupby(["a_door", "b_door"], as_index=False).min()
+        graph = relax._Legs(table, np.arange(n))
+        label = np.full((n, n), relax.FAR)
+        label[np.arange(n), np.arange(n)] = 0
+        rest = relax._Ladder(graph).settle(label, backward=True)
+        tight = (rest[:, graph.target] < relax.FAR) & (rest[:, graph.source] == graph.length + rest[:, graph.target])
+        first, stride = graph.hops(tight, np.eye(n, dtype=bool))
+        b, a = np.nonzero((rest < relax.FAR) & ~np.eye(n, dtype=bool))
+        ours = graph.pair_hops(rest, b, a, b)
+        assert (ours[0] == first[b, a]).all() and (ours[1] == stride[b, a]).all()
+
+
+def test_hops_of_pairs_leave_other_doors_alone(spark, monkeypatch):
+    def refuse(*_):
+        raise AssertionError("hops of whole rows were made")
+
+    monkeypatch.setattr(relax._Legs, "hops", refuse)
+    legs = spark.createDataFrame([(1, 2, 5), (2, 3, 0), (3, 4, 5), (4, 1, 9)], LEGS)
+    asked = relax.local_hops(spark.createDataFrame([(3, [1, 99]), (4, [2, 4])], "door_id long, starts array<long>"), legs)
+    assert {tuple(r) for r in asked.collect()} == {(1, 3, 5, 2, 2), (2, 4, 5, 3, None), (4, 4, 0, None, None)}
