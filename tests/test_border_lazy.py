@@ -1,7 +1,12 @@
 """The border tree over arrays equals the relational one, and its hierarchy is made without any cell."""
 
+import random
+
+import numpy as np
+import pandas as pd
+
 from floorwalk import catalog
-from floorwalk.plans import border, matrix
+from floorwalk.plans import border, matrix, relax
 from floorwalk.sources import venue as V
 
 
@@ -39,3 +44,26 @@ def test_hops_need_no_ranks(spark, monkeypatch):
     monkeypatch.setattr(matrix, "with_ranks", refuse)
     assert rows(matrix.door_hops(fresh), "a_door", "b_door", "dist_mm", "first_hop", "stride_hop") == whole
     assert catalog._cell_hops(fresh).count() == sum(1 for r in whole if r[3] is not None)
+
+
+def test_cells_are_counted_without_making_them(spark, monkeypatch):
+    venue = V.build_venue(spark, "/root/testdata/sf0.001")
+    fresh = V.Venue(spark, venue.sf_dir, venue.floors, "counted", venue.partitions, venue.doors, venue.moves)
+    for gamma in (4, 1_000):
+        made = border._build(venue, gamma)
+        want = (made.leaf_out.count() + made.leaf_in.count(), made.inner.count())
+        with monkeypatch.context() as m:
+            m.setattr(border, "local_hops", lambda *_: 1 / 0)
+            assert border._build(fresh, gamma).cell_counts() == want
+
+
+def test_reach_on_random_one_way_graphs():
+    rng = random.Random(7)
+    for _ in range(40):
+        n = rng.randint(2, 25)
+        rows = [(rng.randrange(n), rng.randrange(n), 1) for _ in range(rng.randint(1, 2 * n))]
+        graph = relax._Legs(pd.DataFrame(rows, columns=["a_door", "b_door", "leg_mm"]), np.arange(n))
+        label = np.full((n, n), relax.FAR)
+        label[np.arange(n), np.arange(n)] = 0
+        a, b = np.indices((n, n)).reshape(2, -1)
+        assert (border._Reach(graph)(a, b) == (relax._Ladder(graph).settle(label) < relax.FAR).ravel()).all()
