@@ -78,3 +78,23 @@ def test_hops_of_pairs_leave_other_doors_alone(spark, monkeypatch):
     legs = spark.createDataFrame([(1, 2, 5), (2, 3, 0), (3, 4, 5), (4, 1, 9)], LEGS)
     asked = relax.local_hops(spark.createDataFrame([(3, [1, 99]), (4, [2, 4])], "door_id long, starts array<long>"), legs)
     assert {tuple(r) for r in asked.collect()} == {(1, 3, 5, 2, 2), (2, 4, 5, 3, None), (4, 4, 0, None, None)}
+
+
+def test_rounds_of_all_doors_run_within_tasks(spark, monkeypatch):
+    legs = spark.createDataFrame([(i, (i + k) % 50, 3 * k + i % 2) for i in range(49) for k in (1, 7)], LEGS)
+    doors = spark.range(51).withColumnRenamed("id", "door_id")
+    want = {tuple(r) for r in relax.all_pairs(legs, doors, "local").collect()}
+    jobs = {tuple(r) for r in relax.relax(doors.selectExpr("door_id as qid", "door_id as door", "0L as dist"), legs).collect()}
+    monkeypatch.setattr(relax, "relax", lambda *_: 1 / 0)
+    assert {tuple(r) for r in relax.all_pairs(legs, doors, "relax").collect()} == want == jobs
+
+
+def test_doors_are_dealt_over_tasks_at_any_number_of_shuffle_partitions(spark):
+    before = spark.conf.get("spark.sql.shuffle.partitions")
+    try:
+        for n in ("4", "64"):
+            spark.conf.set("spark.sql.shuffle.partitions", n)
+            rows = relax._dealt(spark.range(200).withColumnRenamed("id", "door_id").distinct())
+            assert rows.selectExpr("spark_partition_id() as p").distinct().count() >= spark.sparkContext.defaultParallelism
+    finally:
+        spark.conf.set("spark.sql.shuffle.partitions", before)
