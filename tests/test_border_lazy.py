@@ -67,3 +67,13 @@ def test_reach_on_random_one_way_graphs():
         label[np.arange(n), np.arange(n)] = 0
         a, b = np.indices((n, n)).reshape(2, -1)
         assert (border._Reach(graph)(a, b) == (relax._Ladder(graph).settle(label) < relax.FAR).ravel()).all()
+
+
+def test_rows_of_few_doors_need_no_matrix(spark, monkeypatch):
+    venue = V.build_venue(spark, "/root/testdata/sf0.001")
+    fresh = V.Venue(spark, venue.sf_dir, venue.floors, "few", venue.partitions, venue.doors, venue.moves)
+    starts = venue.doors.select("door_id").orderBy("door_id").limit(3)
+    want = rows(matrix.door_matrix(venue).join(starts.withColumnRenamed("door_id", "a_door"), "a_door", "left_semi"), "a_door", "b_door", "dist_mm")
+    assert rows(matrix.matrix_rows(venue, starts), "a_door", "b_door", "dist_mm") == want
+    monkeypatch.setattr(matrix, "door_matrix", lambda *_: 1 / 0)
+    assert rows(matrix.matrix_rows(fresh, starts), "a_door", "b_door", "dist_mm") == want
