@@ -98,3 +98,20 @@ def test_doors_are_dealt_over_tasks_at_any_number_of_shuffle_partitions(spark):
             assert rows.selectExpr("spark_partition_id() as p").distinct().count() >= spark.sparkContext.defaultParallelism
     finally:
         spark.conf.set("spark.sql.shuffle.partitions", before)
+
+
+def test_doubling_of_a_core_on_random_one_way_graphs(spark, monkeypatch):
+    rng = random.Random(5)
+    n = 40
+    rows = [(rng.randrange(n), rng.randrange(n), rng.choice([0, 3, 5, 11, 40])) for _ in range(90)]
+    legs = spark.createDataFrame(rows, LEGS).groupBy("a_door", "b_door").min("leg_mm").toDF("a_door", "b_door", "leg_mm")
+    doors = spark.range(n + 1).withColumnRenamed("id", "door_id")  # one door without a leg
+    want = {tuple(r) for r in relax.all_pairs(legs, doors, "local").collect()}
+    for core, most in ((0, 0), (6, 36), (128, (n + 1) ** 2)):
+        monkeypatch.setattr(relax, "CORE_DOORS", core)
+        with monkeypatch.context() as m:
+            real = relax.doubled
+            m.setattr(relax, "doubled", lambda frame: sizes.append(frame.count()) or real(frame))
+            sizes = []
+            assert {tuple(r) for r in relax.all_pairs(legs, doors, "square").collect()} == want
+            assert all(size <= most for size in sizes)
